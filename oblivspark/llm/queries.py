@@ -10,6 +10,8 @@ from .decontaminate import decontaminate
 from .exact_dedup import exact_dedup
 from .line_dedup import line_dedup
 from .mixing import mix
+from .quality import quality
+from .simhash import near_dedup
 from .token_counts import token_counts
 
 
@@ -21,6 +23,14 @@ def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("spans")
 
 
+def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup(read(spark, sf_dir, "documents"))
+
+
+def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -40,6 +50,8 @@ def queries() -> dict:
     return {
         "op1_line_dedup": op1,
         "op3_decontamination": op3,
+        "op4_simhash_dedup": op4,
+        "op6_quality": op6,
         "op8_token_counts": op8,
         "op9_exact_dedup": op9,
         "op10_mixing": op10,
