@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
+from ..plans.shared import ship_package
+
 
 def read(spark, sf_dir: str, table: str) -> DataFrame:
     """A table of ``sf_dir``, by Spark's reader alone."""
@@ -24,6 +26,7 @@ def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 def map_batches(df: DataFrame, kernel: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: StructType | str) -> DataFrame:
     """``mapInArrow``; batches are bounded by ``spark.sql.execution.arrow.maxBytesPerBatch``."""
+    ship_package(df.sparkSession)
     return df.mapInArrow(kernel, schema)
 
 

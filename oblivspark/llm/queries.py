@@ -10,8 +10,10 @@ from .decontaminate import decontaminate
 from .exact_dedup import exact_dedup
 from .line_dedup import line_dedup
 from .mixing import mix
+from .ppm import lm_scores
 from .quality import quality
 from .simhash import near_dedup
+from .suffix_dedup import suffix_dedup
 from .token_counts import token_counts
 
 
@@ -19,6 +21,10 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup(read(spark, sf_dir, "documents"))
 
 
+def op2(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scores(read(spark, sf_dir, "documents"))
+
+
 def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("spans")
 
@@ -31,6 +37,10 @@ def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
 
 
+def op7(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup(read(spark, sf_dir, "documents")).drop("spans")
+
+
 def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -49,9 +59,11 @@ def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     return {
         "op1_line_dedup": op1,
+        "op2_lm_scoring": op2,
         "op3_decontamination": op3,
         "op4_simhash_dedup": op4,
         "op6_quality": op6,
+        "op7_suffix_dedup": op7,
         "op8_token_counts": op8,
         "op9_exact_dedup": op9,
         "op10_mixing": op10,
