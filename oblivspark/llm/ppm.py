@@ -78,7 +78,7 @@ class Trie:
     """Counts of every context of 0 to ``order`` symbols, with escape estimation and symbol exclusion.
 
     At a context with total T and D distinct symbols, of which the next longer context has X and E, a symbol
-    that the longer one lacks gets count / (T - X + D - E) and the escape (D - E) / (T - X + D - E); a context
+    that the longer one lacks gets (2 count - 1) / 2(T - X) and the escape (D - E) / 2(T - X); a context
     with nothing new escapes for free. Under the empty context all symbols not seen share what is left.
     """
 
@@ -117,10 +117,10 @@ class Trie:
             total, kinds = level["total"][c] - taken[at], level["kinds"][c] - gone[at]
             k = level["keys"].find(g)
             hit = k >= 0
-            out[at[hit]] += np.log10(level["n"][k[hit]] / (total + kinds)[hit])
+            out[at[hit]] += np.log10((2 * level["n"][k[hit]] - 1) / (2 * total[hit]))
             miss = ~hit
             esc = miss & (kinds > 0)
-            out[at[esc]] += np.log10(kinds[esc] / (total + kinds)[esc])
+            out[at[esc]] += np.log10(kinds[esc] / (2 * total[esc]))
             gone[at[miss]] = level["kinds"][c[miss]]
             if "taken" in level:
                 taken[at[miss]] = level["taken"][c[miss]]
@@ -148,9 +148,9 @@ def adaptive_log10(text: bytes, order: int = ORDER) -> float:
         for k in range(order, -1, -1):
             known = seen.get(history[order - k :], {})
             left = {c: n for c, n in known.items() if c not in excluded}
-            whole = sum(left.values()) + len(left)
+            whole = 2 * sum(left.values())
             if s in left:
-                total += math.log10(left[s] / whole)
+                total += math.log10((2 * left[s] - 1) / whole)
                 break
             if left:
                 total += math.log10(len(left) / whole)

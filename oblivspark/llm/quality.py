@@ -59,14 +59,16 @@ def statistics(text: bytes) -> list[float]:
 
 
 def with_statistics(base: DataFrame) -> DataFrame:
-    """(doc_id, x): one narrow pass over the texts."""
+    """(doc_id, x), or (doc_id, row, x): one narrow pass over the texts."""
+    own = [c for c in ("doc_id", "row") if c in base.columns]
 
     def kernel(batches):
         for batch in batches:
             rows = [statistics(t) for t in texts_of(batch)]
-            yield pa.record_batch([column(batch, "doc_id"), pa.array(rows, pa.list_(pa.float64()))], names=["doc_id", "x"])
+            yield pa.record_batch([*(column(batch, c) for c in own), pa.array(rows, pa.list_(pa.float64()))], names=[*own, "x"])
 
-    return map_batches(base, kernel, f"doc_id {base.schema['doc_id'].dataType.simpleString()}, x array<double>")
+    kinds = ", ".join(f"{c} {base.schema[c].dataType.simpleString()}" for c in own)
+    return map_batches(base, kernel, f"{kinds}, x array<double>")
 
 
 def remainder(doc_id, by: int):
@@ -145,8 +147,8 @@ def fit(features: DataFrame, labels: DataFrame, label_col: str = "quality", by:
     return Discriminant(moments(rows))
 
 
-def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: doc_id, held_out, score (0 to 1), predicted (1 from 0.5 on).
+def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
+    """One row per document: doc_id, held_out, score (0 to 1), predicted (1 from 0.5 on); with ``row_col`` that column too, as row.
 
     Statistics of each whole text are computed once and written down; class moments are summed over
     every labelled row that isn't held out (crc32 of the id as text modulo 3 is 1), so nothing is
@@ -157,7 +159,9 @@ def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
     never labelled. Repeated rows: a row each. Empty documents: no rows. No usable labels: every score is 0.5; one class only: that class.
     Other columns are ignored.
     """
-    features = materialise(with_statistics(id_and_text(docs, id_col, text_col)), "statistics")
+    more = [] if row_col is None else [F.col(f"`{row_col}`").alias("row")]
+    features = materialise(with_statistics(id_and_text(docs, id_col, text_col, *more)), "statistics")
+    own = ["doc_id", *(["row"] if more else []), "held_out"]
     shared = docs.sparkSession.sparkContext.broadcast(fit(features, labels))
 
     def kernel(batches):
@@ -165,9 +169,10 @@ def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
             x = np.array(column(batch, "x").flatten()).reshape(-1, len(NAMES))
             score = shared.value.score(x)
             yield pa.record_batch(
-                [column(batch, "doc_id"), column(batch, "held_out"), pa.array(score), pa.array((score >= 0.5).astype(np.int32))],
-                names=["doc_id", "held_out", "score", "predicted"],
+                [*(column(batch, c) for c in own), pa.array(score), pa.array((score >= 0.5).astype(np.int32))],
+                names=[*own, "score", "predicted"],
             )
 
     rows = features.withColumn("held_out", remainder(F.col("doc_id"), 3) == 1)
-    return map_batches(rows, kernel, f"doc_id {features.schema['doc_id'].dataType.simpleString()}, held_out boolean, score double, predicted int")
+    kinds = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in own)
+    return map_batches(rows, kernel, f"{kinds}, score double, predicted int")

@@ -8,6 +8,7 @@ from . import oracles
 from .base import read
 from .decontaminate import decontaminate
 from .exact_dedup import exact_dedup
+from .licenses import license_scan
 from .line_dedup import line_dedup
 from .mixing import mix
 from .ppm import lm_scores
@@ -33,6 +34,10 @@ def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup(read(spark, sf_dir, "documents"))
 
 
+def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan(read(spark, sf_dir, "documents"))
+
+
 def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
 
@@ -56,17 +61,25 @@ def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "first_position")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
         "op1_line_dedup": op1,
         "op2_lm_scoring": op2,
         "op3_decontamination": op3,
         "op4_simhash_dedup": op4,
+        "op5_license_scan": op5,
         "op6_quality": op6,
         "op7_suffix_dedup": op7,
         "op8_token_counts": op8,
         "op9_exact_dedup": op9,
         "op10_mixing": op10,
+        "pipeline": pipeline,
     }
 
 

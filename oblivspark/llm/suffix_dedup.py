@@ -121,7 +121,7 @@ def repeated_slices(base: DataFrame, length: int, sample_of: int) -> DataFrame:
 
 
 def candidates(text: bytes, length: int, repeated: np.ndarray, rounds: tuple[int, int]):
-    """(place, first window, last window) of the suffixes whose shingle repeats, less the windows that hold one which doesn't."""
+    """(place, first window, last window) of the suffixes whose shingle repeats and belongs to the round."""
     found = anchors(text, length)
     if found is None:
         return
@@ -129,12 +129,7 @@ def candidates(text: bytes, length: int, repeated: np.ndarray, rounds: tuple[int
     i = np.minimum(np.searchsorted(repeated, h), max(len(repeated) - 1, 0))
     again = repeated[i] == h if len(repeated) else np.zeros(len(h), bool)
     slot = (h >> np.uint64(58)).astype(np.int64)
-    mine = (slot >= rounds[0]) & (slot < rounds[1])
-    single = mine & ~again  # of other rounds' shingles it isn't known
-    before = np.maximum.accumulate(np.where(single, place, -1))
-    after = np.minimum.accumulate(np.where(single, place, len(text) + length)[::-1])[::-1]
-    first, last = np.maximum(first, before + 1), np.minimum(last, after + LEAD - length - 1)
-    for j in np.flatnonzero(again & mine & (first <= last)):
+    for j in np.flatnonzero(again & (slot >= rounds[0]) & (slot < rounds[1])):
         yield int(place[j]), int(first[j]), int(last[j])
 
 
