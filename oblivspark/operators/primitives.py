@@ -29,7 +29,7 @@ class DuplicateSender(ValueError):
 def blocked(df: DataFrame, pos: str, blocks: int | None = None, n: int | None = None) -> DataFrame:
     """``df`` with ``_blk``: the number of its block of public size."""
     count = blocks or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    n = df.count() if n is None else n
+    n = n if n is not None else 1 if count == 1 else df.count()
     size = max(1, -(-n // count))
     return df.withColumn("_blk", F.floor(F.col(pos) / size).cast("int"))
 

@@ -25,7 +25,38 @@ def order_by(keys) -> list[Column]:
     return out
 
 
-def oblivious_sort(df: DataFrame, keys, second: str = "engine", pos: str = "pos", seed: int | None = None, level: str = "memory", widths: dict | None = None, **options) -> DataFrame:
+#: Tables of at most so many rows (a public number) are sorted by one network in one task.
+SMALL = 4096
+
+
+def network_sort(df: DataFrame, keys, pos: str = "pos", widths: dict | None = None) -> DataFrame:
+    """One task, one bitonic network over the rows and fillers up to a power of two; ties in order of the whole record.
+
+    For small tables: lazy, without coins.
+    """
+    keys, widths = as_keys(keys), widths or {}
+    codec, names = Codec(df.schema, widths), df.columns
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields)
+
+    def kernel(batches):
+        parts = [b for b in batches if b.num_rows]
+        if not parts:
+            return
+        rec = np.concatenate([codec.encode(b) for b in parts])
+        w = np.concatenate([key_words(encode_keys(b, keys, widths)) for b in parts])
+        w = np.concatenate((w, key_words(rec)), axis=1)
+        size = power_of_two(len(rec))
+        s = K.Slab(np.full((size, w.shape[1]), np.iinfo(np.uint64).max), np.arange(size) < len(rec), np.zeros((size, codec.width), np.uint8))
+        s.words[: len(w)], s.rec[: len(rec)] = w, rec
+        K.bitonic_sort_block(s, size)
+        at = np.flatnonzero(s.real)
+        yield pa.record_batch([*codec.decode(s.rec[at]), pa.array(np.arange(len(at)), pa.int64())], names=[*names, pos])
+
+    ship_package(df.sparkSession)
+    return df.coalesce(1).mapInArrow(kernel, f"{fields}, `{pos}` long")
+
+
+def oblivious_sort(df: DataFrame, keys, second: str = "engine", pos: str = "pos", seed: int | None = None, level: str = "memory", widths: dict | None = None, small: int = SMALL, **options) -> DataFrame:
     """The rows with ``pos``, their dense place in the order of ``keys`` (ties in the order of the permutation).
 
     A secret permutation, then a comparison sort: ``engine`` range-partitions and sorts, ``pivots`` sorts a sample and routes by its
@@ -33,6 +64,8 @@ def oblivious_sort(df: DataFrame, keys, second: str = "engine", pos: str = "pos"
     ``options``: those of ``permute`` and, for ``pivots``, of ``sort_permuted``.
     """
     own = {k: options.pop(k) for k in ("relaxed", "network") if k in options}
+    if small and second == "engine" and df.count() <= small:
+        return network_sort(df, keys, pos, widths)
     drawn = permute(df, seed=seed, level=level, widths=widths, **options)
     if second == "pivots":
         return sort_permuted(drawn, keys, pos=pos, seed=seed, widths=widths, **own)
