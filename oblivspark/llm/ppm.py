@@ -24,7 +24,9 @@ MOST_GRAMS = 1 << 24
 #: Words whose counts are broadcast, 16 bytes each; all others are looked up by a join.
 HOT_WORDS = 1 << 17
 #: Symbols coded at a time, grams and words that a task holds before it hands them on, slices of the gram space.
-CHUNK, HELD, SLICES = 1 << 20, 1 << 22, 64
+CHUNK, HELD, SLICES = 1 << 19, 1 << 21, 64
+#: Grams that are looked up at a time: whatever a look-up needs beside the tables stays this small.
+PIECE = 1 << 17
 
 
 def low(bits: int) -> np.uint64:
@@ -47,7 +49,7 @@ class Table:
 
     def __init__(self, keys: np.ndarray):
         size = 64
-        while size < 3 * len(keys):
+        while 2 * size < 3 * len(keys):
             size *= 2
         self.shift, self.mask = np.uint64(64 - size.bit_length() + 1), size - 1
         self.keys, self.slots = keys, np.full(size, -1, np.int32)
@@ -63,6 +65,8 @@ class Table:
             return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
 
     def find(self, keys: np.ndarray) -> np.ndarray:
+        if len(keys) > PIECE:
+            return np.concatenate([self.find(keys[i : i + PIECE]) for i in range(0, len(keys), PIECE)])
         at = self._first(keys)
         out = self.slots[at]
         wrong = np.flatnonzero((out >= 0) & (self.keys[out] != keys)) if len(self.keys) else np.empty(0, np.int64)
@@ -87,8 +91,7 @@ class Trie:
         keys, n = grams, counts.astype(np.int64)
         for k in range(order, -1, -1):
             if k < order:
-                keys, at = np.unique(keys & low(BITS * (k + 1)), return_inverse=True)
-                n = np.bincount(at, weights=n, minlength=len(keys)).astype(np.int64) if len(keys) else n
+                keys, n = _merge([keys & low(BITS * (k + 1))], [n])
             contexts, first = np.unique(keys >> np.uint64(BITS), return_index=True)
             total = np.add.reduceat(n, first) if len(first) else n[:0]
             kinds = np.diff(np.append(first, len(keys)))
@@ -99,7 +102,8 @@ class Trie:
             bits = BITS * (order - self.levels.index(upper))
             inside = lower["n"][lower["keys"].find(keys & low(bits))]
             upper["taken"] = np.add.reduceat(inside, upper["first"]) if len(keys) else inside[:0]
-        self.known = self.log10(grams) if len(grams) else np.empty(0)
+        parts = [self.log10(grams[i : i + PIECE]) for i in range(0, len(grams), PIECE)]
+        self.known = np.concatenate(parts) if parts else np.empty(0)
 
     def log10(self, grams: np.ndarray) -> np.ndarray:
         """Log10 probability of each gram's last symbol after its context."""
@@ -165,8 +169,13 @@ def adaptive_log10(text: bytes, order: int = ORDER) -> float:
 
 
 def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    k, at = np.unique(np.concatenate(keys), return_inverse=True)
-    return k, np.bincount(at, weights=np.concatenate(counts), minlength=len(k)).astype(np.int64)
+    """Distinct keys in order and the sums of their counts."""
+    k, n = np.concatenate(keys), np.concatenate(counts)
+    by = np.argsort(k)
+    k = k[by]
+    first = np.flatnonzero(np.concatenate(([True], k[1:] != k[:-1]))) if len(k) else np.empty(0, np.int64)
+    n = np.add.reduceat(n[by].astype(np.int64), first) if len(k) else n.astype(np.int64)
+    return k[first], n
 
 
 def gather_grams(base: DataFrame, order: int) -> DataFrame:
@@ -306,7 +315,7 @@ def lm_scores(
                     end += 1
                 parts = [grams_of(t, used) for t in texts[at:end]]
                 flat = np.concatenate(parts) if len(parts) > 1 else parts[0]
-                log = np.concatenate([model.score(flat[i : i + CHUNK]) for i in range(0, len(flat), CHUNK)])
+                log = np.concatenate([model.score(flat[i : i + PIECE]) for i in range(0, len(flat), PIECE)])
                 score[at:end] = np.add.reduceat(log, np.cumsum([0, *map(len, parts[:-1])]))
                 at = end
             n_tokens, known, total, rest, times = [], [], [], [], []
