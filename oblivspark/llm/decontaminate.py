@@ -116,7 +116,7 @@ def decontaminate(
         raise ValueError(f"the benchmark has {size} bytes; decontaminate against parts of at most {max_benchmark_bytes}")
     pairs = [(None if r[0] is None else str(r[0]), r[1].encode()) for r in items.collect()]
     shared, name = docs.sparkSession.sparkContext.broadcast(automata(pairs, width)), uuid.uuid4().hex
-    base = id_and_text(docs, id_col, text_col, *([F.struct(*docs.columns).alias("_row")] if carry else []))
+    base = id_and_text(docs, id_col, text_col, *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")] if carry else []))
 
     def kernel(batches):
         if name not in _loaded:

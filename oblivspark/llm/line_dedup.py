@@ -134,7 +134,7 @@ def line_dedup(
     empty text. Null or repeated ids: a document for each row (with more rounds than one, rows of one id and text share hits, which are
     the same for each). Empty table: no rows. Other columns are ignored, or carried under their own names.
     """
-    base = id_and_text(docs, id_col, text_col, *([F.struct(*docs.columns).alias("_row")] if carry else []))
+    base = id_and_text(docs, id_col, text_col, *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")] if carry else []))
     lines = materialise(frequent_lines(base, least), "frequent-lines")
     n = lines.count()
     shards = max(1, -(-n // shard_keys))
