@@ -67,7 +67,7 @@ def group_aggregate(df: DataFrame, keys: list[str], aggs: dict[str, tuple[str, C
     rows = rows.join(F.broadcast(ends), "_blk0", "left")
     before = F.coalesce(F.lag("_g").over(line), F.col("_end"))
     first = ~before.eqNullSafe(F.col("_g")) | (F.col("_p") == 0)
-    out = {name: (F.col(f"_s_{name}") / F.col(f"_n_{name}")) if f == "avg" else F.col(name) for name, (f, _) in aggs.items()}
+    out = {name: F.try_divide(F.col(f"_s_{name}"), F.col(f"_n_{name}")) if f == "avg" else F.col(name) for name, (f, _) in aggs.items()}
     return rows.select(*keys, *(c.alias(k) for k, c in out.items()), (first & F.col("_real")).alias("is_real"))
 
 
