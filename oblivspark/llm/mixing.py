@@ -117,14 +117,16 @@ def mix(
     start = F.col("_before") + F.sum("size").over(within.rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")
     rows = rows.withColumn("_start", start)
     words = F.floor("target").cast("long")
-    rounds = F.when(F.col("source_size") > 0, F.floor(words / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
+    rounds = F.when(F.col("source_size") > 0, F.floor(F.try_divide(words, F.col("source_size")))).otherwise(F.lit(0)).cast("long")
     rows = rows.withColumn("_rounds", rounds)
     rest = words - F.col("_rounds") * F.col("source_size") - F.col("_start")
     taken = F.col("_rounds") * F.col("size") + F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), rest))
     rows = rows.withColumn("taken", taken)
-    share = F.col("_start") / F.col("target")
+    share = F.try_divide(F.col("_start"), F.col("target"))
     at = F.lit(None).cast("double")
     for i in range(len(weights)):
         at = F.when(F.col("place") == i, position_of(share, schedules[i % len(schedules)])).otherwise(at)
     rows = rows.withColumn("first_position", F.when(F.col("taken") > 0, F.round(at, 9) + F.lit(0.0)))
-    return rows.select(*[F.col("_row")[c].alias(c) for c in kept], *made).orderBy(F.col("first_position").asc_nulls_last())
+    # what isn't taken has no position: the hash of the id spreads it over the last partitions
+    rows = rows.orderBy(F.col("first_position").asc_nulls_last(), "_order")
+    return rows.select(*[F.col("_row")[c].alias(c) for c in kept], *made)
