@@ -43,33 +43,49 @@ def segmented_aggregate(
     size, never by group; each block hands on what it has of its first and last group, at most two rows, whose running
     combination comes back by broadcast to the rows of each block's first group. Over no rows the result is f's identity, or null.
     """
-    agg, combine, nothing = FUNCTIONS[f]
+    return segmented_aggregates(df, group, {out: (f, value)}, inclusive, direction, pos, blocks, n)
+
+
+def segmented_aggregates(
+    df: DataFrame, group: list[str], aggs: dict[str, tuple[str, Column]], inclusive: bool = False, direction: str = "suffix", pos: str = "pos", blocks: int | None = None, n: int | None = None,
+) -> DataFrame:
+    """Several functions in the same two scans: ``aggs`` is name -> (f, column)."""
     order = F.col(pos).asc() if direction == "prefix" else F.col(pos).desc()
     block_order = F.col("_blk") if direction == "prefix" else -F.col("_blk")
+    specs = list(enumerate(aggs.items()))
     rows = blocked(df, pos, blocks, n)
     g = F.struct(*[F.col(f"`{c}`") for c in group]) if group else F.struct(F.lit(0))
     local = Window.partitionBy("_blk").orderBy(order)
-    rows = rows.withColumn("_g", g).withColumn("_v", value)
+    rows = rows.withColumns({"_g": g} | {f"_v{i}": value for i, (_, (_, value)) in specs})
     new = F.when(F.lag("_g").over(local).eqNullSafe(F.col("_g")), 0).otherwise(1)
     rows = rows.withColumn("_new", new).withColumn("_seg", F.sum("_new").over(local))
     run = Window.partitionBy("_blk", "_seg").orderBy(order).rowsBetween(Window.unboundedPreceding, 0 if inclusive else -1)
-    rows = rows.withColumn("_local", agg("_v").over(run))
-    parts = rows.groupBy("_blk", "_seg").agg(F.first("_g").alias("_g"), agg("_v").alias("_part")) if f not in ("first", "last") else rows.groupBy("_blk", "_seg").agg(
-        F.first("_g").alias("_g"), (F.min_by if (f == "first") == (direction == "prefix") else F.max_by)("_v", pos).alias("_part")
-    )
+    rows = rows.withColumns({f"_local{i}": FUNCTIONS[f][0](f"_v{i}").over(run) for i, (_, (f, _)) in specs})
+
+    def whole(i: int, f: str) -> Column:
+        """f over a block's part of a group; first and last by position."""
+        if f in ("first", "last"):
+            return (F.min_by if (f == "first") == (direction == "prefix") else F.max_by)(f"_v{i}", pos)
+        return FUNCTIONS[f][0](f"_v{i}")
+
+    parts = rows.groupBy("_blk", "_seg").agg(F.first("_g").alias("_g"), *(whole(i, f).alias(f"_part{i}") for i, (_, (f, _)) in specs))
     ends = Window.partitionBy("_blk")
     parts = parts.withColumn("_most", F.max("_seg").over(ends)).filter((F.col("_seg") == 1) | (F.col("_seg") == F.col("_most")))
     line = Window.orderBy(block_order, "_seg")
     linked = (F.col("_seg") == 1) & (F.lag("_seg").over(line) == F.lag("_most").over(line)) & F.lag("_g").over(line).eqNullSafe(F.col("_g"))
     parts = parts.withColumn("_run", F.sum(F.when(linked, 0).otherwise(1)).over(line))
     before = Window.partitionBy("_run").orderBy(block_order, "_seg").rowsBetween(Window.unboundedPreceding, -1)
-    over = {"sum": F.sum, "count": F.sum}.get(f, agg)
-    carry = parts.withColumn("_carry", over("_part").over(before)).filter("_seg = 1").select("_blk", F.lit(1).cast("long").alias("_seg"), "_carry")
+    over = {"sum": F.sum, "count": F.sum}
+    carries = {f"_carry{i}": over.get(f, FUNCTIONS[f][0])(f"_part{i}").over(before) for i, (_, (f, _)) in specs}
+    carry = parts.withColumns(carries).filter("_seg = 1").select("_blk", F.lit(1).cast("long").alias("_seg"), *carries)
     rows = rows.join(F.broadcast(carry), ["_blk", "_seg"], "left")
-    result = combine(F.col("_carry"), F.col("_local"))
-    if nothing is not None:
-        result = F.coalesce(result, F.lit(nothing))
-    return rows.withColumn(out, result).drop("_blk", "_seg", "_g", "_v", "_new", "_local", "_carry")
+    results = {}
+    for i, (out, (f, _)) in specs:
+        _, combine, nothing = FUNCTIONS[f]
+        result = combine(F.col(f"_carry{i}"), F.col(f"_local{i}"))
+        results[out] = result if nothing is None else F.coalesce(result, F.lit(nothing))
+    rows = rows.withColumns(results)
+    return rows.drop("_blk", "_seg", "_g", "_new", *(f"{c}{i}" for i, _ in specs for c in ("_v", "_local", "_carry")))
 
 
 def propagate(df: DataFrame, group: list[str], value: Column, out: str = "head", pos: str = "pos", blocks: int | None = None, n: int | None = None) -> DataFrame:

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..functions.codec import Key, as_keys
 from ..plans.shared import materialise
-from .primitives import segmented_aggregate, send_receive
+from .primitives import segmented_aggregate, segmented_aggregates, send_receive
 from .sorts import oblivious_sort
 
 
@@ -58,8 +58,8 @@ def group_aggregate(df: DataFrame, keys: list[str], aggs: dict[str, tuple[str, C
     rows = materialise(oblivious_sort(rows, [Key("_real", False), *as_keys(keys)], pos="_p", **options), "grouped")
     group = ["_real", *keys]
     # one scan for all: every function is taken over the suffix, so the leftmost row has its group's total
-    for name, (f, _) in work.items():
-        rows = segmented_aggregate(rows, group, F.col(f"_v_{name}"), f, name, True, "suffix", "_p", n=n)
+    if work:
+        rows = segmented_aggregates(rows, group, {name: (f, F.col(f"_v_{name}")) for name, (f, _) in work.items()}, True, "suffix", "_p", n=n)
     line = Window.partitionBy("_blk0").orderBy("_p")
     size = max(1, -(-n // int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     rows = rows.withColumn("_blk0", F.floor(F.col("_p") / size).cast("int")).withColumn("_g", F.struct(*group))
