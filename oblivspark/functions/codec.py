@@ -9,6 +9,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql.types import StructType
 
 #: Bytes that a string or binary column gets unless its public width is given.
@@ -65,12 +66,8 @@ class Codec:
             out[:, at] = valid
             at += 1
             if pa.types.is_string(self.arrow[name]) or pa.types.is_binary(self.arrow[name]):
-                for i, v in enumerate(col.cast(pa.binary()).to_pylist()):
-                    if v is not None:
-                        if len(v) > size - 4:
-                            raise WidthExceeded(f"{name}: {len(v)} bytes, its width is {size - 4}")
-                        out[i, at : at + 4] = np.frombuffer(len(v).to_bytes(4, "big"), np.uint8)
-                        out[i, at + 4 : at + 4 + len(v)] = np.frombuffer(v, np.uint8)
+                lengths = _padded(col, out[:, at + 4 : at + size], name)
+                out[:, at : at + 4] = lengths.astype(">u4").view(np.uint8).reshape(-1, 4)
             elif pa.types.is_list(self.arrow[name]):
                 flat = np.zeros((batch.num_rows, size // 4), np.float32)
                 for i, v in enumerate(col.to_pylist()):
@@ -92,9 +89,11 @@ class Codec:
             part = np.ascontiguousarray(rec[:, at : at + size])
             at += size
             if pa.types.is_string(kind) or pa.types.is_binary(kind):
-                n = part[:, :4].copy().view(">u4").reshape(-1)
-                values = [part[i, 4 : 4 + n[i]].tobytes() if valid[i] else None for i in range(len(part))]
-                out.append(pa.array(values, pa.binary()).cast(kind))
+                n = np.where(valid, part[:, :4].copy().view(">u4").reshape(-1), 0).astype(np.int32)
+                offsets = np.concatenate(([0], np.cumsum(n))).astype(np.int32)
+                data = part[:, 4:][np.arange(size - 4) < n[:, None]]
+                buffers = [pa.py_buffer(np.packbits(valid, bitorder="little").tobytes()), pa.py_buffer(offsets.tobytes()), pa.py_buffer(data.tobytes())]
+                out.append(pa.Array.from_buffers(pa.binary(), len(part), buffers).cast(kind))
             elif pa.types.is_list(kind):
                 rows = part.view(np.float32).reshape(len(part), -1)
                 out.append(pa.array([r.tolist() if ok else None for r, ok in zip(rows, valid)], kind))
@@ -103,6 +102,19 @@ class Codec:
         return out
 
 
+def _padded(col: pa.Array, to: np.ndarray, name: str) -> np.ndarray:
+    """Write each value into its row of ``to``, which is zero so far; lengths, 0 for nulls."""
+    col = col.cast(pa.large_binary()).fill_null(b"")
+    lengths = pc.binary_length(col).to_numpy(zero_copy_only=False).astype(np.int64)
+    if lengths.max(initial=0) > to.shape[1]:
+        raise WidthExceeded(f"{name}: {lengths.max()} bytes, its width is {to.shape[1]}")
+    if len(col) and lengths.sum():
+        offsets = np.frombuffer(col.buffers()[1], np.int64)[col.offset : col.offset + len(col) + 1]
+        data = np.frombuffer(col.buffers()[2], np.uint8)[offsets[0] : offsets[-1]]
+        to[np.arange(to.shape[1]) < lengths[:, None]] = data
+    return lengths
+
+
 def _numbers(col: pa.Array) -> np.ndarray:
     """Any 8-byte-wide type as raw 64-bit values; nulls as 0."""
     t = col.type
@@ -172,12 +184,8 @@ def encode_keys(batch: pa.RecordBatch, keys: list[Key], widths: dict[str, int])
         if pa.types.is_string(col.type) or pa.types.is_large_string(col.type) or pa.types.is_binary(col.type):
             w = widths.get(k.name, DEFAULT_WIDTH)
             body = np.zeros((batch.num_rows, w + 2), np.uint8)
-            for i, v in enumerate(col.cast(pa.binary()).to_pylist()):
-                if v is not None:
-                    if len(v) > w:
-                        raise WidthExceeded(f"{k.name}: {len(v)} bytes, its width is {w}")
-                    body[i, : len(v)] = np.frombuffer(v, np.uint8)
-                    body[i, w:] = np.frombuffer(len(v).to_bytes(2, "big"), np.uint8)  # parts strings that end in zero bytes
+            lengths = _padded(col, body[:, :w], k.name)
+            body[:, w:] = lengths.astype(">u2").view(np.uint8).reshape(-1, 2)  # parts strings that end in zero bytes
         else:
             raw = _numbers(col)
             body = as_bytes(ordered_u64(raw.view(np.float64) if pa.types.is_floating(col.type) else raw))

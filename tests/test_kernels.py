@@ -138,8 +138,9 @@ def test_costs():
     for n in (2**8, 2**12, 2**16):
         w, t, q = bounds.bitonic_cost(n, 256, 8)
         assert w == K.comparators(n) and t < 40 * bounds.lg(n) ** 2 * bounds.lg(bounds.lg(n)) and q >= n / 8
-    ratios = [bounds.router_misses(1 << k, 256, 4096, 8) / bounds.q_sort((1 << k) * 256, 4096, 8) for k in range(4, 24, 4)]
-    assert max(ratios) < 6
+    # three scans a doubling of depth against log n / log M: at most 9 in the limit, 12 with uneven halves
+    ratios = [bounds.router_misses(1 << k, 256, 4096, 8) / bounds.q_sort((1 << k) * 256, 4096, 8) for k in range(4, 64, 4)]
+    assert max(ratios) < 12
     t1 = {(r[0], r[1]): r for r in bounds.rows("T1", 1e6, 4096, 16, 64, 2000)}
     assert t1["tree contraction", "ours"][4] < t1["tree contraction", "insecure"][4] and t1["sort", "ours"][3:6] == t1["sort", "insecure"][3:6]
     t2 = {(r[0], r[1]): r for r in bounds.rows("T2", 1e6, 4096, 16, 64, 2000)}
