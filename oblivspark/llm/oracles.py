@@ -16,6 +16,53 @@ SELECT doc_id, count(*) AS n_lines, count(f.key) AS n_dropped,
 FROM k LEFT JOIN f ON k.key = f.key GROUP BY doc_id
 """
 
+WORDS = "regexp_extract_all(" + LOWER.format("coalesce(text, '')") + r", '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+
+OP3 = f"""
+WITH d AS (SELECT doc_id, {WORDS} AS ws FROM documents),
+b AS (SELECT item_id, {WORDS} AS ws FROM benchmark),
+n AS (
+  SELECT DISTINCT item_id, k, array_to_string(ws[p : p + k - 1], ' ') AS span
+  FROM (SELECT item_id, ws, least(10, len(ws)) AS k, unnest(range(1, greatest(len(ws) - 9, 1) + 1)) AS p FROM b WHERE len(ws) > 0)
+), w AS (
+  SELECT doc_id, generate_subscripts(ws, 1) AS p, unnest(ws) AS word FROM d
+), r AS (
+  SELECT doc_id, p, list(word) OVER (PARTITION BY doc_id ORDER BY p ROWS BETWEEN CURRENT ROW AND 9 FOLLOWING) AS ahead FROM w
+), h AS (
+  SELECT r.doc_id, r.p, s.k, n.item_id
+  FROM r JOIN (SELECT DISTINCT k FROM n) s ON len(r.ahead) >= s.k JOIN n ON n.k = s.k AND n.span = array_to_string(r.ahead[1 : s.k], ' ')
+), q AS (
+  SELECT doc_id, count(DISTINCT place) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + k)) AS place FROM h) GROUP BY doc_id
+), i AS (
+  SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items
+  FROM (SELECT DISTINCT doc_id, CAST(item_id AS VARCHAR) AS item FROM h) GROUP BY doc_id
+)
+SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items,
+       sha256(coalesce(items, '')) AS items_sha256, n_hit IS NOT NULL AS contaminated
+FROM d LEFT JOIN q ON d.doc_id = q.doc_id LEFT JOIN i ON d.doc_id = i.doc_id
+"""
+
+OP7 = """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+w AS (SELECT doc_id, p, md5_number(substr(h, 2 * p - 1, 200)) AS m FROM (SELECT doc_id, h, unnest(range(1, length(h) // 2 - 98)) AS p FROM d)),
+later AS (SELECT doc_id, p FROM w QUALIFY row_number() OVER (PARTITION BY m ORDER BY doc_id, p) > 1),
+islands AS (
+  SELECT doc_id, min(p) AS a, max(p) + 100 AS b
+  FROM (
+    SELECT doc_id, p, sum(fresh) OVER (PARTITION BY doc_id ORDER BY p) AS island
+    FROM (SELECT doc_id, p, CASE WHEN p <= lag(p) OVER (PARTITION BY doc_id ORDER BY p) + 100 THEN 0 ELSE 1 END AS fresh FROM later)
+  ) GROUP BY doc_id, island
+), cuts AS (
+  SELECT doc_id, coalesce(lag(b) OVER (PARTITION BY doc_id ORDER BY a), 1) AS s, a AS e
+  FROM (SELECT doc_id, a, b FROM islands UNION ALL SELECT doc_id, length(h) // 2 + 1, NULL FROM d)
+), kept AS (
+  SELECT d.doc_id, sha256(unhex(coalesce(string_agg(substr(h, 2 * s - 1, 2 * (e - s)), '' ORDER BY s), ''))) AS kept_sha256
+  FROM d JOIN cuts ON d.doc_id = cuts.doc_id GROUP BY d.doc_id
+), sums AS (SELECT doc_id, CAST(sum(b - a) AS BIGINT) AS n_removed, count(*) AS n_spans FROM islands GROUP BY doc_id)
+SELECT d.doc_id, length(h) // 2 AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, kept_sha256
+FROM d JOIN kept ON d.doc_id = kept.doc_id LEFT JOIN sums ON d.doc_id = sums.doc_id
+"""
+
 OP9 = f"""
 WITH n AS (SELECT doc_id, {LOWER.format("coalesce(text, '')")} AS t FROM documents),
 g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY t)
@@ -68,4 +115,4 @@ FROM z
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_line_dedup": OP1, "op9_exact_dedup": OP9, "op10_mixing": OP10}
+    return {"op1_line_dedup": OP1, "op3_decontamination": OP3, "op7_suffix_dedup": OP7, "op9_exact_dedup": OP9, "op10_mixing": OP10}
