@@ -16,8 +16,8 @@ from .base import column, id_and_text, map_batches, texts_of
 
 #: Bytes of the shingle at which a suffix may begin, a power of two.
 LEAD = 32
-#: Slices of the shingle hashes; hashes that are broadcast at a time; leads that splitters are picked from.
-SLICES, ROUND_HASHES, SPLITTER_SAMPLE = 64, 1 << 23, 1 << 16
+#: Least number of slices of the shingle hashes, and hashes that a slice aims at; hashes that are broadcast at a time; leads that splitters are picked from.
+SLICES, SLICE_HASHES, ROUND_HASHES, SPLITTER_SAMPLE = 64, 1 << 23, 1 << 23, 1 << 16
 #: Bytes of suffixes per bucket that the splitters aim at.
 BUCKET_BYTES = 8 << 20
 #: Shingle hashes, and suffixes, that a task holds before it hands them on.
@@ -64,7 +64,17 @@ def anchors(text: bytes, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarra
     return place, h[place], first, np.append(cut, len(at)) - 1
 
 
-def repeated_slices(base: DataFrame, length: int, sample_of: int) -> DataFrame:
+def slice_bits(volume: int, length: int) -> int:
+    """The leading bits of a hash that name its slice: as many slices as keep each within reach of one task, whatever the volume."""
+    hashes = 2 * volume // (length - LEAD)
+    return (max(SLICES, -(-hashes // SLICE_HASHES)) - 1).bit_length()
+
+
+def slices_of(h: np.ndarray, bits: int) -> np.ndarray:
+    return (h >> np.uint64(64 - bits)).astype(np.int64)
+
+
+def repeated_slices(base: DataFrame, length: int, sample_of: int, bits: int) -> DataFrame:
     """(slice, hashes, leads): shingle hashes that occur twice or more, and a sample of their first bytes."""
 
     def gather(batches):
@@ -74,18 +84,16 @@ def repeated_slices(base: DataFrame, length: int, sample_of: int) -> DataFrame:
             if not held:
                 return
             k, c = np.unique(np.concatenate(held), return_counts=True)
-            slot = (k >> np.uint64(58)).astype(np.int64)
-            cut = np.searchsorted(slot, np.arange(SLICES + 1))
+            slot = slices_of(k, bits)
+            cut = np.append(np.flatnonzero(np.diff(slot, prepend=-1)), len(slot))
             mine = sorted(leads)
             of = np.array([x[0] for x in mine], np.uint64)
-            for i in range(SLICES):
-                a, b = cut[i], cut[i + 1]
-                if b > a:
-                    near = mine[np.searchsorted(of, k[a]) : np.searchsorted(of, k[b - 1], "right")] if len(of) else []
-                    yield pa.record_batch(
-                        [pa.array([i], pa.int32()), pa.array([k[a:b].tobytes()], pa.binary()), pa.array([np.packbits(c[a:b] > 1).tobytes()], pa.binary()), pa.array([[x[0].to_bytes(8, "little") + x[1] for x in near]], pa.list_(pa.binary()))],
-                        names=["slice", "hashes", "twice", "leads"],
-                    )
+            for a, b in zip(cut, cut[1:]):
+                near = mine[np.searchsorted(of, k[a]) : np.searchsorted(of, k[b - 1], "right")] if len(of) else []
+                yield pa.record_batch(
+                    [pa.array([slot[a]], pa.int32()), pa.array([k[a:b].tobytes()], pa.binary()), pa.array([np.packbits(c[a:b] > 1).tobytes()], pa.binary()), pa.array([[x[0].to_bytes(8, "little") + x[1] for x in near]], pa.list_(pa.binary()))],
+                    names=["slice", "hashes", "twice", "leads"],
+                )
             held.clear()
             leads.clear()
 
@@ -120,7 +128,7 @@ def repeated_slices(base: DataFrame, length: int, sample_of: int) -> DataFrame:
     return rows.groupBy("slice").applyInArrow(merge, "size long, slice int, hashes binary, leads array<binary>")
 
 
-def candidates(text: bytes, length: int, repeated: np.ndarray, rounds: tuple[int, int]):
+def candidates(text: bytes, length: int, repeated: np.ndarray, rounds: tuple[int, int], bits: int):
     """(place, first window, last window) of the suffixes whose shingle repeats and belongs to the round."""
     found = anchors(text, length)
     if found is None:
@@ -128,7 +136,7 @@ def candidates(text: bytes, length: int, repeated: np.ndarray, rounds: tuple[int
     place, h, first, last = found
     i = np.minimum(np.searchsorted(repeated, h), max(len(repeated) - 1, 0))
     again = repeated[i] == h if len(repeated) else np.zeros(len(h), bool)
-    slot = (h >> np.uint64(58)).astype(np.int64)
+    slot = slices_of(h, bits)
     for j in np.flatnonzero(again & (slot >= rounds[0]) & (slot < rounds[1])):
         yield int(place[j]), int(first[j]), int(last[j])
 
@@ -252,7 +260,7 @@ def _key(text: bytes) -> int:
     return xxhash.xxh3_64_intdigest(text) - (1 << 63)
 
 
-def _later(base: DataFrame, length: int, repeated: np.ndarray, splitters: list[bytes], rounds: tuple[int, int]) -> DataFrame:
+def _later(base: DataFrame, length: int, repeated: np.ndarray, splitters: list[bytes], rounds: tuple[int, int], bits: int) -> DataFrame:
     """(doc_id, tie, lo, hi): ranges of window starts that an earlier equal window precedes, for one round's hashes."""
     shared, name = base.sparkSession.sparkContext.broadcast((repeated, splitters)), uuid.uuid4().hex
 
@@ -279,7 +287,7 @@ def _later(base: DataFrame, length: int, repeated: np.ndarray, splitters: list[b
             ids = column(batch, "doc_id").to_pylist()
             for doc, text in zip(ids, texts_of(batch)):
                 tie = None
-                for place, first, last in candidates(text, length, repeated, rounds):
+                for place, first, last in candidates(text, length, repeated, rounds, bits):
                     tie = _key(text) if tie is None else tie
                     k = (text[first : last + length], place - first, last - first)
                     now = (doc, tie, place)
@@ -329,12 +337,13 @@ def suffix_dedup(
     base = id_and_text(docs, id_col, text_col).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("doc_id"), "text")
     volume = base.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     sample_of = max(1, volume // (length - LEAD) * 2 // SPLITTER_SAMPLE)
-    slices = materialise(repeated_slices(base, length, sample_of), "repeated")
+    bits = slice_bits(volume, length)
+    slices = materialise(repeated_slices(base, length, sample_of, bits), "repeated")
     sizes = {r[0]: r[1] for r in slices.select("slice", "size").collect()}
     later, at = None, 0
-    while at < SLICES:
+    while at < 1 << bits:
         end, size = at + 1, sizes.get(at, 0)
-        while end < SLICES and size + sizes.get(end, 0) <= round_hashes:
+        while end < 1 << bits and size + sizes.get(end, 0) <= round_hashes:
             size += sizes.get(end, 0)
             end += 1
         rows = slices.filter(F.col("slice").between(at, end - 1)).collect()
@@ -342,7 +351,7 @@ def suffix_dedup(
         leads = sorted(bytes(x) for r in rows for x in r["leads"])
         buckets = max(24, volume // 4 // BUCKET_BYTES)
         splitters = sorted({leads[len(leads) * i // buckets].ljust(LEAD, b"\0") for i in range(1, buckets)}) if leads else []
-        one = _later(base, length, repeated, splitters, (at, end))
+        one = _later(base, length, repeated, splitters, (at, end), bits)
         later = one if later is None else later.unionByName(one)
         at = end
     ranges = later.groupBy("doc_id", "tie").agg(F.collect_list(F.struct("lo", "hi")).alias("ranges"))
