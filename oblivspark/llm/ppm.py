@@ -23,8 +23,10 @@ ORDER = 5
 MOST_GRAMS = 1 << 24
 #: Words whose counts are broadcast, 16 bytes each; all others are looked up by a join.
 HOT_WORDS = 1 << 17
-#: Symbols coded at a time, grams and words that a task holds before it hands them on, slices of the gram space.
-CHUNK, HELD, SLICES = 1 << 19, 1 << 21, 64
+#: Symbols coded at a time, grams and words that a task holds before it hands them on.
+CHUNK, HELD = 1 << 19, 1 << 21
+#: Least number of slices of the gram space, and bytes of training text per slice where there is more of it.
+SLICES, SLICE_BYTES = 64, 1 << 28
 #: Grams that are looked up at a time: whatever a look-up needs beside the tables stays this small.
 PIECE = 1 << 17
 
@@ -178,7 +180,12 @@ def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray
     return k[first], n
 
 
-def gather_grams(base: DataFrame, order: int) -> DataFrame:
+def slices_of(keys: np.ndarray, slices: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return ((keys * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) % np.uint64(slices)).astype(np.int64)
+
+
+def gather_grams(base: DataFrame, order: int, slices: int) -> DataFrame:
     """(slice, keys, counts): the corpus's grams, counted in each task, then by slice of the gram space."""
 
     def count(batches):
@@ -188,9 +195,9 @@ def gather_grams(base: DataFrame, order: int) -> DataFrame:
             if not keys:
                 return
             k, n = _merge(keys, counts)
-            slot = (xx(k) % np.uint64(SLICES)).astype(np.int64)
+            slot = slices_of(k, slices)
             by = np.argsort(slot, kind="stable")
-            cut = np.searchsorted(slot[by], np.arange(SLICES + 1))
+            cut = np.searchsorted(slot[by], np.arange(slices + 1))
             rows = [(i, by[a:b]) for i, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
             yield pa.record_batch(
                 [pa.array([i for i, _ in rows], pa.int32()), pa.array([k[r].tobytes() for _, r in rows], pa.binary()), pa.array([n[r].astype(np.uint64).tobytes() for _, r in rows], pa.binary())],
@@ -219,10 +226,6 @@ def gather_grams(base: DataFrame, order: int) -> DataFrame:
                             held = 0
         yield from flush()
 
-    def xx(k: np.ndarray) -> np.ndarray:
-        with np.errstate(over="ignore"):
-            return (k * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)
-
     def merge(table: pa.Table) -> pa.Table:
         k, n = _merge(
             [np.frombuffer(b, np.uint64) for b in table["keys"].to_pylist()], [np.frombuffer(b, np.uint64) for b in table["counts"].to_pylist()]
@@ -286,16 +289,17 @@ def lm_scores(
 
     words = materialise(gather_words(train), "word-counts")
     facts = words.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    ends = train.count()
+    ends, volume = train.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
     tokens, kinds = facts[0] + ends, facts[1] + (ends > 0)
     top = words.orderBy(F.desc("c"), "word").limit(hot_words).collect()
     hot = np.array([r[0] for r in top], np.int64).view(np.uint64)
     rank = np.argsort(hot)
     hot, hot_counts = hot[rank], np.array([r[1] for r in top], np.int64)[rank]
 
-    slices = materialise(gather_grams(train, order), "grams")
+    n_slices = max(SLICES, -(-volume // SLICE_BYTES))
+    slices = materialise(gather_grams(train, order, n_slices), "grams")
     size = slices.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
-    keys, counts, used = _collect(slices, size, order, most_grams)
+    keys, counts, used = _collect(slices, size, order, most_grams, n_slices)
     shared, name = spark.sparkContext.broadcast((keys, counts, hot, hot_counts)), uuid.uuid4().hex
 
     def kernel(batches):
@@ -354,7 +358,7 @@ def lm_scores(
     )
 
 
-def _collect(slices: DataFrame, size: int, order: int, most: int) -> tuple[np.ndarray, np.ndarray, int]:
+def _collect(slices: DataFrame, size: int, order: int, most: int, n_slices: int) -> tuple[np.ndarray, np.ndarray, int]:
     """The merged grams on the driver, with contexts as long as the bound allows."""
     while size > most and order:
         # each slice shortens its grams, and slices are merged anew
@@ -365,7 +369,7 @@ def _collect(slices: DataFrame, size: int, order: int, most: int) -> tuple[np.nd
             for batch in batches:
                 for k, n in zip(column(batch, "keys").to_pylist(), column(batch, "counts").to_pylist()):
                     k, n = _merge([np.frombuffer(k, np.uint64) & low(bits)], [np.frombuffer(n, np.uint64)])
-                    slot = ((k * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % np.uint64(SLICES)
+                    slot = slices_of(k, n_slices)
                     for s in np.unique(slot):
                         yield pa.record_batch([pa.array([int(s)], pa.int32()), pa.array([k[slot == s].tobytes()], pa.binary()), pa.array([n[slot == s].astype(np.uint64).tobytes()], pa.binary())], names=["slice", "keys", "counts"])
 
@@ -382,4 +386,5 @@ def _collect(slices: DataFrame, size: int, order: int, most: int) -> tuple[np.nd
         counts.append(np.frombuffer(bytes(r[1]), np.uint64))
     k, n = np.concatenate(keys), np.concatenate(counts)
     by = np.argsort(k)
-    return k[by], np.minimum(n[by], np.iinfo(np.uint32).max).astype(np.uint32), order
+    n = n[by]
+    return k[by], n.astype(np.uint32) if n.max(initial=0) <= np.iinfo(np.uint32).max else n, order

@@ -36,7 +36,7 @@ def documents(spark, sf):
     return spark.read.parquet(f"{sf}/documents.parquet")
 
 
-@pytest.mark.parametrize("name", ["op1_line_dedup", "op9_exact_dedup", "op10_mixing"])
+@pytest.mark.parametrize("name", ["op1_line_dedup", "op3_decontamination", "op7_suffix_dedup", "op9_exact_dedup", "op10_mixing"])
 def test_sql(spark, sf, name):
     same(queries.queries()[name](spark, sf), queries.oracle_sql()[name], views(sf))
 
@@ -305,6 +305,22 @@ def test_passages(spark, sf, edge, empty, rounds):
         assert suffix_dedup.suffix_dedup(empty).collect() == []
 
 
+def test_slices_grow_with_the_volume(edge, monkeypatch):
+    """As many slices as keep each within one task, with the same results."""
+    assert suffix_dedup.slice_bits(0, 100) == 6
+    for volume in (10**9, 10**12, 10**14):
+        bits = suffix_dedup.slice_bits(volume, 100)
+        assert 2 * volume / 68 / 2**bits <= suffix_dedup.SLICE_HASHES
+    few = suffix_dedup.suffix_dedup(edge).collect()
+    grams = ppm.lm_scores(edge).collect()
+    monkeypatch.setattr(suffix_dedup, "SLICE_HASHES", 2)
+    monkeypatch.setattr(ppm, "SLICE_BYTES", 100)
+    assert suffix_dedup.slice_bits(60_000, 100) > 6
+    assert sorted(map(str, suffix_dedup.suffix_dedup(edge).collect())) == sorted(map(str, few))
+    told = lambda found: sorted((str(r["doc_id"]), r["n_tokens"], round(r["score"], 6)) for r in found)
+    assert told(ppm.lm_scores(edge).collect()) == told(grams)
+
+
 def test_multikey_order():
     w = np.random.default_rng(3).integers(0, 3, (20_000, 4)).astype(np.uint64)
     o = suffix_dedup.multikey_order(w)
