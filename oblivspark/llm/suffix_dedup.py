@@ -16,10 +16,10 @@ from .base import column, id_and_text, map_batches, texts_of
 
 #: Bytes of the shingle at which a suffix may begin, a power of two.
 LEAD = 32
-#: Least number of slices of the shingle hashes, and hashes that a slice aims at; hashes that are broadcast at a time; leads that splitters are picked from.
+#: Least number of slices of the shingle hashes, and hashes that a slice aims at; hashes that are broadcast at a time; least number of leads that splitters are picked from.
 SLICES, SLICE_HASHES, ROUND_HASHES, SPLITTER_SAMPLE = 64, 1 << 23, 1 << 23, 1 << 16
-#: Bytes of suffixes per bucket that the splitters aim at.
-BUCKET_BYTES = 8 << 20
+#: Bytes of suffixes per bucket that the splitters aim at, and the least number of buckets.
+BUCKET_BYTES, BUCKETS = 2 << 20, 96
 #: Shingle hashes, and suffixes, that a task holds before it hands them on.
 HELD, HELD_SUFFIXES = 1 << 21, 1 << 16
 _RNG = np.random.default_rng(7)
@@ -276,7 +276,7 @@ def _later(base: DataFrame, length: int, repeated: np.ndarray, splitters: list[b
             rows = [(v[0], v[1], v[2], v[2] - k[1], v[2] - k[1] + k[2], k[0]) for k, v in held.items()]
             lead = np.array([r[5][r[2] - r[3] : r[2] - r[3] + LEAD] for r in rows], dtype=f"S{LEAD}")
             bucket = np.searchsorted(cuts, lead, "right") if len(cuts) else np.zeros(len(rows), np.int64)
-            both = [(int(b), *r) for b, r in zip(bucket, rows)] + [((k[1] ^ k[2]) % (len(cuts) + 1), k[0], k[1], k[2], k[3], k[4], None) for k in known]
+            both = [(int(b), *r) for b, r in zip(bucket, rows)] + [((k[0] ^ k[2]) % (len(cuts) + 1), k[0], k[1], k[2], k[3], k[4], None) for k in known]
             if both:
                 kinds = (pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
                 yield pa.record_batch([pa.array(c, t) for c, t in zip(zip(*both), kinds)], names=["bucket", "doc_id", "tie", "place", "first", "last", "context"])
@@ -336,7 +336,8 @@ def suffix_dedup(
         raise ValueError(f"length is over {LEAD}")
     base = id_and_text(docs, id_col, text_col).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("doc_id"), "text")
     volume = base.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    sample_of = max(1, volume // (length - LEAD) * 2 // SPLITTER_SAMPLE)
+    buckets = max(BUCKETS, volume // 4 // BUCKET_BYTES)
+    sample_of = max(1, volume // (length - LEAD) * 2 // max(SPLITTER_SAMPLE, 4 * buckets))
     bits = slice_bits(volume, length)
     slices = materialise(repeated_slices(base, length, sample_of, bits), "repeated")
     sizes = {r[0]: r[1] for r in slices.select("slice", "size").collect()}
@@ -349,8 +350,8 @@ def suffix_dedup(
         rows = slices.filter(F.col("slice").between(at, end - 1)).collect()
         repeated = np.sort(np.concatenate([np.empty(0, np.uint64), *(np.frombuffer(bytes(r["hashes"]), np.uint64) for r in rows)]))
         leads = sorted(bytes(x) for r in rows for x in r["leads"])
-        buckets = max(24, volume // 4 // BUCKET_BYTES)
-        splitters = sorted({leads[len(leads) * i // buckets].ljust(LEAD, b"\0") for i in range(1, buckets)}) if leads else []
+        n = min(buckets, len(leads))
+        splitters = sorted({leads[len(leads) * i // n].ljust(LEAD, b"\0") for i in range(1, n)})
         one = _later(base, length, repeated, splitters, (at, end), bits)
         later = one if later is None else later.unionByName(one)
         at = end
