@@ -282,12 +282,12 @@ def _forest_in_task(vertices: DataFrame, edges: DataFrame, weighted: bool) -> Da
     return both.unionByName(more).coalesce(1).mapInArrow(kernel, "kind int, a long, b long")
 
 
-def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int, **options) -> DataFrame:
-    """(addr, val): the star-hooking rounds as memory steps, every read and write a sort: for inputs beyond one task."""
+def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int, **options) -> tuple[DataFrame, DataFrame | None]:
+    """(addr, val), and the edges e that stars took: the star-hooking rounds as memory steps, every read and write a sort: for inputs beyond one task."""
     d = materialise(vertices.select(F.col("id").alias("addr"), F.col("id").alias("val")), "parents")
     ask = lambda mem, rows, at, out: pram_read(mem, rows.withColumn("addr", F.col(at)), **options).withColumnRenamed("val", out).drop("found", "addr")
     arcs = edges.select(F.explode(F.array(F.struct("u", "v", "e"), F.struct(F.col("v").alias("u"), F.col("u").alias("v"), "e"))).alias("x")).select("x.*")
-    arcs = materialise(arcs.withColumn("proc", F.monotonically_increasing_id()), "arcs")
+    arcs, used = materialise(arcs.withColumn("proc", F.monotonically_increasing_id()), "arcs"), None
     for _ in range(rounds):
         own = d.select(F.col("addr").alias("proc"), F.col("addr").alias("n"), F.col("val").alias("p"))
         own = materialise(ask(d, own, "p", "g"), "stars")
@@ -301,12 +301,14 @@ def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int, *
         tries = a.select("proc", F.when((F.col("st") == 1) & (F.col("du") != F.col("dv")), F.col("du")).alias("addr"), F.col("e").alias("val"))
         none = d.select("addr", F.lit(None).cast("long").alias("val"))
         best = materialise(pram_write(none, tries, "min", **options), "best")
+        taken = best.select(F.col("val").alias("e"))  # one row a vertex, null where it is no star's root or has no edge out
+        used = taken if used is None else used.unionByName(taken)
         c = materialise(ask(best, ask(best, a, "du", "mine"), "dv", "theirs"), "choice")
         go = (F.col("mine") == F.col("e")) & ~((F.col("theirs") == F.col("mine")) & (F.col("du") < F.col("dv"))).eqNullSafe(F.lit(True))
         hooks = c.select("proc", F.when(go & (F.col("st") == 1) & (F.col("du") != F.col("dv")), F.col("du")).alias("addr"), F.col("dv").alias("val"))
         d = materialise(pram_write(d, hooks, "priority", **options), "parents")
         d = materialise(ask(d, d.select(F.col("addr").alias("n"), "val", F.col("addr").alias("proc")).withColumnRenamed("val", "p"), "p", "g").select(F.col("n").alias("addr"), F.col("g").alias("val")), "parents")
-    return d
+    return d, used
 
 
 def connected_components(vertices: DataFrame, edges: DataFrame, tail: int = TAIL, rounds: int | None = None, **options) -> DataFrame:
@@ -322,7 +324,7 @@ def connected_components(vertices: DataFrame, edges: DataFrame, tail: int = TAIL
     if n + m <= tail:
         out = _forest_in_task(v, numbered, False)
         return out.filter("kind = 0").select(F.col("a").alias("id"), F.col("b").alias("component"))
-    d = _least_neighbour_steps(v, materialise(numbered, "edges"), rounds or rounds_for(n), **options)
+    d, _ = _least_neighbour_steps(v, materialise(numbered, "edges"), rounds or rounds_for(n), **options)
     for _ in range(math.ceil(math.log2(max(n, 2)))):
         got = pram_read(d, d.select(F.col("addr").alias("n"), F.col("val").alias("addr")), **options)
         d = materialise(got.select(F.col("n").alias("addr"), "val"), "parents")
@@ -331,15 +333,24 @@ def connected_components(vertices: DataFrame, edges: DataFrame, tail: int = TAIL
     return got.select(F.col("n").alias("id"), F.col("val").alias("component"))
 
 
-def min_spanning_forest(vertices: DataFrame, edges: DataFrame, tail: int = TAIL) -> DataFrame:
+def min_spanning_forest(vertices: DataFrame, edges: DataFrame, tail: int = TAIL, rounds: int | None = None, **options) -> DataFrame:
     """The rows of ``edges`` (u, v, w, e) in the lightest spanning forest, ties by the edge number e.
 
-    Each star takes its lightest edge out by a min-combining write of (weight, number). Edges are first sorted, so that one number is the
-    key of both; up to ``tail`` rows in all one task holds the parent array, more are refused.
+    Each star takes its lightest edge out by a min-combining write. Up to ``tail`` rows in all one task holds the parent array.
+    Beyond that edges are sorted obliviously, so that the place is one key for weight and number, the rounds of
+    ``connected_components`` run as memory steps, and the edges that stars took are marked by send-receive.
     """
     v = vertices.select(F.col("id").cast("long").alias("id")).distinct()
     e = edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v"), F.col("w").cast("long").alias("w"), F.col("e").cast("long").alias("e"))
-    if v.count() + e.count() > tail:
-        raise ValueError(f"at most {tail} vertices and edges")
-    used = _forest_in_task(v, e, True).filter("kind = 1").select(F.col("a").alias("e"))
-    return e.join(F.broadcast(used), "e", "left_semi")
+    n = v.count()
+    if n + e.count() <= tail:
+        used = _forest_in_task(v, e, True).filter("kind = 1").select(F.col("a").alias("e"))
+        return e.join(F.broadcast(used), "e", "left_semi")
+    placed = materialise(oblivious_sort(e, ["w", "e"], pos="_place", **options), "edges")
+    numbered = placed.select("u", "v", F.col("_place").alias("e"))
+    _, used = _least_neighbour_steps(v, numbered, rounds or rounds_for(n), **options)
+    if used is None:
+        return e.filter("1 = 0")
+    marks = used.select(F.coalesce("e", F.lit(-1)).alias("_place"), F.lit(True).alias("_used"))  # as many rows as vertices times rounds, whatever the graph
+    got = send_receive(marks, placed, ["_place"], ["_used"], restore=False, on_duplicate="first", **options)
+    return got.filter(F.col("found")).select("e", "u", "v", "w")

@@ -164,8 +164,6 @@ def test_components_and_forest(spark):
     got = stars(e.select("u", "v"), "u", "v").collect()
     assert {r["node"]: r["component"] for r in got} == {k: c for k, c in want.items() if k != c}
     assert sorted(r["e"] for r in graphs.min_spanning_forest(v, e).collect()) == [0, 1, 4, 6]
-    with pytest.raises(ValueError):
-        graphs.min_spanning_forest(v, e, tail=3)
 
 
 def test_components_as_memory_steps(spark):
@@ -175,6 +173,13 @@ def test_components_as_memory_steps(spark):
     assert {r["id"]: r["component"] for r in got} == {0: 0, 1: 0, 2: 2, 3: 0}
 
 
+def test_forest_as_memory_steps(spark):
+    v = spark.range(5)
+    e = spark.createDataFrame([(0, 1, 3, 10), (1, 2, 3, 11), (0, 2, 3, 12), (3, 2, 1, 13), (2, 3, 1, 9)], "u long, v long, w long, e long")
+    got = graphs.min_spanning_forest(v, e, tail=0, rounds=2, **S).collect()
+    assert sorted(map(tuple, got)) == [(9, 2, 3, 1), (10, 0, 1, 3), (11, 1, 2, 3)]
+
+
 def test_compaction_and_placement(spark):
     df = spark.createDataFrame([(i, i % 3) for i in range(12)], "pos long, g int")
     done = primitives.compact(df, F.col("g") == 1, bound=4, **S).orderBy("pos").collect()
