@@ -381,11 +381,16 @@ def pram_program_max(spark, d):
     return mem.filter("addr = 0").select(F.col("addr").alias("cell"), F.col("val").alias("value"))
 
 
+def _user_cells(spark, d) -> DataFrame:
+    """A cell of 0 for each user from 0 to the greatest id, 150 at least as the SQL lists them."""
+    most = t(spark, d, "events").agg(F.max("user_id")).first()[0]
+    return spark.range(max(150, 1 + (-1 if most is None else most))).select(F.col("id").alias("addr"), F.lit(0).cast("long").alias("val"))
+
+
 @query("SELECT CAST(c.c AS BIGINT) AS cell, count(user_id) AS value FROM generate_series(0, 149) c(c) LEFT JOIN events ON user_id = c.c GROUP BY 1")
 def pram_program_histogram(spark, d):
     procs = t(spark, d, "events").select(F.col("event_id").alias("proc"), F.col("user_id").alias("key"))
-    mem = spark.range(150).select(F.col("id").alias("addr"), F.lit(0).cast("long").alias("val"))
-    mem, _ = pram.run_pram(pram.histogram_program(), mem, procs, **S)
+    mem, _ = pram.run_pram(pram.histogram_program(), _user_cells(spark, d), procs, **S)
     return mem.select(F.col("addr").alias("cell"), F.col("val").alias("value"))
 
 
@@ -818,8 +823,7 @@ def stream_tumbling_counts(spark, d):
 
 @query('SELECT u.u AS user_id, CAST(coalesce(sum(CAST(round("value" * 100) AS BIGINT)), 0) AS BIGINT) AS val FROM generate_series(0, 149) u(u) LEFT JOIN events ON user_id = u.u GROUP BY 1')
 def stream_state_balances(spark, d):
-    cells = spark.range(150).select(F.col("id").alias("addr"), F.lit(0).cast("long").alias("val"))
-    state = streaming.BalanceState(cells, "user_id", "cents", **S)
+    state = streaming.BalanceState(_user_cells(spark, d), "user_id", "cents", **S)
 
     def step(batch, i):
         state(batch.withColumn("cents", cents("value")), i)
