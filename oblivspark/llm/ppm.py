@@ -1,13 +1,19 @@
-"""Language-model scoring by prediction by partial matching over bytes, beside a word-count base."""
+"""Language-model scoring by prediction by partial matching over bytes, beside a word-count base.
+
+The trie is dealt over tasks at every size. Blocks of documents ask for each of their distinct grams once; the distinct grams of the
+corpus are dealt by range of their contexts, newest symbol first, so that a task holds whole subtrees of the trie.
+"""
 
 from __future__ import annotations
 
 import math
-import uuid
+import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -19,93 +25,112 @@ from .quality import remainder
 BITS, EDGE = 9, 256
 #: Length of the longest context in bytes.
 ORDER = 5
-#: Distinct grams that may be broadcast, 12 bytes each; with more, the longest context is one byte shorter.
-MOST_GRAMS = 1 << 24
-#: Words whose counts are broadcast, 16 bytes each; all others are looked up by a join.
-HOT_WORDS = 1 << 17
-#: Symbols coded at a time, grams and words that a task holds before it hands them on.
+#: Symbols coded at a time, and distinct grams that a block gathers before it merges them.
 CHUNK, HELD = 1 << 19, 1 << 21
-#: Least number of slices of the gram space, and bytes of training text per slice where there is more of it.
+#: Bytes of text in a block; a longer text is a block of its own.
+BLOCK_BYTES = 16 << 20
+#: Least number of slices of the grams (and of the words), and bytes of text per slice where there is more of it.
 SLICES, SLICE_BYTES = 64, 1 << 28
-#: Grams that are looked up at a time: whatever a look-up needs beside the tables stays this small.
-PIECE = 1 << 17
-
+#: Distinct grams that a shard of the trie aims at, the most shards, and grams that splitters are picked from.
+SHARD_GRAMS, MOST_SHARDS, SPLITTER_SAMPLE = 1 << 18, 1 << 12, 1 << 16
+#: Bytes of a text that are cut into words at a time.
+WORD_BYTES = 1 << 20
+_BLANK = re.compile(rb"[\x20\x09-\x0D]")
+_NINE, _SYMBOL, _ODD = np.uint64(BITS), np.uint64((1 << BITS) - 1), np.uint64(0x9E3779B97F4A7C15)
 
-def low(bits: int) -> np.uint64:
-    return np.uint64((1 << bits) - 1)
 
+def grams_of(text: bytes, order: int = ORDER, start: int = 0, end: int | None = None) -> np.ndarray:
+    """The grams at places ``start`` to ``end`` (all by default) of a text's bytes and its end.
 
-def grams_of(text: bytes, order: int = ORDER) -> np.ndarray:
-    """One gram a byte and one for the end: ``order`` symbols of context, then the symbol, packed into 64 bits."""
-    sym = np.full(len(text) + order + 1, EDGE, np.uint64)
-    sym[order:-1] = np.frombuffer(text, np.uint8)
-    out = sym[: len(text) + 1].copy()
-    for i in range(1, order + 1):
-        out <<= np.uint64(BITS)
-        out |= sym[i : i + len(text) + 1]
+    A gram is ``order`` symbols of context, the newest in the highest bits, then the symbol, packed into 64 bits: grams in order
+    of their numbers stand by context, and the contexts that share their newest symbols stand together.
+    """
+    end = len(text) + 1 if end is None else end
+    sym = np.full(end - start + order, EDGE, np.uint64)
+    have = max(start - order, 0)
+    piece = np.frombuffer(text, np.uint8, min(end, len(text)) - have, have) if len(text) > have else np.empty(0, np.uint8)
+    sym[have - start + order : have - start + order + len(piece)] = piece
+    n, out = end - start, None
+    for back in range(1, order + 1):
+        now = sym[order - back : order - back + n]
+        out = now.copy() if out is None else (out << _NINE) | now
+    return sym[order:] if out is None else (out << _NINE) | sym[order:]
+
+
+def pieces_of(texts: list[bytes], order: int, chunk: int = CHUNK):
+    """(places in the list, grams, length of each): whole short texts together, a long one in pieces, about ``chunk`` grams at a time."""
+    at, parts, held = [], [], 0
+    for i, text in enumerate(texts):
+        for start in range(0, len(text) + 1, chunk):
+            part = grams_of(text, order, start, min(start + chunk, len(text) + 1))
+            if held + len(part) > chunk and parts:
+                yield at, np.concatenate(parts), [len(p) for p in parts]
+                at, parts, held = [], [], 0
+            at.append(i)
+            parts.append(part)
+            held += len(part)
+    if parts:
+        yield at, np.concatenate(parts), [len(p) for p in parts]
+
+
+def words_of(text: bytes):
+    """Lists of a text's words (A to Z lower-cased), about ``WORD_BYTES`` of text at a time."""
+    at = 0
+    while at < len(text):
+        blank = _BLANK.search(text, at + WORD_BYTES) if len(text) - at > WORD_BYTES else None
+        end = blank.start() if blank else len(text)
+        yield text[at:end].lower().split()
+        at = end + 1
+
+
+def find(keys: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Place of each wanted key among sorted distinct keys, -1 where it is unknown."""
+    if not len(keys):
+        return np.full(len(wanted), -1, np.int64)
+    at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
+    return np.where(keys[at] == wanted, at, -1)
+
+
+def context_at(grams: np.ndarray, k: int, order: int) -> np.ndarray:
+    """The newest ``k`` symbols of each gram's context."""
+    return grams >> np.uint64(BITS * (order + 1 - k))
+
+
+def spanning(splitters: np.ndarray, order: int) -> list[np.ndarray]:
+    """For each length below ``order`` the contexts whose grams lie on both sides of a splitter."""
+    out = []
+    for k in range(order):
+        shift = np.uint64(BITS * (order - k))
+        out.append(np.unique(splitters[(splitters >> shift << shift) != splitters] >> shift))
     return out
 
 
-class Table:
-    """Sorted distinct keys by linear probing: place of each key, -1 where it is unknown."""
-
-    def __init__(self, keys: np.ndarray):
-        size = 64
-        while 2 * size < 3 * len(keys):
-            size *= 2
-        self.shift, self.mask = np.uint64(64 - size.bit_length() + 1), size - 1
-        self.keys, self.slots = keys, np.full(size, -1, np.int32)
-        at, open_ = self._first(keys), np.arange(len(keys), dtype=np.int32)
-        while len(open_):
-            free = self.slots[at] < 0
-            self.slots[at[free]] = open_[free]  # of several the last one stays
-            lost = self.slots[at] != open_
-            open_, at = open_[lost], (at[lost] + 1) & self.mask
-
-    def _first(self, keys: np.ndarray) -> np.ndarray:
-        with np.errstate(over="ignore"):
-            return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
-
-    def find(self, keys: np.ndarray) -> np.ndarray:
-        if len(keys) > PIECE:
-            return np.concatenate([self.find(keys[i : i + PIECE]) for i in range(0, len(keys), PIECE)])
-        at = self._first(keys)
-        out = self.slots[at]
-        wrong = np.flatnonzero((out >= 0) & (self.keys[out] != keys)) if len(self.keys) else np.empty(0, np.int64)
-        while len(wrong):
-            at[wrong] = (at[wrong] + 1) & self.mask
-            got = self.slots[at[wrong]]
-            out[wrong] = got
-            wrong = wrong[(got >= 0) & (self.keys[got] != keys[wrong])]
-        return out
-
-
 class Trie:
     """Counts of every context of 0 to ``order`` symbols, with escape estimation and symbol exclusion.
 
     At a context with total T and D distinct symbols, of which the next longer context has X and E, a symbol
     that the longer one lacks gets (2 count - 1) / 2(T - X) and the escape (D - E) / 2(T - X); a context
     with nothing new escapes for free. Under the empty context all symbols not seen share what is left.
+    Of a trie that is dealt, ``shared`` has for each length the whole counts of contexts that several parts have: (contexts, keys, counts).
     """
 
-    def __init__(self, grams: np.ndarray, counts: np.ndarray, order: int = ORDER):
+    def __init__(self, grams: np.ndarray, counts: np.ndarray, order: int = ORDER, shared: list[tuple] | None = None):
         self.order, self.levels = order, []
-        keys, n = grams, counts.astype(np.int64)
+        grams, counts = grams[counts > 0], counts[counts > 0].astype(np.int64)
         for k in range(order, -1, -1):
-            if k < order:
-                keys, n = _merge([keys & low(BITS * (k + 1))], [n])
-            contexts, first = np.unique(keys >> np.uint64(BITS), return_index=True)
+            keys, n = _merge([context_at(grams, k, order) << _NINE | grams & _SYMBOL], [counts])
+            if shared and k < order:
+                across, more, times = shared[k]
+                own = find(across, keys >> _NINE) < 0
+                keys, n = _merge([keys[own], more], [n[own], times])
+            contexts, first = np.unique(keys >> _NINE, return_index=True)
             total = np.add.reduceat(n, first) if len(first) else n[:0]
-            kinds = np.diff(np.append(first, len(keys)))
-            self.levels.append({"keys": Table(keys), "n": n, "contexts": Table(contexts), "total": total, "kinds": kinds, "first": first})
+            self.levels.append({"keys": keys, "n": n, "contexts": contexts, "total": total, "kinds": np.diff(np.append(first, len(keys))), "first": first})
         # what a longer context takes out of the next shorter one
         for upper, lower in zip(self.levels, self.levels[1:]):
-            keys = upper["keys"].keys
-            bits = BITS * (order - self.levels.index(upper))
-            inside = lower["n"][lower["keys"].find(keys & low(bits))]
+            keys = upper["keys"]
+            inside = lower["n"][find(lower["keys"], keys >> (_NINE + _NINE) << _NINE | keys & _SYMBOL)]
             upper["taken"] = np.add.reduceat(inside, upper["first"]) if len(keys) else inside[:0]
-        parts = [self.log10(grams[i : i + PIECE]) for i in range(0, len(grams), PIECE)]
-        self.known = np.concatenate(parts) if parts else np.empty(0)
 
     def log10(self, grams: np.ndarray) -> np.ndarray:
         """Log10 probability of each gram's last symbol after its context."""
@@ -115,13 +140,12 @@ class Trie:
         for depth, level in enumerate(self.levels):
             if not len(open_):
                 return out
-            bits = BITS * (self.order - depth + 1)
-            g = grams[open_] & low(bits)
-            c = level["contexts"].find(g >> np.uint64(BITS))
+            context = context_at(grams[open_], self.order - depth, self.order)
+            c = find(level["contexts"], context)
             seen = c >= 0
-            at, c, g = open_[seen], c[seen], g[seen]
+            at, c, key = open_[seen], c[seen], context[seen] << _NINE | grams[open_[seen]] & _SYMBOL
             total, kinds = level["total"][c] - taken[at], level["kinds"][c] - gone[at]
-            k = level["keys"].find(g)
+            k = find(level["keys"], key)
             hit = k >= 0
             out[at[hit]] += np.log10((2 * level["n"][k[hit]] - 1) / (2 * total[hit]))
             miss = ~hit
@@ -136,14 +160,6 @@ class Trie:
         out[open_] -= np.log10(np.maximum(EDGE + 1 - gone[open_], 1))
         return out
 
-    def score(self, grams: np.ndarray) -> np.ndarray:
-        """As ``log10``, by the table of grams that training has seen."""
-        at = self.levels[0]["keys"].find(grams)
-        out = np.where(at >= 0, self.known[at], 0.0) if len(self.known) else np.zeros(len(grams))
-        new = np.flatnonzero(at < 0)
-        out[new] = self.log10(grams[new])
-        return out
-
 
 def adaptive_log10(text: bytes, order: int = ORDER) -> float:
     """Log10 probability of a text by a model that learns from the text itself, symbol by symbol (escape method and exclusion as in ``Trie``)."""
@@ -173,218 +189,273 @@ def adaptive_log10(text: bytes, order: int = ORDER) -> float:
 def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Distinct keys in order and the sums of their counts."""
     k, n = np.concatenate(keys), np.concatenate(counts)
-    by = np.argsort(k)
-    k = k[by]
+    if len(k) > 1 and (k[1:] < k[:-1]).any():
+        by = np.argsort(k)
+        k, n = k[by], n[by]
     first = np.flatnonzero(np.concatenate(([True], k[1:] != k[:-1]))) if len(k) else np.empty(0, np.int64)
-    n = np.add.reduceat(n[by].astype(np.int64), first) if len(k) else n.astype(np.int64)
+    n = np.add.reduceat(n.astype(np.int64), first) if len(k) else n.astype(np.int64)
     return k[first], n
 
 
 def slices_of(keys: np.ndarray, slices: int) -> np.ndarray:
     with np.errstate(over="ignore"):
-        return ((keys * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) % np.uint64(slices)).astype(np.int64)
+        return ((keys * _ODD >> np.uint64(32)) % np.uint64(slices)).astype(np.int64)
+
 
+def by_slice(keys: np.ndarray, slices: int) -> list[tuple[int, np.ndarray]]:
+    """(slice, places of its keys, in order) for each slice that has some."""
+    slot = slices_of(keys, slices)
+    by = np.argsort(slot, kind="stable")
+    cut = np.searchsorted(slot[by], np.arange(slices + 1))
+    return [(i, by[a:b]) for i, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
 
-def gather_grams(base: DataFrame, order: int, slices: int) -> DataFrame:
-    """(slice, keys, counts): the corpus's grams, counted in each task, then by slice of the gram space."""
 
-    def count(batches):
-        keys, counts, held = [], [], 0
+def word_hashes(words: list[bytes]) -> np.ndarray:
+    h = xxhash.xxh3_64_intdigest
+    return np.array([h(w) for w in words], np.uint64)
+
+
+def counted_grams(texts: list[bytes], train: list[bool], order: int) -> tuple[np.ndarray, np.ndarray]:
+    """A block's distinct grams in order, and how often each is in its training texts."""
+    keys, counts, size = [np.empty(0, np.uint64)], [np.empty(0, np.int64)], 0
+    for learn in (True, False):
+        for _, flat, _ in pieces_of([t for t, mine in zip(texts, train) if mine == learn], order):
+            k, n = np.unique(flat, return_counts=True)
+            keys.append(k)
+            counts.append(n if learn else np.zeros(len(k), np.int64))
+            size += len(k)
+            if size >= HELD:
+                k, n = _merge(keys, counts)
+                keys, counts, size = [k], [n], 0
+    return _merge(keys, counts)
+
+
+def counted_words(texts: list[bytes], train: list[bool]) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of a block's distinct words in order, and how often each is in its training texts; the empty word stands for a text's end."""
+    learnt, other = Counter(), Counter()
+    for text, learn in zip(texts, train):
+        for words in words_of(text):
+            (learnt if learn else other).update(words)
+        (learnt if learn else other)[b""] += 1
+    new = [w for w in other if w not in learnt]
+    return _merge([word_hashes([*learnt, *new])], [np.array([*learnt.values(), *[0] * len(new)], np.int64)])
+
+
+_ROW = "block long, slice int, doc_id {kind}, held_out boolean, text string, keys binary, counts binary"
+
+
+def cut_blocks(base: DataFrame, order: int, slices: int, block_bytes: int) -> DataFrame:
+    """Documents with the number of their block, and for each block and slice (words in the second half) a row of what the block asks for."""
+    kind = base.schema["doc_id"].dataType.simpleString()
+
+    def kernel(batches):
+        task, done, ids, held, texts, size = TaskContext.get().partitionId(), 0, [], [], [], 0
 
         def flush():
-            if not keys:
-                return
-            k, n = _merge(keys, counts)
-            slot = slices_of(k, slices)
-            by = np.argsort(slot, kind="stable")
-            cut = np.searchsorted(slot[by], np.arange(slices + 1))
-            rows = [(i, by[a:b]) for i, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
-            yield pa.record_batch(
-                [pa.array([i for i, _ in rows], pa.int32()), pa.array([k[r].tobytes() for _, r in rows], pa.binary()), pa.array([n[r].astype(np.uint64).tobytes() for _, r in rows], pa.binary())],
-                names=["slice", "keys", "counts"],
-            )
-            keys.clear()
-            counts.clear()
-
-        part, size = [], 0
+            nonlocal done, size
+            block = (task << 32) | done
+            train = [h is not True for h in held]
+            rows = []
+            for shift, (keys, counts) in ((0, counted_grams(texts, train, order)), (slices, counted_words(texts, train))):
+                rows += [(shift + i, keys[p].tobytes(), counts[p].astype(np.uint64).tobytes()) for i, p in by_slice(keys, slices)]
+            n, m = len(texts), len(rows)
+            for i in range(0, n, 4096):  # texts apart from what they ask for, so that neither column is widened by the other
+                part = [pa.array([block] * len(texts[i : i + 4096]), pa.int64()), pa.nulls(len(texts[i : i + 4096]), pa.int32()), pa.array(ids[i : i + 4096], id_type), pa.array(held[i : i + 4096], pa.bool_()), pa.array(texts[i : i + 4096], pa.binary()).cast(pa.string())]
+                yield pa.record_batch([*part, pa.nulls(len(part[0]), pa.binary()), pa.nulls(len(part[0]), pa.binary())], names=names)
+            parts = [pa.array([block] * m, pa.int64()), pa.array([r[0] for r in rows], pa.int32()), pa.nulls(m, id_type), pa.nulls(m, pa.bool_()), pa.nulls(m, pa.string()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())]
+            yield pa.record_batch(parts, names=names)
+            done, size = done + 1, 0
+            for x in (ids, held, texts):
+                x.clear()
+
+        names, id_type = ["block", "slice", "doc_id", "held_out", "text", "keys", "counts"], None
         for batch in batches:
-            for text in [*texts_of(batch), None]:
-                if text is not None:
-                    part.append(grams_of(text, order))
-                    size += len(part[-1])
-                if part and (size >= CHUNK or text is None):
-                    k, n = np.unique(np.concatenate(part), return_counts=True)
-                    keys.append(k)
-                    counts.append(n)
-                    held += len(k)
-                    part, size = [], 0
-                    if held >= HELD:
-                        k, n = _merge(keys, counts)
-                        keys[:], counts[:], held = [k], [n], len(k)
-                        if held >= HELD // 2:
-                            yield from flush()
-                            held = 0
-        yield from flush()
+            own = column(batch, "doc_id")
+            id_type = own.type
+            for i, h, text in zip(own.to_pylist(), column(batch, "held_out").to_pylist(), texts_of(batch)):
+                if texts and size + len(text) > block_bytes:
+                    yield from flush()
+                ids.append(i)
+                held.append(h)
+                texts.append(text)
+                size += len(text)
+        if texts:
+            yield from flush()
 
-    def merge(table: pa.Table) -> pa.Table:
-        k, n = _merge(
-            [np.frombuffer(b, np.uint64) for b in table["keys"].to_pylist()], [np.frombuffer(b, np.uint64) for b in table["counts"].to_pylist()]
-        )
-        return pa.table({"size": pa.array([len(k)], pa.int64()), "keys": pa.array([k.tobytes()], pa.binary()), "counts": pa.array([n.astype(np.uint64).tobytes()], pa.binary())})
+    return map_batches(base.select("doc_id", "held_out", "text"), kernel, _ROW.format(kind=kind))
 
-    dealt = map_batches(base.select("text"), count, "slice int, keys binary, counts binary")
-    return dealt.groupBy("slice").applyInArrow(merge, "size long, keys binary, counts binary")
 
+def _u64(parts) -> list[np.ndarray]:
+    return [np.empty(0, np.uint64), *(np.frombuffer(b, np.uint64) for b in parts.to_pylist())]
 
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    h = xxhash.xxh3_64_intdigest
-    return np.array([h(w) for w in words], np.uint64)
 
+def merge_slices(asked: DataFrame, slices: int) -> DataFrame:
+    """(slice, size, known, total, keys, counts, sample): each distinct key of the corpus once, with its count in training texts."""
+    per = max(1, SPLITTER_SAMPLE // slices)
 
-def gather_words(base: DataFrame) -> DataFrame:
-    """(word, c): every training word's hash and count, counted in each task before the exchange."""
+    def merge(table: pa.Table) -> pa.Table:
+        slot = table["slice"][0].as_py()
+        k, n = _merge(_u64(table["keys"]), _u64(table["counts"]))
+        with np.errstate(over="ignore"):
+            some = k[np.argsort(k * _ODD * _ODD)[:per]] if slot < slices else k[:0]
+        return pa.table({
+            "slice": pa.array([slot], pa.int32()), "size": pa.array([len(k)], pa.int64()), "known": pa.array([int((n > 0).sum())], pa.int64()), "total": pa.array([int(n.sum())], pa.int64()),
+            "keys": pa.array([k.tobytes()], pa.binary()), "counts": pa.array([n.astype(np.uint64).tobytes()], pa.binary()), "sample": pa.array([some.tobytes()], pa.binary()),
+        })
 
-    def count(batches):
-        held: dict[bytes, int] = {}
+    return asked.select("slice", "keys", "counts").groupBy("slice").applyInArrow(merge, "slice int, size long, known long, total long, keys binary, counts binary, sample binary")
 
-        def flush():
-            if held:
-                yield pa.record_batch([pa.array(word_hashes(list(held)).view(np.int64)), pa.array(list(held.values()), pa.int64())], names=["word", "c"])
-                held.clear()
 
+def shared_counts(grams: DataFrame, splitters: np.ndarray, order: int) -> list[tuple]:
+    """For each length below ``order`` the contexts that splitters cut, and their keys and counts: at most 257 keys for each of them."""
+    across = spanning(splitters, order)
+
+    def kernel(batches):
+        held = [([np.empty(0, np.uint64)], [np.empty(0, np.int64)]) for _ in range(order)]
         for batch in batches:
-            for text in texts_of(batch):
-                for w in text.lower().split():
-                    held[w] = held.get(w, 0) + 1
-                if len(held) >= HELD // 8:
-                    yield from flush()
-        yield from flush()
+            for keys, counts in zip(_u64(column(batch, "keys"))[1:], _u64(column(batch, "counts"))[1:]):
+                g, n = keys[counts > 0], counts[counts > 0].astype(np.int64)
+                for k in range(order):
+                    context = context_at(g, k, order)
+                    on = find(across[k], context) >= 0
+                    held[k] = tuple([x] for x in _merge([*held[k][0], context[on] << _NINE | g[on] & _SYMBOL], [*held[k][1], n[on]]))
+        for k, ((keys,), (n,)) in enumerate(held):
+            yield pa.record_batch([pa.array(np.full(len(keys), k, np.int32)), pa.array(keys.view(np.int64)), pa.array(n)], names=["k", "key", "n"])
+
+    found = map_batches(grams.select("keys", "counts"), kernel, "k int, key long, n long").groupBy("k", "key").agg(F.sum("n").alias("n")).toArrow()
+    k, key, n = (found[c].to_numpy() for c in ("k", "key", "n"))
+    out = []
+    for level in range(order):
+        keys, counts = _merge([key[k == level].view(np.uint64)], [n[k == level]])
+        out.append((across[level], keys, counts))
+    return out
 
-    return map_batches(base.select("text"), count, "word long, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
+def score_grams(grams: DataFrame, order: int, slices: int, shard_grams: int) -> DataFrame:
+    """(slice, keys, values): the log10 probability of each distinct gram, by a trie that is dealt over tasks by range of context."""
+    size = grams.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
+    sample = np.sort(np.concatenate([np.empty(0, np.uint64), *(np.frombuffer(bytes(r[0]), np.uint64) for r in grams.select("sample").toLocalIterator())])) >> _NINE
+    shards = max(1, min(MOST_SHARDS, -(-size // shard_grams), len(sample)))
+    splitters = np.unique(sample[[len(sample) * i // shards for i in range(1, shards)]]) if shards > 1 else sample[:0]
+    told = shared_counts(grams, splitters, order)
+    shared = grams.sparkSession.sparkContext.broadcast((splitters, told))
 
-_models: dict[str, Trie] = {}
+    def deal(batches):
+        cuts = shared.value[0]
+        for batch in batches:
+            for keys, counts in zip(_u64(column(batch, "keys"))[1:], _u64(column(batch, "counts"))[1:]):
+                # keys are in order, and so are their shards
+                at = np.searchsorted(cuts, keys >> _NINE, "right")
+                cut = np.searchsorted(at, np.arange(len(cuts) + 2))
+                rows = [(i, a, b) for i, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
+                yield pa.record_batch(
+                    [pa.array([r[0] for r in rows], pa.int32()), pa.array([keys[a:b].tobytes() for _, a, b in rows], pa.binary()), pa.array([counts[a:b].tobytes() for _, a, b in rows], pa.binary())],
+                    names=["shard", "keys", "counts"],
+                )
+
+    def score(table: pa.Table) -> pa.Table:
+        cuts, told = shared.value
+        shard = table["shard"][0].as_py()
+        low = cuts[shard - 1] if shard else np.uint64(0)
+        high = cuts[shard] if shard < len(cuts) else np.uint64(1 << BITS * order)
+        near = []
+        for k, (across, keys, n) in enumerate(told):  # of the contexts that several shards have, those that this one has
+            shift = np.uint64(BITS * (order - k))
+            context = keys >> _NINE
+            on = (context >= low >> shift) & (context << shift < high)
+            near.append((across, keys[on], n[on]))
+        grams, counts = _merge(_u64(table["keys"]), _u64(table["counts"]))
+        model = Trie(grams, counts, order, near)
+        value = np.concatenate([np.empty(0), *(model.log10(grams[i : i + CHUNK]) for i in range(0, len(grams), CHUNK))])
+        rows = by_slice(grams, slices)
+        return pa.table({"slice": pa.array([i for i, _ in rows], pa.int32()), "keys": pa.array([grams[p].tobytes() for _, p in rows], pa.binary()), "values": pa.array([value[p].tobytes() for _, p in rows], pa.binary())})
+
+    dealt = map_batches(grams.select("keys", "counts"), deal, "shard int, keys binary, counts binary")
+    return dealt.groupBy("shard").applyInArrow(score, "slice int, keys binary, values binary")
+
+
+def _sorted_values(keys: pa.ChunkedArray, values: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    k = np.concatenate(_u64(keys))
+    v = np.concatenate([np.empty(0), *(np.frombuffer(b, np.float64) for b in values.to_pylist())])
+    by = np.argsort(k)
+    return k[by], v[by]
 
 
 def lm_scores(
     docs: DataFrame, by: int = 7, held: int = 2, order: int = ORDER, id_col: str = "doc_id", text_col: str = "text",
-    hot_words: int = HOT_WORDS, most_grams: int = MOST_GRAMS,
+    shard_grams: int = SHARD_GRAMS, block_bytes: int = BLOCK_BYTES,
 ) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
     Training documents are those whose crc32 (of the id as text) modulo ``by`` isn't ``held``. ``score`` is the
     log10 probability of the whole text's bytes and its end under a trie of byte contexts up to
-    ``order`` long that every training document has been counted into (contexts start anew with each document). Each
-    task sums its grams before the exchange. The merged table is measured before it is broadcast: above ``most_grams`` distinct grams
-    the longest contexts are merged into those a byte shorter until it fits; all documents still count. ``base_score`` is the sum over words
-    (A to Z lower-cased) and one end of log10((c + 1) / (N + V + 1)). Counts of the ``hot_words`` most frequent words are broadcast, the other words join
-    their counts by hash; none of those is frequent, so no key is hot. Words go by 64-bit hashes.
+    ``order`` long that every training document has been counted into (contexts start anew with each document). The model is the same
+    at every size: nothing that grows with the corpus is broadcast or held by one task. Documents go in blocks of about ``block_bytes``; a block asks
+    once for each of its distinct grams and words. Askings meet by slices of their hash, where the corpus's distinct grams and their counts come out;
+    these go to shards of the trie, about ``shard_grams`` each, whose ends may cut a context: such contexts' counts are summed beforehand and
+    broadcast, at most 257 for each end and length. Answers go back by slice, then to the block. ``base_score`` is the sum over words
+    (A to Z lower-cased) and one end of log10((c + 1) / (N + V + 1)). Words go by 64-bit hashes.
 
     Null text: the empty text, which has one token, its end. Null id: a training document. Repeated rows count and
     are scored each. No training documents: every symbol is one of 257, every word unknown. Empty table: no rows. Other columns are ignored.
     """
+    if not 0 <= order <= 6:
+        raise ValueError("contexts have 0 to 6 symbols")
     spark = docs.sparkSession
     base = id_and_text(docs, id_col, text_col).withColumn("held_out", remainder(F.col("doc_id"), by) == held)
-    train = base.filter(~F.col("held_out"))
-
-    words = materialise(gather_words(train), "word-counts")
-    facts = words.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    ends, volume = train.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
-    tokens, kinds = facts[0] + ends, facts[1] + (ends > 0)
-    top = words.orderBy(F.desc("c"), "word").limit(hot_words).collect()
-    hot = np.array([r[0] for r in top], np.int64).view(np.uint64)
-    rank = np.argsort(hot)
-    hot, hot_counts = hot[rank], np.array([r[1] for r in top], np.int64)[rank]
-
-    n_slices = max(SLICES, -(-volume // SLICE_BYTES))
-    slices = materialise(gather_grams(train, order, n_slices), "grams")
-    size = slices.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
-    keys, counts, used = _collect(slices, size, order, most_grams, n_slices)
-    shared, name = spark.sparkContext.broadcast((keys, counts, hot, hot_counts)), uuid.uuid4().hex
-
-    def kernel(batches):
-        keys, counts, hot, hot_counts = shared.value
-        if name not in _models:
-            _models.clear()
-            _models[name] = Trie(keys, counts, used)
-        model = _models[name]
+    volume = base.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    slices = max(SLICES, -(-volume // SLICE_BYTES))
+    blocks = materialise(cut_blocks(base, order, slices, block_bytes), "blocks")
+    texts = blocks.filter("slice IS NULL").select("block", "doc_id", "held_out", "text")
+    asked = blocks.filter("slice IS NOT NULL").select("block", "slice", "keys", "counts")
+
+    merged = materialise(merge_slices(asked, slices), "merged")
+    grams, words = merged.filter(F.col("slice") < slices), merged.filter(F.col("slice") >= slices)
+    tokens, kinds = words.agg(F.coalesce(F.sum("total"), F.lit(0)), F.coalesce(F.sum("known"), F.lit(0))).first()
+    floor = math.log10(tokens + kinds + 1)
+
+    def logs(batches):
         for batch in batches:
-            texts = texts_of(batch)
-            score = np.zeros(len(texts))
-            at = 0
-            while at < len(texts):  # whole texts, about CHUNK symbols at a time; a longer text in pieces
-                end, room = at + 1, CHUNK - len(texts[at])
-                while end < len(texts) and room > len(texts[end]):
-                    room -= len(texts[end]) + 1
-                    end += 1
-                parts = [grams_of(t, used) for t in texts[at:end]]
-                flat = np.concatenate(parts) if len(parts) > 1 else parts[0]
-                log = np.concatenate([model.score(flat[i : i + PIECE]) for i in range(0, len(flat), PIECE)])
-                score[at:end] = np.add.reduceat(log, np.cumsum([0, *map(len, parts[:-1])]))
-                at = end
-            n_tokens, known, total, rest, times = [], [], [], [], []
-            for text in texts:
-                tf: dict[bytes, int] = {}
-                own = text.lower().split()
-                for w in own:
-                    tf[w] = tf.get(w, 0) + 1
-                h, n = word_hashes(list(tf)), np.fromiter(tf.values(), np.int64, len(tf))
-                i = np.minimum(np.searchsorted(hot, h), max(len(hot) - 1, 0))
-                is_hot = hot[i] == h if len(hot) else np.zeros(len(h), bool)
-                n_tokens.append(len(own) + 1)
-                known.append(int(n[is_hot].sum()) + (ends > 0))
-                total.append(float((n[is_hot] * np.log10(hot_counts[i[is_hot]] + 1)).sum()) + math.log10(ends + 1) - (len(own) + 1) * math.log10(tokens + kinds + 1))
-                rest.append(h[~is_hot].view(np.int64))
-                times.append(n[~is_hot].astype(np.int32))
-            yield pa.record_batch(
-                [column(batch, "doc_id"), column(batch, "held_out"), column(batch, "row"), pa.array(n_tokens, pa.int64()), pa.array(known, pa.int64()), pa.array(total), pa.array(score), pa.array(rest, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int32()))],
-                names=["doc_id", "held_out", "row", "n_tokens", "known", "total", "score", "word", "times"],
-            )
+            values = [np.log10(n.astype(np.float64) + 1).tobytes() for n in _u64(column(batch, "counts"))[1:]]
+            yield pa.record_batch([column(batch, "slice"), column(batch, "keys"), pa.array(values, pa.binary())], names=["slice", "keys", "values"])
 
-    kind = base.schema["doc_id"].dataType.simpleString()
-    scored = map_batches(
-        base.withColumn("row", F.monotonically_increasing_id()), kernel,
-        f"doc_id {kind}, held_out boolean, row long, n_tokens long, known long, total double, score double, word array<long>, times array<int>",
-    )
-    scored = materialise(scored, "scored")
-    pairs = scored.select("row", F.explode(F.arrays_zip("word", "times")).alias("p")).select("row", F.col("p.word").alias("word"), F.col("p.times").alias("times"))
-    more = pairs.join(words, "word").groupBy("row").agg(
-        F.sum("times").alias("n"), F.sum(F.col("times") * F.log10(F.col("c") + 1)).alias("t")
-    )
-    out = scored.drop("word", "times").join(more, "row", "left")
-    return out.select(
-        "doc_id", "held_out", "n_tokens", (F.col("known") + F.coalesce("n", F.lit(0))).alias("n_known"),
-        F.lit(int(tokens)).cast("long").alias("train_tokens"), (F.col("total") + F.coalesce("t", F.lit(0.0))).alias("base_score"), "score",
-    )
+    answers = score_grams(grams, order, slices, shard_grams).unionByName(map_batches(words.select("slice", "keys", "counts"), logs, "slice int, keys binary, values binary"))
 
+    def reply(asked: pa.Table, known: pa.Table) -> pa.Table:
+        keys, values = _sorted_values(known["keys"], known["values"])
+        out = [values[np.searchsorted(keys, np.frombuffer(b, np.uint64))].tobytes() for b in asked["keys"].to_pylist()]
+        return pa.table({"block": asked["block"], "slice": asked["slice"], "keys": asked["keys"], "values": pa.array(out, pa.binary())})
 
-def _collect(slices: DataFrame, size: int, order: int, most: int, n_slices: int) -> tuple[np.ndarray, np.ndarray, int]:
-    """The merged grams on the driver, with contexts as long as the bound allows."""
-    while size > most and order:
-        # each slice shortens its grams, and slices are merged anew
-        order -= 1
-        bits = BITS * (order + 1)
-
-        def shorten(batches, bits=bits):
-            for batch in batches:
-                for k, n in zip(column(batch, "keys").to_pylist(), column(batch, "counts").to_pylist()):
-                    k, n = _merge([np.frombuffer(k, np.uint64) & low(bits)], [np.frombuffer(n, np.uint64)])
-                    slot = slices_of(k, n_slices)
-                    for s in np.unique(slot):
-                        yield pa.record_batch([pa.array([int(s)], pa.int32()), pa.array([k[slot == s].tobytes()], pa.binary()), pa.array([n[slot == s].astype(np.uint64).tobytes()], pa.binary())], names=["slice", "keys", "counts"])
-
-        def merge(table: pa.Table) -> pa.Table:
-            k, n = _merge([np.frombuffer(b, np.uint64) for b in table["keys"].to_pylist()], [np.frombuffer(b, np.uint64) for b in table["counts"].to_pylist()])
-            return pa.table({"size": pa.array([len(k)], pa.int64()), "keys": pa.array([k.tobytes()], pa.binary()), "counts": pa.array([n.astype(np.uint64).tobytes()], pa.binary())})
-
-        shorter = map_batches(slices.select("keys", "counts"), shorten, "slice int, keys binary, counts binary")
-        slices = materialise(shorter.groupBy("slice").applyInArrow(merge, "size long, keys binary, counts binary"), "grams")
-        size = slices.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
-    keys, counts = [np.empty(0, np.uint64)], [np.empty(0, np.uint64)]
-    for r in slices.select("keys", "counts").toLocalIterator():
-        keys.append(np.frombuffer(bytes(r[0]), np.uint64))
-        counts.append(np.frombuffer(bytes(r[1]), np.uint64))
-    k, n = np.concatenate(keys), np.concatenate(counts)
-    by = np.argsort(k)
-    n = n[by]
-    return k[by], n.astype(np.uint32) if n.max(initial=0) <= np.iinfo(np.uint32).max else n, order
+    replies = asked.select("block", "slice", "keys").groupBy("slice").cogroup(answers.groupBy("slice")).applyInArrow(reply, "block long, slice int, keys binary, values binary")
+    kind = base.schema["doc_id"].dataType.simpleString()
+
+    def finish(mine: pa.Table, told: pa.Table) -> pa.Table:
+        is_gram = pa.array(told["slice"].to_numpy() < slices)
+        keys, values = _sorted_values(*(told.filter(is_gram)[c] for c in ("keys", "values")))
+        own = mine.combine_chunks()["text"].cast(pa.binary()).to_pylist()
+        score = np.zeros(len(own))
+        for at, flat, lengths in pieces_of(own, order):
+            log = values[np.searchsorted(keys, flat)]
+            np.add.at(score, at, np.add.reduceat(log, np.cumsum([0, *lengths[:-1]])))
+        is_word = pa.array(told["slice"].to_numpy() >= slices)
+        keys, values = _sorted_values(*(told.filter(is_word)[c] for c in ("keys", "values")))
+        value: dict[bytes, float] = {}
+        n_tokens, known, total = [], [], []
+        for text in own:
+            n, k, t = 1, 0, 0.0
+            for ws in [*words_of(text), [b""]]:
+                new = [w for w in set(ws) if w not in value]
+                value.update(zip(new, values[np.searchsorted(keys, word_hashes(new))].tolist() if new else []))
+                x = np.array([value[w] for w in ws])
+                n, k, t = n + len(ws), k + int(np.count_nonzero(x)), t + float(x.sum())
+            n_tokens.append(n - 1)
+            known.append(k)
+            total.append(t - (n - 1) * floor)
+        return pa.table({
+            "doc_id": mine["doc_id"], "held_out": mine["held_out"], "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(known, pa.int64()),
+            "train_tokens": pa.array([int(tokens)] * len(own), pa.int64()), "base_score": pa.array(total, pa.float64()), "score": pa.array(score),
+        })
+
+    return texts.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(
+        finish, f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+    )

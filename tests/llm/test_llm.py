@@ -100,27 +100,48 @@ def brute_ppm(train, text, order):
     return total
 
 
-@pytest.mark.parametrize("order,most", [(5, 1 << 24), (3, 300)])
-def test_language_model(edge, empty, order, most):
+@pytest.mark.parametrize("order,shard,block", [(5, 1 << 18, 1 << 24), (5, 60, 300), (3, 40, 1), (0, 20, 100)])
+def test_language_model(edge, empty, monkeypatch, order, shard, block):
+    """The same scores however many shards, blocks and pieces there are."""
+    monkeypatch.setattr(ppm, "WORD_BYTES", 100)
     docs = texts(edge.filter("doc_id IS NULL OR doc_id NOT IN (5, 6)"))
-    got = ppm.lm_scores(edge.filter("doc_id IS NULL OR doc_id NOT IN (5, 6)"), order=order, most_grams=most, hot_words=5).collect()
+    got = ppm.lm_scores(edge.filter("doc_id IS NULL OR doc_id NOT IN (5, 6)"), order=order, shard_grams=shard, block_bytes=block).collect()
     held = lambda i: zlib.crc32(b"" if i is None else str(i).encode()) % 7 == 2
     train = [t for i, t in docs if not held(i)]
-    used = order
-    while len({g for t in train for g in ppm.grams_of(t, used).tolist()}) > most:
-        used -= 1
     c = Counter(w for t in train for w in [*t.lower().split(), 0])
     n, v = sum(c.values()), len(c)
     want = []
     for i, t in docs:
         ws = [*t.lower().split(), 0]
-        want.append((i, held(i), len(ws), sum(c[w] > 0 for w in ws), n, sum(math.log10((c[w] + 1) / (n + v + 1)) for w in ws), brute_ppm(train, t, used)))
+        want.append((i, held(i), len(ws), sum(c[w] > 0 for w in ws), n, sum(math.log10((c[w] + 1) / (n + v + 1)) for w in ws), brute_ppm(train, t, order)))
     order_by = lambda r: (str(r[0]), r[2], round(r[6], 6))
     for a, b in zip(sorted(map(tuple, got), key=order_by), sorted(want, key=order_by), strict=True):
         assert a[:5] == b[:5] and a[5:] == pytest.approx(b[5:], abs=1e-6)
     assert ppm.lm_scores(empty).collect() == []
 
 
+def test_dealt_trie_is_the_whole_one():
+    """Shards whose ends cut contexts of every length give the probabilities that one trie gives, in pieces too."""
+    texts = [bytes(t) for t in np.random.default_rng(1).integers(97, 101, (40, 60)).astype(np.uint8)]
+    flat = np.concatenate([ppm.grams_of(t) for t in texts])
+    assert all((np.concatenate([ppm.grams_of(t, 5, a, min(a + 7, 61)) for a in range(0, 61, 7)]) == ppm.grams_of(t)).all() for t in texts)
+    k, n = np.unique(flat, return_counts=True)
+    n[::5] = 0
+    whole = ppm.Trie(k, n).log10(k)
+    cuts = np.unique(k[17::97] >> np.uint64(9))
+    across = ppm.spanning(cuts, 5)
+    assert all(len(a) for a in across)
+    told = []
+    for level in range(5):
+        context = ppm.context_at(k, level, 5)
+        on = (ppm.find(across[level], context) >= 0) & (n > 0)
+        told.append((across[level], *ppm._merge([context[on] << np.uint64(9) | k[on] & np.uint64(511)], [n[on]])))
+    at = np.searchsorted(cuts, k >> np.uint64(9), "right")
+    for shard in range(len(cuts) + 1):
+        mine = at == shard
+        assert ppm.Trie(k[mine], n[mine], 5, told).log10(k[mine]) == pytest.approx(whole[mine], abs=1e-12)
+
+
 def test_probabilities_add_up():
     train = [b"the cat sat", b"the mat", b""]
     k, n = np.unique(np.concatenate([ppm.grams_of(t) for t in train]), return_counts=True)
@@ -135,6 +156,8 @@ def test_model_beats_words_where_it_has_data(spark, sf):
     r = queries.queries()["op2_lm_scoring"](spark, sf).toPandas()
     seen = r[~r.held_out]
     assert seen.score.sum() > seen.base_score.sum()
+    short = ppm.lm_scores(documents(spark, sf), order=1).toPandas()
+    assert r[r.held_out].score.sum() > short[short.held_out].score.sum()  # longer contexts foretell texts that training hasn't seen
 
 
 # -- benchmark
