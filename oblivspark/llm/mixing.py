@@ -77,9 +77,9 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, limit: int = 3) -> DataFra
 
 def mix(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
-    weights=WEIGHTS, schedules=SCHEDULES, limit: int = 3,
+    weights=WEIGHTS, schedules=SCHEDULES, limit: int = 3, columns: list[str] | None = None,
 ) -> DataFrame:
-    """One row per document: the input's columns, size, source_size, target, taken, first_position; in order of position.
+    """One row per document: the input's columns (or those named in ``columns``), size, source_size, target, taken, first_position; in order of position.
 
     A source's stream is its documents in order of the MD5 of their id, started over when it ends.
     The mix takes the first ``floor(target)`` words of the stream: whole rounds, then documents from the start, of
@@ -90,10 +90,10 @@ def mix(
 
     Null text: size 0 and taken 0. Null source: a source of its own, last in order. Null ids sort
     as the empty string; rows that repeat an id are mixed each. Empty table: no rows. A column of ``docs`` named like a
-    result column is replaced by it.
+    result column is replaced by it. Where the text isn't among the columns asked for, it is read once and not exchanged.
     """
     made = ["size", "source_size", "target", "taken", "first_position"]
-    kept = [c for c in docs.columns if c.lower() not in made]
+    kept = [c for c in (docs.columns if columns is None else columns) if c.lower() not in made]
     base = docs.select(
         F.struct(*[F.col(f"`{c}`") for c in kept]).alias("_row"),
         F.col(f"`{source_col}`").cast("string").alias("source"),
@@ -103,6 +103,8 @@ def mix(
     # a source as a key that is never null
     key = F.concat(F.when(F.col("source").isNull(), F.lit("n")).otherwise(F.lit("s")), F.coalesce("source", F.lit("")))
     base = base.withColumn("_key", key).withColumn("_slice", F.substring("_order", 1, SLICE_HEX))
+    if text_col not in kept:
+        base = materialise(base, "document-sizes")
     slices = materialise(
         base.groupBy("_key", "_slice").agg(F.first("source").alias("source"), F.sum("size").alias("_words")), "slices"
     )

@@ -57,7 +57,7 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed = mix(read(spark, sf_dir, "documents"))
+    mixed = mix(read(spark, sf_dir, "documents"), columns=["doc_id"])
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "first_position")
 
 
