@@ -16,8 +16,8 @@ from .base import column, id_and_text, map_batches, texts_of
 SEED = 42
 #: Shingles whose bits are counted at a time.
 BLOCK = 1 << 16
-#: Fingerprints that the top of the tree is fitted on, fingerprints aimed at per shard, least number of shards.
-SAMPLE, SHARD, LEAST_SHARDS = 8192, 50_000, 32
+#: Least number of fingerprints that the top of the tree is fitted on, and the number for each shard; fingerprints aimed at per shard, least number of shards.
+SAMPLE, PER_SHARD, SHARD, LEAST_SHARDS = 8192, 8, 1 << 18, 32
 #: Pairs that are compared in one go at the bottom of a tree.
 LEAF_PAIRS = 1 << 20
 
@@ -179,7 +179,7 @@ def near_dedup(docs: DataFrame, width: int = 3, reach: int = 2, id_col: str = "d
     Shingles are ``width`` blank-parted words (A to Z lower-cased), repeats included; a text of fewer is one
     shingle, one without words has the fingerprint 0 and is linked like any other. Two fingerprints link at
     ``reach`` or fewer differing bits; component_id is the least doc_id that links reach. Equal fingerprints are
-    one node. A vantage-point tree, fitted on at most 8,192 of the distinct fingerprints, deals all of them to
+    one node. A vantage-point tree, fitted on 8,192 of the distinct fingerprints or 8 for each shard (8 in 2^18 of them), deals all of them to
     shards, with copies near the boundaries so that every pair meets; each shard finds its pairs exactly and
     hands on a star per group, never the pairs. With ``carry``, the document that stays is the one with component_id for its id.
 
@@ -190,8 +190,8 @@ def near_dedup(docs: DataFrame, width: int = 3, reach: int = 2, id_col: str = "d
     each = materialise(fingerprints(base, width), "fingerprints")
     distinct = materialise(each.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n")), "distinct")
     facts = distinct.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
-    picked = [r[0] for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).collect()]
     shards = max(LEAST_SHARDS, -(-facts[0] // SHARD))
+    picked = [r[0] for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(max(SAMPLE, PER_SHARD * shards)).collect()]
     tree = grow(np.array(picked, np.int64).view(np.uint64), shards)
     pieces = connected_components(linked(distinct, tree, shards, reach), "u", "v")
     nodes = distinct.join(pieces, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("component", "fp"))
