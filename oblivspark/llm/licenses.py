@@ -30,7 +30,11 @@ TEMPLATES = {
     "BSD": ["Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"],
     "MPL-2.0": ["This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."],
     "CC0-1.0": ["To the extent possible under law, the author has waived all copyright and related or neighboring rights to this work."],
-    "ISC": ["Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted"],
+    "ISC": ["Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."],
+    "Zlib": ["This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software."],
+    "Unlicense": ["This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means."],
+    "LGPL-3.0": ["This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation"],
+    "CC-BY-4.0": ["This work is licensed under a Creative Commons Attribution 4.0 International License."],
 }
 
 
@@ -97,7 +101,7 @@ class Scanner:
 
     A match holds at least k = ceil(c t) of a template's t shingles; a window of w shingles that holds them is at least k / (w + t - k)
     similar to the template, and with b bands of one row it misses the template with probability (1 - similarity) ** b.
-    Windows begin every ``step`` shingles and are so long that any stretch with ``ROOM`` less than its window lies within one.
+    A match's shingles lie within ``stretch`` neighbours; windows begin every ``step`` shingles of each text and have ``step`` - 1 more, so that every such stretch lies within one.
     """
 
     def __init__(self, templates: dict[str, list[str]], width: int = WIDTH, contained: float = CONTAINED, recall: float = RECALL):
@@ -108,40 +112,45 @@ class Scanner:
                 if words:
                     own, _ = shingle_hashes([words], width)
                     step = max(LEAST_ROOM, int(len(words) * ROOM))
-                    steps = -(-(len(own) + step - 1) // step)
-                    self.groups.setdefault((step, steps), []).append((name, np.unique(own)))
+                    stretch = len(own) + step - 1
+                    steps = -(-(stretch + step - 1) // step)
+                    self.groups.setdefault((step, steps), []).append((name, np.unique(own), stretch))
         self.tables = {}
         for (step, steps), group in self.groups.items():
             similar = 1.0
-            for _, own in group:
+            for _, own, _ in group:
                 k = math.ceil(contained * len(own))
                 similar = min(similar, k / (step * steps + len(own) - k))
             bands = max(1, math.ceil(math.log(1 - recall) / math.log(1 - min(similar, 0.999))))
-            self.tables[step, steps] = [[permuted(own, b + 1).min() for _, own in group] for b in range(bands)]
+            self.tables[step, steps] = [[permuted(own, b + 1).min() for _, own, _ in group] for b in range(bands)]
 
     def scan(self, texts: list[bytes]) -> list[dict[str, float]]:
         """For each text the licences found, with the largest share of a template's shingles that one window holds."""
         out: list[dict[str, float]] = [{} for _ in texts]
         h, begin = shingle_hashes([normal_words(t) for t in texts], self.width)
+        lengths = np.diff(begin)
         for (step, steps), group in self.groups.items():
+            # each text has windows of its own: fillers up to a multiple of ``step``, and a window of them, part it from the next
             span, pairs = step * steps, set()
-            whole = np.concatenate((h, np.full(span + -len(h) % step, np.iinfo(np.uint64).max, np.uint64)))
+            room = -(-lengths // step) * step + span
+            first = np.cumsum(room) - room
+            whole = np.full(int(room.sum()) + span, np.iinfo(np.uint64).max, np.uint64)
+            whole[np.repeat(first - begin[:-1], lengths) + np.arange(len(h))] = h
             chunk = max(1, BLOCK // step) * step
-            for at in range(0, len(h), chunk):
+            for at in range(0, len(whole) - span, chunk):
                 part = whole[at : at + chunk + span - step]
+                part = part[: len(part) // step * step]
+                blank = part == np.iinfo(np.uint64).max
                 for b, keys in enumerate(self.tables[step, steps]):
-                    low = window_minima(permuted(part, b + 1), step, steps)
+                    mixed = permuted(part, b + 1)
+                    mixed[blank] = np.iinfo(np.uint64).max
+                    low = window_minima(mixed, step, steps)
                     for i, key in enumerate(keys):
                         for w in np.flatnonzero(low == key):
-                            # windows run on from text to text; what they retrieve is looked for in each text they touch
-                            a = at + int(w) * step
-                            d = int(np.searchsorted(begin, a, "right")) - 1
-                            while d < len(texts) and begin[d] < a + span:
-                                pairs.add((d, i))
-                                d += 1
+                            pairs.add((int(np.searchsorted(first, at + int(w) * step, "right")) - 1, i))
             for d, i in pairs:
-                name, own = group[i]
-                share = most_contained(h[begin[d] : begin[d + 1]], own, span)
+                name, own, stretch = group[i]
+                share = most_contained(h[begin[d] : begin[d + 1]], own, stretch)
                 if share >= self.contained:
                     out[d][name] = max(share, out[d].get(name, 0.0))
         return out
@@ -156,10 +165,10 @@ def license_scan(
 ) -> DataFrame:
     """One row per document: doc_id, n_licenses, licenses (names in order, comma-joined), containment (the largest, 0 if none).
 
-    Words are runs of ASCII letters and digits or wider characters, lower-cased. The shingles of all texts run on one after the other under
-    windows that overlap so far that any stretch as long as a template lies within one. A window whose least hash equals a template's in
-    any band retrieves it for the texts it touches (``Scanner`` sets the number of bands); a match holds ``contained`` or more of the template's
-    distinct ``width``-word shingles within as many neighbouring shingles of the one text as a window has. The templates travel with the task; no exchange.
+    Words are runs of ASCII letters and digits or wider characters, lower-cased. Each text's shingles lie under
+    windows that overlap so far that any stretch that can hold a match lies within one. A window whose least hash equals a template's in
+    any band retrieves it for the text (``Scanner`` sets the number of bands); a match holds ``contained`` or more of the template's
+    distinct ``width``-word shingles within half as many neighbouring shingles again. What is found in a text doesn't depend on other texts. The templates travel with the task; no exchange.
 
     Null, empty and wordless texts: no match. A text of fewer than ``width`` words is one shingle. Null or repeated ids: a
     row for each input row. Empty table: no rows. Other columns are ignored.

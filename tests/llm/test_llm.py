@@ -264,21 +264,37 @@ def test_tree_loses_no_link(spread):
 
 def test_licenses(spark, sf, edge, empty):
     docs = documents(spark, sf)
-    scanner = licenses.Scanner(licenses.TEMPLATES)
+    import re
+
+    cut = lambda t: re.findall(rb"[0-9a-z\x80-\xff]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), t))
+    runs = lambda ws: [tuple(ws[i : i + 5]) for i in range(max(1, len(ws) - 4))] if ws else []
+
+    def brute(t):
+        """Every stretch of every text against every template, on whole words."""
+        own, found = runs(cut(t)), {}
+        for name, notices in licenses.TEMPLATES.items():
+            for notice in notices:
+                ws = cut(notice.encode())
+                asked = set(runs(ws))
+                stretch = len(runs(ws)) + max(3, len(ws) // 2) - 1
+                at = [i for i, x in enumerate(own) if x in asked]
+                best = max((len({own[i] for i in at if a <= i < a + stretch}) for a in at), default=0) / len(asked)
+                if best >= 0.8:
+                    found[name] = max(best, found.get(name, 0))
+        return found
+
     want = []
     for i, t in texts(docs):
-        h, _ = licenses.shingle_hashes([normal_words(t)], 5)
-        found = {}
-        for (step, steps), group in scanner.groups.items():
-            for name, own in group:
-                if np.isin(own, h).any():
-                    best = max(float(np.isin(own, h[a : a + step * steps]).mean()) for a in range(len(h)))
-                    if best >= 0.8:
-                        found[name] = max(best, found.get(name, 0))
+        found = brute(t)
         want.append((i, len(found), ",".join(sorted(found)), max(found.values(), default=0.0)))
     assert sorted(rows(licenses.license_scan(docs), "doc_id", "n_licenses", "licenses", "containment")) == sorted(want)
     assert sum(r[1] for r in want) > 0
     assert all(r[1] == 0 for r in rows(licenses.license_scan(edge), "doc_id", "n_licenses")) and licenses.license_scan(empty).collect() == []
+    # notices spread by foreign words, at the ends of texts and beside others: the same whatever stands beside a text
+    words = cut(licenses.TEMPLATES["MIT"][1].encode())
+    spread = [b" ".join(words[: 2 + k % 3] + [b"x"] * k + words[2 + k % 3 :]) for k in range(14)]
+    alone = [licenses.Scanner(licenses.TEMPLATES).scan([t])[0] for t in spread]
+    assert alone == licenses.Scanner(licenses.TEMPLATES).scan(spread) == [brute(t) for t in spread] and alone[0] and alone[3] and not all(alone)
     most = licenses.most_contained(np.array([1, 2, 9, 3, 1, 2, 3], np.uint64), np.array([1, 2, 3], np.uint64), 3)
     assert most == 1.0
 
