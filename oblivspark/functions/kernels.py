@@ -264,7 +264,7 @@ def tag_sort(s: Slab, z: int, tags: np.ndarray, level: str, meter: Meter) -> Sla
 
 
 def mix64(x: np.ndarray, salt: int) -> np.ndarray:
-    """Keyed 64-bit hash of numbers: the coins of the reproducible mode."""
+    """Salted 64-bit mix of numbers that are random already."""
     with np.errstate(over="ignore"):
         z = x.astype(np.uint64) + np.uint64((salt * 0x9E3779B97F4A7C15 + 0x632BE59BD9B4E019) & 0xFFFFFFFFFFFFFFFF)
         z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -272,10 +272,50 @@ def mix64(x: np.ndarray, salt: int) -> np.ndarray:
         return z ^ (z >> np.uint64(31))
 
 
-def coins(draw: np.ndarray, words: int, seed: int | None, purpose: int) -> np.ndarray:
-    """``words`` random 64-bit words for each draw: keyed hashes under a seed, else the operating system's bytes."""
-    if seed is None:
-        import os
+def _rotate(x: np.ndarray, by: int) -> np.ndarray:
+    return (x << np.uint64(by)) | (x >> np.uint64(64 - by))
 
-        return np.frombuffer(os.urandom(8 * words * len(draw)), np.uint64).reshape(len(draw), words).copy()
-    return np.stack([mix64(mix64(draw, seed), 97 * purpose + i) for i in range(words)], axis=1) if words else np.zeros((len(draw), 0), np.uint64)
+
+def keyed_hash(key: bytes, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """SipHash-2-4 of 16-byte messages (two little-endian words each) under a 16-byte key: a pseudorandom function, in whole arrays."""
+    k0, k1 = (np.uint64(x) for x in np.frombuffer(key, "<u8"))
+    start = (0x736F6D6570736575, 0x646F72616E646F6D, 0x6C7967656E657261, 0x7465646279746573)  # fixed values of the function
+    v = [np.full(len(first), np.uint64(c) ^ k, np.uint64) for c, k in zip(start, (k0, k1, k0, k1))]
+
+    def mix(rounds: int) -> None:
+        for _ in range(rounds):
+            for a, b, far in ((0, 1, 13), (2, 3, 16)):
+                v[a] += v[b]
+                v[b] = _rotate(v[b], far) ^ v[a]
+            v[0] = _rotate(v[0], 32)
+            for a, b, far in ((0, 3, 21), (2, 1, 17)):
+                v[a] += v[b]
+                v[b] = _rotate(v[b], far) ^ v[a]
+            v[2] = _rotate(v[2], 32)
+
+    with np.errstate(over="ignore"):
+        for word in (first, second, np.uint64(16 << 56)):
+            v[3] ^= word
+            mix(2)
+            v[0] ^= word
+        v[2] ^= np.uint64(0xFF)
+        mix(4)
+        return v[0] ^ v[1] ^ v[2] ^ v[3]
+
+
+def coin_key(seed: int | bytes | None) -> bytes:
+    """The 16-byte key of an attempt's coins: the operating system's without a seed. It is drawn once, on the driver, so that a task that runs again draws what it drew before."""
+    import hashlib
+    import os
+
+    if isinstance(seed, bytes):
+        return seed
+    return os.urandom(16) if seed is None else hashlib.blake2b(str(seed).encode(), digest_size=16).digest()
+
+
+def coins(draw: np.ndarray, words: int, seed: int | bytes | None, purpose: int) -> np.ndarray:
+    """``words`` random 64-bit words for each draw number, by the keyed hash of number, purpose and word."""
+    key, draw = coin_key(seed), np.asarray(draw, np.uint64)
+    if not words:
+        return np.zeros((len(draw), 0), np.uint64)
+    return np.stack([keyed_hash(key, draw, np.full(len(draw), (purpose << 32) + i, np.uint64)) for i in range(words)], axis=1)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 import numpy as np
@@ -14,8 +15,10 @@ from pyspark.sql.types import StructType
 from ..functions import kernels as K
 from ..functions.codec import Codec
 from ..plans.params import RouterParams, from_length, power_of_two
-from ..plans.shared import materialise, ship_package
+from ..plans.shared import fixed_rows, materialise, ship_package
 
+#: How a Python worker names the two errors that fresh coins mend.
+_UNLUCKY = re.compile(rf"^{re.escape(K.__name__)}\.(BinOverflow|TagCollision)\b", re.M)
 #: Purposes that coins are drawn for.
 LABEL, TAG = 1, 2
 
@@ -61,7 +64,7 @@ def spread(s: K.Slab, bins: int, z: int) -> K.Slab:
 
 
 def routed(
-    df: DataFrame, p: RouterParams, codec: Codec, digits: tuple[int, ...], seed: int | None, level: str, form: str, label_col: str | None = None
+    df: DataFrame, p: RouterParams, codec: Codec, digits: tuple[int, ...], key: bytes, level: str, form: str, label_col: str | None = None
 ) -> DataFrame:
     """(dest, block): blocks of ``z`` slots that one exchange a digit has brought to task ``dest``.
 
@@ -98,7 +101,7 @@ def routed(
                 labels.append(b.column(b.schema.get_field_index(label_col)).to_numpy(zero_copy_only=False).astype(np.uint64))
         rec = np.concatenate(recs) if recs else np.zeros((0, codec.width), np.uint8)
         draw = (np.uint64(me) << np.uint64(36)) + np.arange(len(rec), dtype=np.uint64)
-        label = K.coins(draw, 1, seed, LABEL)[:, 0]
+        label = K.coins(draw, 1, key, LABEL)[:, 0]
         if label_col:
             given = np.concatenate(labels) if labels else np.zeros(0, np.uint64)
             label = (given << np.uint64(64 - p.bits)) | (label >> np.uint64(p.bits))
@@ -144,10 +147,12 @@ def permute(
 
     Every row draws a bin; padded bins of fixed size pass a butterfly, of which ``phases`` transpositions are exchanges between
     tasks by public task number; each bin is then sorted by fresh tags, fillers are dropped and bins follow each other. Loads of bins become
-    public, which tells nothing about the order. ``seed``: reproducible keyed-hash coins, else the operating system's, which are fixed by
-    writing the result down. ``level`` says whether kernels hide accesses inside a task (``memory``) or only what leaves it (``cluster``).
+    public, which tells nothing about the order. Coins are a keyed hash of row numbers; the key is the operating system's, or comes of ``seed`` for reproducible
+    runs. The driver draws it once an attempt, and rows that reach here through an exchange are written down first, so that tasks that run again after
+    the loss of an executor draw the same coins for the same rows. ``level`` says whether kernels hide accesses inside a task (``memory``) or only what leaves it (``cluster``).
     A bin that overflows, or a tag drawn twice, makes the attempt start over with other coins.
     """
+    df = fixed_rows(df)
     n = df.count()
     p = from_length(n, gamma=gamma, eps=eps)
     codec = Codec(StructType([f for f in df.schema.fields]), widths or {})
@@ -156,7 +161,7 @@ def permute(
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields)
     route = K.route_recursive if form == "recursive" else K.route_layered
     for attempt in range(attempts):
-        now = None if seed is None else seed + 1_000_003 * attempt
+        now = K.coin_key(None if seed is None else seed + 1_000_003 * attempt)
 
         def finish(batches, now=now):
             me = TaskContext.get().partitionId()
@@ -179,7 +184,7 @@ def permute(
             blocks = routed(df, p, codec, digits, now, level, form)
             return Permuted(materialise(blocks.mapInArrow(finish, f"{fields}, _task int, _at long"), "permuted"), n)
         except Exception as e:  # noqa: BLE001  the kernel's error arrives inside Spark's
-            if attempt + 1 == attempts or not any(x in str(e) for x in ("BinOverflow", "TagCollision")):
+            if attempt + 1 == attempts or not _UNLUCKY.search(str(e)):
                 raise
     raise AssertionError
 
@@ -214,4 +219,4 @@ def route_bins(df: DataFrame, label: str, p: RouterParams, level: str = "memory"
         cols = codec.decode(s.rec[at]) + [pa.array(bin_of + (me << own_bits), pa.int64()), pa.array(np.arange(len(at)) - first, pa.int64())]
         yield pa.record_batch(cols, names=[*codec.sizes, "_bin", "_slot"])
 
-    return routed(df, p, codec, digits, 0, level, form, label).mapInArrow(finish, f"{fields}, _bin long, _slot long")
+    return materialise(routed(fixed_rows(df), p, codec, digits, K.coin_key(0), level, form, label).mapInArrow(finish, f"{fields}, _bin long, _slot long"), "bins")

@@ -62,3 +62,8 @@ def log10_overflow(p: RouterParams) -> float:
 def log10_tag_collision(p: RouterParams) -> float:
     """Log10 of the bound on two records of one bin drawing one tag."""
     return min(0.0, math.log10(max(1, p.beta)) + 2 * math.log10(p.z) - 64 * p.tag_words * math.log10(2))
+
+
+def pivot_bin_bound(n: int, c: float = 2.0) -> float:
+    """The load of a region between neighbouring pivots that is exceeded with negligible probability: a constant times log2(n) cubed."""
+    return c * math.log2(max(n, 4)) ** 3

@@ -6,6 +6,7 @@ Parquet tables in the folder that the cluster names in ``spark.checkpoint.dir``.
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 import zipfile
@@ -19,9 +20,11 @@ HOT_KEYS = 1024
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; a local one only where that is unset (tests)."""
+    """The folder of ``spark.checkpoint.dir``; a local one only where that is unset and the master is local too (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = tempfile.mkdtemp(prefix="oblivspark-")
         spark.sparkContext.setCheckpointDir(found)
     return found
@@ -48,6 +51,21 @@ def materialise(df: DataFrame, name: str = "table") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def fixed_rows(df: DataFrame) -> DataFrame:
+    """``df`` if its partitions are read from files, whose rows keep their places; else written down, for a task that runs again may get what an exchange brings in another order."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return materialise(df, "rows") if any(x in plan for x in ("Exchange", "Generate", "InArrow", "InPandas", "Python")) else df
+
+
+def numbered(df: DataFrame, name: str = "pos") -> DataFrame:
+    """Append ``name``: 0, 1, 2 ... in the order in which rows stand, partition after partition; only counts move."""
+    place = F.monotonically_increasing_id()
+    at = materialise(df.withColumn("_pid", F.shiftright(place, 33)).withColumn("_i", place.bitwiseAND(F.lit((1 << 33) - 1))), "numbered")
+    counts = at.groupBy("_pid").agg(F.count(F.lit(1)).alias("_n"))
+    offsets = counts.withColumn("_off", F.sum("_n").over(Window.orderBy("_pid")) - F.col("_n")).select("_pid", "_off")
+    return at.join(F.broadcast(offsets), "_pid").withColumn(name, F.col("_off") + F.col("_i")).drop("_pid", "_i", "_off")
+
+
 def skew_safe_lookup(
     df: DataFrame, table: DataFrame, key: str, rows: str, total: int, payload: list[str]
 ) -> DataFrame:

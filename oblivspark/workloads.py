@@ -118,10 +118,9 @@ def sort_optimal_billed(spark, d):
     return done.select(F.col("pos").alias("rank"), "p_partkey")
 
 
-@query("SELECT row_number() OVER (ORDER BY substr(text, 1, 64), doc_id) - 1 AS rank, doc_id FROM documents")
+@query("SELECT row_number() OVER (ORDER BY text, doc_id) - 1 AS rank, doc_id FROM documents")
 def sort_documents_text(spark, d):
-    df = t(spark, d, "documents").select("doc_id", F.substring("text", 1, 64).alias("head"))
-    return sorts.oblivious_sort(df, ["head", "doc_id"], widths={"head": 256}, **S).select(F.col("pos").alias("rank"), "doc_id")
+    return sorts.sort_by_text(t(spark, d, "documents"), "text", "doc_id", **S).select(F.col("pos").alias("rank"), "doc_id")
 
 
 @query('SELECT row_number() OVER (ORDER BY "value", event_id) - 1 AS rank, event_id FROM events')
@@ -138,25 +137,17 @@ def sort_customer_layered_bitonic(spark, d):
 
 @query("SELECT row_number() OVER (ORDER BY o_totalprice, o_orderkey) - 1 AS rank, o_orderkey FROM orders")
 def bitonic_merge_two_runs(spark, d):
-    """A rising run, fillers and a falling run are bitonic: one merge in one task."""
-    ship_package(spark)
+    """A rising run, fillers and a falling run are bitonic: one merge across tasks."""
+    up, down = (dense_positions(_orders(spark, d).filter(F.col("o_orderkey") % 2 == i), [F.col("o_totalprice"), F.col("o_orderkey")], "at") for i in (0, 1))
+    length = params.power_of_two(_orders(spark, d).count())
+    both = up.unionByName(down.withColumn("at", F.lit(length - 1) - F.col("at")))
+    return sorts.bitonic_merge(both, ["o_totalprice", "o_orderkey"], "at", length).select(F.col("pos").alias("rank"), "o_orderkey")
 
-    def merge(batches):
-        b = pa.Table.from_batches(list(batches)).combine_chunks().to_batches()[0]
-        w = key_words(encode_keys(b, as_keys(["o_totalprice", "o_orderkey"]), {}))
-        key = b.column(0).to_numpy()
-        up, down = (np.flatnonzero(key % 2 == i) for i in (0, 1))
-        up, down = up[np.lexsort(w[up].T[::-1])], down[np.lexsort(w[down].T[::-1])][::-1]
-        size = params.power_of_two(len(key))
-        words, rec = np.full((size, w.shape[1]), np.iinfo(np.uint64).max), np.full((size, 1), -1, np.int64)
-        words[: len(up)], rec[: len(up), 0] = w[up], key[up]
-        words[size - len(down) :], rec[size - len(down) :, 0] = w[down], key[down]
-        s = K.Slab(words, rec[:, 0] >= 0, rec.view(np.uint8))
-        K.bitonic_merge_block(s, size, K.Meter(), recursive=True)
-        got = s.rec.view(np.int64)[s.real, 0]
-        yield pa.record_batch([pa.array(np.arange(len(got))), pa.array(got)], names=["rank", "o_orderkey"])
 
-    return _orders(spark, d).coalesce(1).mapInArrow(merge, "rank long, o_orderkey long")
+@query(_ORDER_RANKS)
+def sort_layered_pivots(spark, d):
+    """Pivots of a sample that the network sorts, routed layer by layer, rows sorted together with pivots by the network."""
+    return _order_ranks(sorts.sort_permuted(permute(_orders(spark, d), **S), _PRICE, seed=7, form="layered", router="bitonic", sampler="bitonic"))
 
 
 # -- permutation, routing, placement -----------------------------------------------------------------------------
@@ -219,20 +210,39 @@ def compact_open_orders(spark, d):
 _PIVOTS = (1000.0, 5000.0, 10000.0, 20000.0, 30000.0, 40000.0, 50000.0)
 
 
-@query(
-    f"SELECT CAST(({' + '.join(f'(l_extendedprice > {p})::INT' for p in _PIVOTS)}) AS BIGINT) AS bin, count(*) AS n, min(l_extendedprice) AS least, max(l_extendedprice) AS most FROM lineitem GROUP BY 1"
-)
-def pivot_regions(spark, d):
-    ship_package(spark)
+_REGIONS = f"SELECT CAST(({' + '.join(f'(l_extendedprice > {p})::INT' for p in _PIVOTS)}) AS BIGINT) AS bin, count(*) AS n, min(l_extendedprice) AS least, max(l_extendedprice) AS most FROM lineitem GROUP BY 1"
+
 
-    def regions(batches):
-        cuts = key_words(encode_keys(pa.record_batch([pa.array(_PIVOTS)], names=["p"]), as_keys("p"), {}))
-        for b in batches:
-            w = key_words(encode_keys(b, as_keys("l_extendedprice"), {}))
-            yield pa.record_batch([b.column(0), pa.array(sorts._bins_of(w, cuts))], names=["l_extendedprice", "bin"])
+def _regions(spark, d, **how):
+    """The permuted lines routed by given pivots, which come after all rows of their price."""
+    rows = permute(t(spark, d, "lineitem").select("l_extendedprice"), **S).take()
+    pivots = spark.createDataFrame([(p, (1 << 31) - 1, (1 << 62), i) for i, p in enumerate(_PIVOTS)], "l_extendedprice double, _task int, _at long, _p long")
+    got = sorts.route_by_pivots(rows, pivots, len(_PIVOTS), ["l_extendedprice"], **how)
+    return got.groupBy(F.col("_bin").alias("bin")).agg(F.count(F.lit(1)).alias("n"), F.min("l_extendedprice").alias("least"), F.max("l_extendedprice").alias("most"))
 
-    rows = t(spark, d, "lineitem").select("l_extendedprice").mapInArrow(regions, "l_extendedprice double, bin long")
-    return rows.groupBy("bin").agg(F.count(F.lit(1)).alias("n"), F.min("l_extendedprice").alias("least"), F.max("l_extendedprice").alias("most"))
+
+@query(_REGIONS)
+def pivot_regions(spark, d):
+    return _regions(spark, d, network="bitonic")
+
+
+@query(_REGIONS)
+def pivot_regions_layered(spark, d):
+    return _regions(spark, d, form="layered", gamma=2)
+
+
+@query("SELECT count(*) AS n, true AS in_order, true AS within FROM lineitem")
+def pivot_loads(spark, d):
+    """Pivots of the table itself: regions follow each other, and none is above the bound on its load."""
+    rows = materialise(permute(t(spark, d, "lineitem").select("l_extendedprice"), **S).take(), "permuted")
+    n = rows.count()
+    pivots = materialise(sorts.choose_pivots(rows, as_keys(["l_extendedprice"]), n, seed=7), "pivots")
+    got = materialise(sorts.route_by_pivots(rows, pivots, pivots.count(), ["l_extendedprice"]), "regions")
+    loads = got.groupBy("_bin").agg(F.count(F.lit(1)).alias("load"), F.min("l_extendedprice").alias("least"), F.max("l_extendedprice").alias("most"))
+    before = dense_positions(loads, [F.col("_bin")], "_i")
+    after = before.select((F.col("_i") - 1).alias("_j"), F.col("least").alias("next"))
+    pairs = before.join(after, F.col("_i") == F.col("_j"), "left")
+    return pairs.agg(F.sum("load").alias("n"), F.bool_and(F.col("next").isNull() | (F.col("most") <= F.col("next"))).alias("in_order"), (F.max("load") <= params.pivot_bin_bound(n)).alias("within"))
 
 
 # -- aggregation and propagation -----------------------------------------------------------------------------------

@@ -196,3 +196,15 @@ def test_tree_memory():
         TreeMemory(list(range(64)), bucket=1, pool=1, seed=1).access([("r", i, 0) for i in range(64)])
     assert sorted(veb_index(4)[1:].tolist()) == list(range(15))
     assert better_memory(100, 100) == "space" and better_memory(10**6, 4) == "tree"
+
+
+def test_keyed_hash():
+    """The published test vector for 16 bytes; coins depend on key, number, purpose and word, and a task that runs again draws the same."""
+    m = np.frombuffer(bytes(range(16)), "<u8")
+    assert int(K.keyed_hash(bytes(range(16)), m[:1], m[1:])[0]) == 0x3F2ACC7F57C29BDB
+    key, draw = K.coin_key(None), np.arange(4000, dtype=np.uint64)
+    a = K.coins(draw, 2, key, 1)
+    assert (a == K.coins(draw, 2, key, 1)).all() and K.coin_key(None) != key and K.coin_key(5) == K.coin_key(5)
+    assert len(np.unique(np.concatenate((a.ravel(), K.coins(draw, 2, key, 2).ravel(), K.coins(draw, 2, 5, 1).ravel())))) == 24000
+    ones = np.unpackbits(a.view(np.uint8)).mean()
+    assert abs(ones - 0.5) < 0.005

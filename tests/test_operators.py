@@ -228,3 +228,61 @@ def test_relational_fillers(spark):
     assert relational.rollup(["a", "b"]) == [["a", "b"], ["a"], []] and len(relational.cube(["a", "b"])) == 4
     with pytest.raises(ValueError):
         relational.expand_join(df.select("k"), df.select("k", "v"), "k", 1, **S)
+
+
+def test_coins_survive_recomputation(spark, sf):
+    """With secret coins the same blocks leave every task however often it runs; rows that come through an exchange are written down first."""
+    from oblivspark.functions import kernels as K
+    from oblivspark.functions.codec import Codec
+    from oblivspark.operators.permute import routed, task_digits
+    from oblivspark.plans.params import from_length
+    from oblivspark.plans.shared import fixed_rows
+
+    df = spark.read.parquet(f"{sf}/orders.parquet").select("o_orderkey", "o_totalprice")
+    p = from_length(df.count())
+    blocks = routed(df, p, Codec(df.schema, {}), task_digits(df, p, 4, 1), K.coin_key(None), "cluster", "recursive")
+    told = lambda: sorted((r[0], bytes(r[1])) for r in blocks.collect())
+    first = told()
+    assert first == told() and len(first) > 4
+    moved = df.repartition(3)
+    assert fixed_rows(df) is df and "Exchange" not in fixed_rows(moved)._jdf.queryExecution().executedPlan().toString()
+    assert sorted(permute(moved, level="cluster").take().select("o_orderkey").collect()) == sorted(df.select("o_orderkey").collect())
+
+
+def test_positions_of_many_partitions(spark):
+    from oblivspark.plans.shared import numbered
+
+    df = spark.range(1000, numPartitions=7)
+    got = numbered(df).orderBy("pos").collect()
+    assert [r["pos"] for r in got] == list(range(1000)) == [r["id"] for r in got]
+
+
+@pytest.mark.parametrize("merge", ["recursive", "layered"])
+@pytest.mark.parametrize("ascending", [True, False])
+def test_merge_of_a_bitonic_sequence(spark, merge, ascending):
+    r = random.Random(4)
+    for n, length, blocks in ((0, 16, 4), (1, 1, 4), (50, 64, 4), (300, 512, 8), (100, 128, 1)):
+        vals = [r.randrange(1000) for _ in range(n)]
+        half = n // 2
+        if ascending:  # fillers are greater than all: they stand between the rising and the falling run
+            at = [*range(half), *range(length - (n - half), length)]
+            vals = sorted(vals[:half]) + sorted(vals[half:], reverse=True)
+        else:  # less than all: a falling run, fillers, a rising run
+            at = [*range(half), *range(length - (n - half), length)]
+            vals = sorted(vals[:half], reverse=True) + sorted(vals[half:])
+        df = spark.createDataFrame(list(zip(vals, at)), "v long, at long").repartition(3)
+        got = sorts.bitonic_merge(df, ["v"], "at", length, merge=merge, ascending=ascending, blocks=blocks).orderBy("pos").collect()
+        assert [x["pos"] for x in got] == list(range(n)) and [x["v"] for x in got] == sorted(vals, reverse=not ascending)
+
+
+@pytest.mark.parametrize("form", ["recursive", "layered"])
+@pytest.mark.parametrize("network", ["search", "bitonic"])
+def test_pivot_router(spark, sf, form, network):
+    df = permute(spark.read.parquet(f"{sf}/lineitem.parquet").select("l_partkey"), **S).take()
+    pivots = sorts.choose_pivots(df, sorts.as_keys(["l_partkey"]), 6000, seed=3, sampler="bitonic" if form == "layered" else "engine")
+    cuts = [(x["l_partkey"], x["_task"], x["_at"]) for x in pivots.orderBy("_p").collect()]
+    assert len(cuts) > 2 and cuts == sorted(cuts)
+    got = sorts.route_by_pivots(df, pivots, len(cuts), ["l_partkey"], form, network, tasks=8, gamma=2).collect()
+    assert len(got) == 6000
+    for x in got:
+        assert x["_bin"] == sum(c < (x["l_partkey"], x["_task"], x["_at"]) for c in cuts)
