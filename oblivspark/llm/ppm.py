@@ -17,7 +17,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.shared import materialise
+from ..plans.shared import fixed_rows, materialise
 from .base import column, id_and_text, map_batches, texts_of
 from .quality import remainder
 
@@ -27,8 +27,8 @@ BITS, EDGE = 9, 256
 ORDER = 5
 #: Symbols coded at a time, and distinct grams that a block gathers before it merges them.
 CHUNK, HELD = 1 << 19, 1 << 21
-#: Bytes of text in a block; a longer text is a block of its own.
-BLOCK_BYTES = 16 << 20
+#: Bytes of text in a block, and bytes from which a text is a block of its own.
+BLOCK_BYTES = 64 << 20
 #: Least number of slices of the grams (and of the words), and bytes of text per slice where there is more of it.
 SLICES, SLICE_BYTES = 64, 1 << 28
 #: Distinct grams that a shard of the trie aims at, the most shards, and grams that splitters are picked from.
@@ -241,69 +241,88 @@ def counted_words(texts: list[bytes], train: list[bool]) -> tuple[np.ndarray, np
     return _merge([word_hashes([*learnt, *new])], [np.array([*learnt.values(), *[0] * len(new)], np.int64)])
 
 
-_ROW = "block long, slice int, doc_id {kind}, held_out boolean, text string, keys binary, counts binary"
+def packed(a: np.ndarray) -> bytes:
+    """Numbers byte by byte of the same weight: what changes slowly is left to the exchange's compression."""
+    return np.ascontiguousarray(a.view(np.uint8).reshape(len(a), a.itemsize).T).tobytes()
 
 
-def cut_blocks(base: DataFrame, order: int, slices: int, block_bytes: int) -> DataFrame:
-    """Documents with the number of their block, and for each block and slice (words in the second half) a row of what the block asks for."""
-    kind = base.schema["doc_id"].dataType.simpleString()
+def unpacked(b: bytes, kind: str = "<u8") -> np.ndarray:
+    size = np.dtype(kind).itemsize
+    return np.ascontiguousarray(np.frombuffer(b, np.uint8).reshape(size, -1).T).view(kind).ravel()
 
-    def kernel(batches):
-        task, done, ids, held, texts, size = TaskContext.get().partitionId(), 0, [], [], [], 0
 
-        def flush():
-            nonlocal done, size
-            block = (task << 32) | done
+def _unpacked(parts) -> list[np.ndarray]:
+    return [np.empty(0, np.uint64), *(unpacked(b) for b in parts.to_pylist())]
+
+
+def blocks_of(batches, block_bytes: int):
+    """(number, ids, held out, texts) of a task's blocks: the same whenever the task runs over the same rows."""
+    task, done, ids, held, texts, size = TaskContext.get().partitionId(), 0, [], [], [], 0
+    for batch in batches:
+        for i, h, text in zip(column(batch, "doc_id").to_pylist(), column(batch, "held_out").to_pylist(), texts_of(batch)):
+            if texts and size + len(text) > block_bytes:
+                yield (task << 32) | done, ids, held, texts
+                done, ids, held, texts, size = done + 1, [], [], [], 0
+            ids.append(i)
+            held.append(h)
+            texts.append(text)
+            size += len(text)
+    if texts:
+        yield (task << 32) | done, ids, held, texts
+
+
+def asked_by_blocks(base: DataFrame, order: int, slices: int, block_bytes: int) -> DataFrame:
+    """(block, slice, keys, counts): each block's distinct grams, and words in the second half of the slices, with their counts in its training texts."""
+
+    def kernel(batches):
+        for block, _, held, texts in blocks_of(batches, block_bytes):
             train = [h is not True for h in held]
-            rows = []
             for shift, (keys, counts) in ((0, counted_grams(texts, train, order)), (slices, counted_words(texts, train))):
-                rows += [(shift + i, keys[p].tobytes(), counts[p].astype(np.uint64).tobytes()) for i, p in by_slice(keys, slices)]
-            n, m = len(texts), len(rows)
-            for i in range(0, n, 4096):  # texts apart from what they ask for, so that neither column is widened by the other
-                part = [pa.array([block] * len(texts[i : i + 4096]), pa.int64()), pa.nulls(len(texts[i : i + 4096]), pa.int32()), pa.array(ids[i : i + 4096], id_type), pa.array(held[i : i + 4096], pa.bool_()), pa.array(texts[i : i + 4096], pa.binary()).cast(pa.string())]
-                yield pa.record_batch([*part, pa.nulls(len(part[0]), pa.binary()), pa.nulls(len(part[0]), pa.binary())], names=names)
-            parts = [pa.array([block] * m, pa.int64()), pa.array([r[0] for r in rows], pa.int32()), pa.nulls(m, id_type), pa.nulls(m, pa.bool_()), pa.nulls(m, pa.string()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())]
-            yield pa.record_batch(parts, names=names)
-            done, size = done + 1, 0
-            for x in (ids, held, texts):
-                x.clear()
-
-        names, id_type = ["block", "slice", "doc_id", "held_out", "text", "keys", "counts"], None
-        for batch in batches:
-            own = column(batch, "doc_id")
-            id_type = own.type
-            for i, h, text in zip(own.to_pylist(), column(batch, "held_out").to_pylist(), texts_of(batch)):
-                if texts and size + len(text) > block_bytes:
-                    yield from flush()
-                ids.append(i)
-                held.append(h)
-                texts.append(text)
-                size += len(text)
-        if texts:
-            yield from flush()
+                rows = by_slice(keys, slices)
+                yield pa.record_batch(
+                    [pa.array([block] * len(rows), pa.int64()), pa.array([shift + i for i, _ in rows], pa.int32()), pa.array([packed(keys[p]) for _, p in rows], pa.binary()), pa.array([packed(counts[p].astype(np.uint64)) for _, p in rows], pa.binary())],
+                    names=["block", "slice", "keys", "counts"],
+                )
+
+    return map_batches(base.select("doc_id", "held_out", "text"), kernel, "block long, slice int, keys binary, counts binary")
+
 
-    return map_batches(base.select("doc_id", "held_out", "text"), kernel, _ROW.format(kind=kind))
+def texts_by_blocks(base: DataFrame, block_bytes: int) -> DataFrame:
+    """(block, doc_id, held_out, text): the documents under their blocks' numbers."""
+    kind = base.schema["doc_id"].dataType
 
+    def kernel(batches):
+        from pyspark.sql.pandas.types import to_arrow_type
+
+        for block, ids, held, texts in blocks_of(batches, block_bytes):
+            for i in range(0, len(ids), 2048):
+                part = slice(i, i + 2048)
+                yield pa.record_batch(
+                    [pa.array([block] * len(ids[part]), pa.int64()), pa.array(ids[part], to_arrow_type(kind)), pa.array(held[part], pa.bool_()), pa.array(texts[part], pa.binary()).cast(pa.string())], names=["block", "doc_id", "held_out", "text"]
+                )
 
-def _u64(parts) -> list[np.ndarray]:
-    return [np.empty(0, np.uint64), *(np.frombuffer(b, np.uint64) for b in parts.to_pylist())]
+    return map_batches(base.select("doc_id", "held_out", "text"), kernel, f"block long, doc_id {kind.simpleString()}, held_out boolean, text string")
 
 
 def merge_slices(asked: DataFrame, slices: int) -> DataFrame:
-    """(slice, size, known, total, keys, counts, sample): each distinct key of the corpus once, with its count in training texts."""
+    """A row for each slice, without a block: its distinct keys in order and their counts in training texts; and a row for each block's asking: the places of its keys among them."""
     per = max(1, SPLITTER_SAMPLE // slices)
 
     def merge(table: pa.Table) -> pa.Table:
         slot = table["slice"][0].as_py()
-        k, n = _merge(_u64(table["keys"]), _u64(table["counts"]))
+        own = _unpacked(table["keys"])
+        k, n = _merge(own, _unpacked(table["counts"]))
         with np.errstate(over="ignore"):
             some = k[np.argsort(k * _ODD * _ODD)[:per]] if slot < slices else k[:0]
-        return pa.table({
-            "slice": pa.array([slot], pa.int32()), "size": pa.array([len(k)], pa.int64()), "known": pa.array([int((n > 0).sum())], pa.int64()), "total": pa.array([int(n.sum())], pa.int64()),
-            "keys": pa.array([k.tobytes()], pa.binary()), "counts": pa.array([n.astype(np.uint64).tobytes()], pa.binary()), "sample": pa.array([some.tobytes()], pa.binary()),
-        })
+        m = len(table)
+        none = lambda kind: pa.nulls(m, kind)
+        first = [[None], [len(k)], [int((n > 0).sum())], [int(n.sum())], [packed(k)], [packed(n.astype(np.uint64))], [some.tobytes()], [None]]
+        rest = [table["block"].combine_chunks(), none(pa.int64()), none(pa.int64()), none(pa.int64()), none(pa.binary()), none(pa.binary()), none(pa.binary()), pa.array([packed(np.searchsorted(k, x).astype(np.uint32)) for x in own[1:]], pa.binary())]
+        kinds = [pa.int64()] * 4 + [pa.binary()] * 4
+        cols = [pa.chunked_array([pa.array(a, t), b], t) for a, b, t in zip(first, rest, kinds)]
+        return pa.table([pa.array([slot] * (m + 1), pa.int32()), *cols], names=["slice", "block", "size", "known", "total", "keys", "counts", "sample", "places"])
 
-    return asked.select("slice", "keys", "counts").groupBy("slice").applyInArrow(merge, "slice int, size long, known long, total long, keys binary, counts binary, sample binary")
+    return asked.groupBy("slice").applyInArrow(merge, "slice int, block long, size long, known long, total long, keys binary, counts binary, sample binary, places binary")
 
 
 def shared_counts(grams: DataFrame, splitters: np.ndarray, order: int) -> list[tuple]:
@@ -313,7 +332,7 @@ def shared_counts(grams: DataFrame, splitters: np.ndarray, order: int) -> list[t
     def kernel(batches):
         held = [([np.empty(0, np.uint64)], [np.empty(0, np.int64)]) for _ in range(order)]
         for batch in batches:
-            for keys, counts in zip(_u64(column(batch, "keys"))[1:], _u64(column(batch, "counts"))[1:]):
+            for keys, counts in zip(_unpacked(column(batch, "keys"))[1:], _unpacked(column(batch, "counts"))[1:]):
                 g, n = keys[counts > 0], counts[counts > 0].astype(np.int64)
                 for k in range(order):
                     context = context_at(g, k, order)
@@ -343,13 +362,13 @@ def score_grams(grams: DataFrame, order: int, slices: int, shard_grams: int) ->
     def deal(batches):
         cuts = shared.value[0]
         for batch in batches:
-            for keys, counts in zip(_u64(column(batch, "keys"))[1:], _u64(column(batch, "counts"))[1:]):
+            for keys, counts in zip(_unpacked(column(batch, "keys"))[1:], _unpacked(column(batch, "counts"))[1:]):
                 # keys are in order, and so are their shards
                 at = np.searchsorted(cuts, keys >> _NINE, "right")
                 cut = np.searchsorted(at, np.arange(len(cuts) + 2))
                 rows = [(i, a, b) for i, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
                 yield pa.record_batch(
-                    [pa.array([r[0] for r in rows], pa.int32()), pa.array([keys[a:b].tobytes() for _, a, b in rows], pa.binary()), pa.array([counts[a:b].tobytes() for _, a, b in rows], pa.binary())],
+                    [pa.array([r[0] for r in rows], pa.int32()), pa.array([packed(keys[a:b]) for _, a, b in rows], pa.binary()), pa.array([packed(counts[a:b]) for _, a, b in rows], pa.binary())],
                     names=["shard", "keys", "counts"],
                 )
 
@@ -364,23 +383,16 @@ def score_grams(grams: DataFrame, order: int, slices: int, shard_grams: int) ->
             context = keys >> _NINE
             on = (context >= low >> shift) & (context << shift < high)
             near.append((across, keys[on], n[on]))
-        grams, counts = _merge(_u64(table["keys"]), _u64(table["counts"]))
+        grams, counts = _merge(_unpacked(table["keys"]), _unpacked(table["counts"]))
         model = Trie(grams, counts, order, near)
         value = np.concatenate([np.empty(0), *(model.log10(grams[i : i + CHUNK]) for i in range(0, len(grams), CHUNK))])
         rows = by_slice(grams, slices)
-        return pa.table({"slice": pa.array([i for i, _ in rows], pa.int32()), "keys": pa.array([grams[p].tobytes() for _, p in rows], pa.binary()), "values": pa.array([value[p].tobytes() for _, p in rows], pa.binary())})
+        return pa.table({"slice": pa.array([i for i, _ in rows], pa.int32()), "keys": pa.array([packed(grams[p]) for _, p in rows], pa.binary()), "values": pa.array([packed(value[p]) for _, p in rows], pa.binary())})
 
     dealt = map_batches(grams.select("keys", "counts"), deal, "shard int, keys binary, counts binary")
     return dealt.groupBy("shard").applyInArrow(score, "slice int, keys binary, values binary")
 
 
-def _sorted_values(keys: pa.ChunkedArray, values: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
-    k = np.concatenate(_u64(keys))
-    v = np.concatenate([np.empty(0), *(np.frombuffer(b, np.float64) for b in values.to_pylist())])
-    by = np.argsort(k)
-    return k[by], v[by]
-
-
 def lm_scores(
     docs: DataFrame, by: int = 7, held: int = 2, order: int = ORDER, id_col: str = "doc_id", text_col: str = "text",
     shard_grams: int = SHARD_GRAMS, block_bytes: int = BLOCK_BYTES,
@@ -393,7 +405,7 @@ def lm_scores(
     at every size: nothing that grows with the corpus is broadcast or held by one task. Documents go in blocks of about ``block_bytes``; a block asks
     once for each of its distinct grams and words. Askings meet by slices of their hash, where the corpus's distinct grams and their counts come out;
     these go to shards of the trie, about ``shard_grams`` each, whose ends may cut a context: such contexts' counts are summed beforehand and
-    broadcast, at most 257 for each end and length. Answers go back by slice, then to the block. ``base_score`` is the sum over words
+    broadcast, at most 257 for each end and length. Answers go back by slice, then to the block, whose texts are read again. ``base_score`` is the sum over words
     (A to Z lower-cased) and one end of log10((c + 1) / (N + V + 1)). Words go by 64-bit hashes.
 
     Null text: the empty text, which has one token, its end. Null id: a training document. Repeated rows count and
@@ -402,50 +414,64 @@ def lm_scores(
     if not 0 <= order <= 6:
         raise ValueError("contexts have 0 to 6 symbols")
     spark = docs.sparkSession
-    base = id_and_text(docs, id_col, text_col).withColumn("held_out", remainder(F.col("doc_id"), by) == held)
+    base = fixed_rows(id_and_text(docs, id_col, text_col).withColumn("held_out", remainder(F.col("doc_id"), by) == held))
     volume = base.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     slices = max(SLICES, -(-volume // SLICE_BYTES))
-    blocks = materialise(cut_blocks(base, order, slices, block_bytes), "blocks")
-    texts = blocks.filter("slice IS NULL").select("block", "doc_id", "held_out", "text")
-    asked = blocks.filter("slice IS NOT NULL").select("block", "slice", "keys", "counts")
-
-    merged = materialise(merge_slices(asked, slices), "merged")
-    grams, words = merged.filter(F.col("slice") < slices), merged.filter(F.col("slice") >= slices)
+    merged = materialise(merge_slices(asked_by_blocks(base, order, slices, block_bytes), slices), "merged")
+    grams, words = (merged.filter(F.col("block").isNull() & on).drop("block", "places") for on in (F.col("slice") < slices, F.col("slice") >= slices))
+    places = merged.filter("block IS NOT NULL").select("slice", "block", "places")
     tokens, kinds = words.agg(F.coalesce(F.sum("total"), F.lit(0)), F.coalesce(F.sum("known"), F.lit(0))).first()
     floor = math.log10(tokens + kinds + 1)
 
     def logs(batches):
         for batch in batches:
-            values = [np.log10(n.astype(np.float64) + 1).tobytes() for n in _u64(column(batch, "counts"))[1:]]
+            values = [packed(np.log10(n.astype(np.float64) + 1)) for n in _unpacked(column(batch, "counts"))[1:]]
             yield pa.record_batch([column(batch, "slice"), column(batch, "keys"), pa.array(values, pa.binary())], names=["slice", "keys", "values"])
 
     answers = score_grams(grams, order, slices, shard_grams).unionByName(map_batches(words.select("slice", "keys", "counts"), logs, "slice int, keys binary, values binary"))
 
     def reply(asked: pa.Table, known: pa.Table) -> pa.Table:
-        keys, values = _sorted_values(known["keys"], known["values"])
-        out = [values[np.searchsorted(keys, np.frombuffer(b, np.uint64))].tobytes() for b in asked["keys"].to_pylist()]
-        return pa.table({"block": asked["block"], "slice": asked["slice"], "keys": asked["keys"], "values": pa.array(out, pa.binary())})
-
-    replies = asked.select("block", "slice", "keys").groupBy("slice").cogroup(answers.groupBy("slice")).applyInArrow(reply, "block long, slice int, keys binary, values binary")
+        keys = np.concatenate(_unpacked(known["keys"]))
+        values = np.concatenate([np.empty(0), *(unpacked(b, "<f8") for b in known["values"].to_pylist())])[np.argsort(keys)]
+        kinds, codes = [], []
+        for b in asked["places"].to_pylist():  # few values are different: each travels once, beside short codes
+            different, code = np.unique(values[unpacked(b, "<u4")], return_inverse=True)
+            kinds.append(different.tobytes())
+            codes.append(packed(code.astype(np.uint16 if len(different) <= 1 << 16 else np.uint32)))
+        return pa.table({"block": asked["block"], "slice": asked["slice"], "kinds": pa.array(kinds, pa.binary()), "codes": pa.array(codes, pa.binary())})
+
+    replies = places.groupBy("slice").cogroup(answers.groupBy("slice")).applyInArrow(reply, "block long, slice int, kinds binary, codes binary")
     kind = base.schema["doc_id"].dataType.simpleString()
 
     def finish(mine: pa.Table, told: pa.Table) -> pa.Table:
-        is_gram = pa.array(told["slice"].to_numpy() < slices)
-        keys, values = _sorted_values(*(told.filter(is_gram)[c] for c in ("keys", "values")))
         own = mine.combine_chunks()["text"].cast(pa.binary()).to_pylist()
+        of = dict(zip(told["slice"].to_pylist(), zip(told["kinds"].to_pylist(), told["codes"].to_pylist())))
+
+        def values_of(keys: np.ndarray, shift: int) -> np.ndarray:
+            out = np.empty(len(keys))
+            for i, p in by_slice(keys, slices):
+                different = np.frombuffer(of[shift + i][0], np.float64)
+                out[p] = different[unpacked(of[shift + i][1], "<u2" if len(different) <= 1 << 16 else "<u4")]
+            return out
+
+        keys, _ = counted_grams(own, [False] * len(own), order)
+        values = values_of(keys, 0)
         score = np.zeros(len(own))
         for at, flat, lengths in pieces_of(own, order):
             log = values[np.searchsorted(keys, flat)]
             np.add.at(score, at, np.add.reduceat(log, np.cumsum([0, *lengths[:-1]])))
-        is_word = pa.array(told["slice"].to_numpy() >= slices)
-        keys, values = _sorted_values(*(told.filter(is_word)[c] for c in ("keys", "values")))
-        value: dict[bytes, float] = {}
+        there: set[bytes] = {b""}
+        for text in own:
+            for ws in words_of(text):
+                there.update(ws)
+        there = list(there)
+        hashes = word_hashes(there)
+        keys = np.unique(hashes)
+        value = dict(zip(there, values_of(keys, slices)[np.searchsorted(keys, hashes)].tolist()))
         n_tokens, known, total = [], [], []
         for text in own:
             n, k, t = 1, 0, 0.0
             for ws in [*words_of(text), [b""]]:
-                new = [w for w in set(ws) if w not in value]
-                value.update(zip(new, values[np.searchsorted(keys, word_hashes(new))].tolist() if new else []))
                 x = np.array([value[w] for w in ws])
                 n, k, t = n + len(ws), k + int(np.count_nonzero(x)), t + float(x.sum())
             n_tokens.append(n - 1)
@@ -456,6 +482,6 @@ def lm_scores(
             "train_tokens": pa.array([int(tokens)] * len(own), pa.int64()), "base_score": pa.array(total, pa.float64()), "score": pa.array(score),
         })
 
-    return texts.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(
+    return texts_by_blocks(base, block_bytes).groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(
         finish, f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     )
