@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import pickle
 import uuid
+from itertools import repeat
 
 import ahocorasick
 import numpy as np
@@ -19,8 +20,8 @@ from .base import column, id_and_text, map_batches, texts_of
 _WORD_BYTES = b"0123456789abcdefghijklmnopqrstuvwxyz" + bytes(range(128, 256))
 #: From any byte to its lower-case word byte, or a space.
 NORMAL = bytes(c if c in _WORD_BYTES else 32 for c in bytes(range(256)).lower())
-#: Windows that one automaton holds; a benchmark of more is scanned for in rounds, each with an automaton of its own.
-ROUND_WINDOWS = 1 << 17
+#: Windows that one automaton holds; a benchmark of more is scanned for in rounds, each with an automaton of its own. There are codes for two million different words.
+ROUND_WINDOWS = 1 << 16
 
 
 def normal_words(text: bytes) -> list[bytes]:
@@ -34,15 +35,26 @@ def windows(words: list[bytes], width: int) -> list[bytes]:
     return [b" ".join(words[i : i + width]) for i in range(max(1, len(words) - width + 1))]
 
 
+def _code(number: int) -> str:
+    """Three characters for a word number, the first of an alphabet that the others don't have: a match can't begin inside a word. Few characters keep the automaton's nodes narrow."""
+    return chr(number >> 14) + chr(128 + (number >> 7 & 127)) + chr(128 + (number & 127))
+
+
+_UNKNOWN = _code(0)
+
+
 class Scanner:
-    """One Aho-Corasick automaton over windows as sequences of word numbers; words that no window has are number 0."""
+    """One Aho-Corasick automaton over windows, written as three characters a word; words that no window has are number 0."""
 
     def __init__(self, owners: list[tuple[bytes, list]]):
-        self.numbers: dict[bytes, int] = {}
-        self.machine = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
+        self.codes: dict[bytes, str] = {}
+        self.machine = ahocorasick.Automaton()
         for window, of in owners:
-            key = tuple(self.numbers.setdefault(w, len(self.numbers) + 1) for w in window.split(b" "))
-            self.machine.add_word(key, (len(key), tuple(of)))
+            words = window.split(b" ")
+            for w in words:
+                if w not in self.codes:
+                    self.codes[w] = _code(len(self.codes) + 1)
+            self.machine.add_word("".join([self.codes[w] for w in words]), (len(words), tuple(of)))
         if owners:
             self.machine.make_automaton()
 
@@ -51,9 +63,9 @@ class Scanner:
         found, items = [], set()
         if not words or not len(self.machine):
             return found, items
-        get = self.numbers.get
-        for at, (n, of) in self.machine.iter(tuple([get(w, 0) for w in words])):
-            found.append((at + 1 - n, at + 1))
+        for at, (n, of) in self.machine.iter("".join(map(self.codes.get, words, repeat(_UNKNOWN)))):
+            past = (at + 1) // 3
+            found.append((past - n, past))
             items.update(of)
         return merged(found), items
 
@@ -143,7 +155,7 @@ def decontaminate(
     """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated, spans (with ``carry``: all input columns instead of doc_id, and contaminated as _contaminated).
 
     A window is ``width`` consecutive words of a benchmark item, or the whole of a shorter item. The different windows are
-    found in tasks and written down; about ``round_windows`` of them at a time go into one automaton over word numbers, which reads each document's words
+    found in tasks and written down; about ``round_windows`` of them at a time go into one automaton over words, which reads each document's words
     once. A word inside any match is hit. ``spans`` gives the hit parts as byte ranges of the original text (UTF-8), punctuation
     between hit words included. A benchmark of any size is served: with more windows than one automaton takes, the documents are read once a round,
     what the rounds find is brought together by row, and the result is the same.
