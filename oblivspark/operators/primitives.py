@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.codec import Key, as_keys
 from ..plans.shared import materialise
-from .sorts import oblivious_sort
+from .sorts import SMALL, oblivious_sort
 
 #: f: (aggregate over a window, combination of an earlier and a later part, value over nothing).
 FUNCTIONS = {
@@ -30,6 +30,8 @@ def blocked(df: DataFrame, pos: str, blocks: int | None = None, n: int | None =
     """``df`` with ``_blk``: the number of its block of public size."""
     count = blocks or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     n = n if n is not None else 1 if count == 1 else df.count()
+    if count == 1:
+        return df.withColumn("_blk", F.lit(0))
     size = max(1, -(-n // count))
     return df.withColumn("_blk", F.floor(F.col(pos) / size).cast("int"))
 
@@ -49,7 +51,10 @@ def segmented_aggregate(
 def segmented_aggregates(
     df: DataFrame, group: list[str], aggs: dict[str, tuple[str, Column]], inclusive: bool = False, direction: str = "suffix", pos: str = "pos", blocks: int | None = None, n: int | None = None,
 ) -> DataFrame:
-    """Several functions in the same two scans: ``aggs`` is name -> (f, column)."""
+    """Several functions in the same two scans: ``aggs`` is name -> (f, column). Up to ``SMALL`` rows (``n``, a public number) are one block, and one scan is all."""
+    if blocks is None:
+        n = df.count() if n is None else n
+        blocks = 1 if n <= SMALL else None
     order = F.col(pos).asc() if direction == "prefix" else F.col(pos).desc()
     block_order = F.col("_blk") if direction == "prefix" else -F.col("_blk")
     specs = list(enumerate(aggs.items()))
@@ -62,6 +67,10 @@ def segmented_aggregates(
     run = Window.partitionBy("_blk", "_seg").orderBy(order).rowsBetween(Window.unboundedPreceding, 0 if inclusive else -1)
     rows = rows.withColumns({f"_local{i}": FUNCTIONS[f][0](f"_v{i}").over(run) for i, (_, (f, _)) in specs})
 
+    if blocks == 1:
+        results = {out: F.col(f"_local{i}") if FUNCTIONS[f][2] is None else F.coalesce(f"_local{i}", F.lit(FUNCTIONS[f][2])) for i, (out, (f, _)) in specs}
+        return rows.withColumns(results).drop("_blk", "_seg", "_g", "_new", *(f"{c}{i}" for i, _ in specs for c in ("_v", "_local")))
+
     def whole(i: int, f: str) -> Column:
         """f over a block's part of a group; first and last by position."""
         if f in ("first", "last"):

@@ -56,15 +56,15 @@ def network_sort(df: DataFrame, keys, pos: str = "pos", widths: dict | None = No
     return df.coalesce(1).mapInArrow(kernel, f"{fields}, `{pos}` long")
 
 
-def oblivious_sort(df: DataFrame, keys, second: str = "engine", pos: str = "pos", seed: int | None = None, level: str = "memory", widths: dict | None = None, small: int = SMALL, **options) -> DataFrame:
+def oblivious_sort(df: DataFrame, keys, second: str = "engine", pos: str = "pos", seed: int | None = None, level: str = "memory", widths: dict | None = None, small: int = SMALL, n: int | None = None, **options) -> DataFrame:
     """The rows with ``pos``, their dense place in the order of ``keys`` (ties in the order of the permutation).
 
     A secret permutation, then a comparison sort: ``engine`` range-partitions and sorts, ``pivots`` sorts a sample and routes by its
     quantiles in the shape of the first pass. Whatever the second pass shows depends on ranks in a secret random order.
-    ``options``: those of ``permute`` and, for ``pivots``, of ``sort_permuted``.
+    ``n``: the number of rows where it is known. ``options``: those of ``permute`` and, for ``pivots``, of ``sort_permuted``.
     """
     own = {k: options.pop(k) for k in ("relaxed", "network") if k in options}
-    if small and second == "engine" and df.count() <= small:
+    if small and second == "engine" and (df.count() if n is None else n) <= small:
         return network_sort(df, keys, pos, widths)
     drawn = permute(df, seed=seed, level=level, widths=widths, **options)
     if second == "pivots":

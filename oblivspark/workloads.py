@@ -6,18 +6,17 @@ Coins are keyed hashes under a fixed seed, so that results can be compared; kern
 from __future__ import annotations
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import sources, streaming
 from .functions import kernels as K
-from .functions.codec import Key, as_keys, encode_keys, key_words
+from .functions.codec import Key, as_keys
 from .operators import baselines, graphs, pram, primitives, relational, sorts, tree_memory
 from .operators.permute import permute, route_bins
 from .plans import bounds, params, trace
 from .plans.components import connected_components as star_components
-from .plans.shared import dense_positions, materialise, ship_package
+from .plans.shared import dense_positions, materialise, numbered
 
 S = {"seed": 7, "level": "cluster"}
 LINE = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]
@@ -404,39 +403,37 @@ def pram_program_histogram(spark, d):
     return mem.select(F.col("addr").alias("cell"), F.col("val").alias("value"))
 
 
-def _in_tree(spark, cells: DataFrame, requests: DataFrame, batch: int) -> DataFrame:
-    """(i, val): a tree memory in one task serves the requests (i, op, addr, val), ``batch`` at a time."""
-    both = cells.select(F.lit(-1).cast("long").alias("i"), F.lit("m").alias("op"), "addr", "val").unionByName(requests)
-    ship_package(spark)
+def _requests(df: DataFrame, op: str) -> DataFrame:
+    return df.select(F.col("proc").alias("i"), F.lit(op).alias("op"), "addr", (F.col("val") if op == "w" else F.lit(None)).cast("long").alias("val"))
 
-    def serve(batches):
-        tab = pa.Table.from_batches(list(batches)).sort_by([("i", "ascending"), ("addr", "ascending")])
-        i, op, addr, val = (tab[c].to_pylist() for c in ("i", "op", "addr", "val"))
-        first = sum(o == "m" for o in op)
-        mem = tree_memory.TreeMemory(val[:first], seed=7)
-        req = list(zip(op, addr, val))[first:]
-        got = [x for k in range(0, len(req), batch) for x in mem.access(req[k : k + batch])]
-        yield pa.record_batch([pa.array(i[first:], pa.int64()), pa.array(got, pa.int64())], names=["i", "val"])
 
-    return both.coalesce(1).mapInArrow(serve, "i long, val long")
-
-
-@query("SELECT o_orderkey, CAST(round(c_acctbal * 100) AS BIGINT) AS val FROM orders JOIN customer ON o_custkey = c_custkey WHERE o_orderkey < 256")
+@query("SELECT l_orderkey, l_linenumber, l_partkey, CAST(round(p_retailprice * 100) AS BIGINT) AS val FROM lineitem LEFT JOIN part ON l_partkey = p_partkey")
 def treemem_read_batch(spark, d):
-    mem, req = _balances(spark, d)
-    asked = req.filter("proc < 256").select(F.col("proc").alias("i"), F.lit("r").alias("op"), "addr", F.lit(0).cast("long").alias("val"))
-    return _in_tree(spark, mem, asked, 64).select(F.col("i").alias("o_orderkey"), "val")
+    """Every line reads its part's price; trees keep all but their first seven levels."""
+    mem = tree_memory.TreeMemory(t(spark, d, "part").select(F.col("p_partkey").alias("addr"), cents("p_retailprice").alias("val")), top=7, **S)
+    lines = materialise(numbered(t(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey"), "proc"), "lines")
+    got = mem.access(_requests(lines.select("proc", F.col("l_partkey").alias("addr"), F.lit(0).alias("val")), "r"))
+    return lines.join(got, F.col("proc") == F.col("i")).select("l_orderkey", "l_linenumber", "l_partkey", "val")
 
 
 @query(
-    """WITH w AS (SELECT o_custkey, arg_max(v, b) AS v FROM (SELECT o_custkey, o_orderkey // 64 AS b, arg_min(CAST(round(o_totalprice * 100) AS BIGINT), o_orderkey) AS v FROM orders WHERE o_orderkey < 640 GROUP BY 1, 2) GROUP BY 1)
-SELECT c_custkey, coalesce(v, CAST(round(c_acctbal * 100) AS BIGINT)) AS val FROM customer LEFT JOIN w ON c_custkey = o_custkey WHERE c_custkey < 128"""
+    """WITH w AS (SELECT o_custkey, arg_min(CAST(round(o_totalprice * 100) AS BIGINT), o_orderkey) AS v FROM orders GROUP BY 1)
+SELECT c_custkey, coalesce(v, CAST(round(c_acctbal * 100) AS BIGINT)) AS val FROM customer LEFT JOIN w ON c_custkey = o_custkey"""
 )
 def treemem_write_then_read(spark, d):
-    mem, req = _balances(spark, d)
-    writes = req.filter("proc < 640").select(F.col("proc").alias("i"), F.lit("w").alias("op"), "addr", "val")
-    reads = mem.filter("addr < 128").select((F.col("addr") + 640).alias("i"), F.lit("r").alias("op"), "addr", F.lit(0).cast("long").alias("val"))
-    return _in_tree(spark, mem, writes.unionByName(reads), 64).filter("i >= 640").select((F.col("i") - 640).alias("c_custkey"), "val")
+    """Every order writes its price to its customer's cell, the least order number winning; then every customer is read."""
+    cells, req = _balances(spark, d)
+    mem = tree_memory.TreeMemory(cells, top=7, **S)
+    mem.access(_requests(req, "w"))
+    return mem.access(_requests(cells.select(F.col("addr").alias("proc"), "addr", "val"), "r")).select(F.col("i").alias("c_custkey"), "val")
+
+
+@query("SELECT CAST(c.c AS BIGINT) AS cell, count(user_id) AS value FROM generate_series(0, 149) c(c) LEFT JOIN events ON user_id = c.c GROUP BY 1")
+def simulate_histogram_in_tree(spark, d):
+    """The histogram's one combining write in tree memory; the chooser, which counts work, would sort all cells instead."""
+    procs = t(spark, d, "events").select(F.col("event_id").alias("proc"), F.col("user_id").alias("key"))
+    mem, _ = tree_memory.simulate(pram.histogram_program(), _user_cells(spark, d), procs, "tree", top=5, **S)
+    return mem.select(F.col("addr").alias("cell"), F.col("val").alias("value"))
 
 
 # -- lists and trees ------------------------------------------------------------------------------------------------

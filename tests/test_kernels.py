@@ -12,7 +12,7 @@ from oblivspark.functions import kernels as K
 from oblivspark.functions.codec import Codec, Key, WidthExceeded, as_keys, encode_keys, key_words, ordered_u64
 from oblivspark.operators.graphs import _hook
 from oblivspark.operators.permute import spread
-from oblivspark.operators.tree_memory import PoolOverflow, TreeMemory, better_memory, veb_index
+from oblivspark.operators.tree_memory import better_memory, path_blocks, veb_index
 from oblivspark.plans import bounds, params, trace
 
 
@@ -180,21 +180,12 @@ def test_star_hooking_against_union_find():
         assert len({(find(x), d[x]) for x in range(n)}) == len({find(x) for x in range(n)}) == len(set(d.tolist()))
 
 
-def test_tree_memory():
-    rng = np.random.default_rng(5)
-    mem, ref = TreeMemory(list(range(50)), seed=1), list(range(50))
-    for _ in range(60):
-        req = [("rw"[rng.integers(2)], int(rng.integers(0, 53)), int(rng.integers(1000))) for _ in range(8)]
-        assert mem.access(req) == [ref[a] if a < 50 else None for _, a, _ in req]
-        done = set()
-        for op, a, v in req:
-            if op == "w" and a < 50 and a not in done:
-                ref[a] = v
-                done.add(a)
-    assert all(len(paths) == 8 for batch in mem.seen for paths in batch)
-    with pytest.raises(PoolOverflow):
-        TreeMemory(list(range(64)), bucket=1, pool=1, seed=1).access([("r", i, 0) for i in range(64)])
-    assert sorted(veb_index(4)[1:].tolist()) == list(range(15))
+def test_tree_layout():
+    """Top half first, then each bottom tree; long paths touch fewer blocks than by breadth."""
+    for h in range(1, 10):
+        assert sorted(veb_index(h)[1:].tolist()) == list(range((1 << h) - 1))
+    assert veb_index(4)[1:].tolist() == [0, 1, 2, 3, 6, 9, 12, 4, 5, 7, 8, 10, 11, 13, 14]
+    assert path_blocks(12, 16) < 0.7 * path_blocks(12, 16, "bfs")
     assert better_memory(100, 100) == "space" and better_memory(10**6, 4) == "tree"
 
 

@@ -286,3 +286,29 @@ def test_pivot_router(spark, sf, form, network):
     assert len(got) == 6000
     for x in got:
         assert x["_bin"] == sum(c < (x["l_partkey"], x["_task"], x["_at"]) for c in cuts)
+
+
+def test_tree_memory_serves_batches(spark):
+    """Against an array: reads see the memory before the batch, the least request number wins, foreign addresses read null; paths and evictions are public shapes."""
+    from oblivspark.operators.tree_memory import TreeMemory
+
+    r = random.Random(5)
+    ref = [100 + i for i in range(37)]
+    mem = TreeMemory(spark.createDataFrame(list(enumerate(ref)), "addr long, val long"), procs=2, **S)
+    assert mem.height == 6 and mem.top == 1 and sorted(map(tuple, mem.dump().collect())) == list(enumerate(ref))
+    for _ in range(2):
+        req = [(i, r.choice("rw"), r.choice([r.randrange(37), 3, 40]), r.randrange(1000)) for i in range(8)]
+        got = {x["i"]: x["val"] for x in mem.access(spark.createDataFrame(req, "i long, op string, addr long, val long")).collect()}
+        assert got == {i: ref[a] if a < 37 else None for i, _, a, _ in req}
+        done = set()
+        for _, op, a, v in req:
+            if op == "w" and a < 37 and a not in done:
+                ref[a] = v
+                done.add(a)
+    assert sorted(map(tuple, mem.dump().collect())) == list(enumerate(ref))
+    # as many paths as requests at every depth, and two different paths a subtree and batch, others each time
+    shown = [x.groupBy("batch", "depth").count().first() for x in mem.seen]
+    assert all(x["count"] == 8 for x in shown) and len(shown) == 2 * 7
+    for _, d, ends in mem.evicted:
+        assert len(set(ends)) == 2 and all(e < 1 << (d - 1) for e in ends)
+    assert {e for b, d, ends in mem.evicted if d == 6 for e in ends} == {8, 24, 4, 20}
