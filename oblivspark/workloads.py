@@ -759,7 +759,72 @@ def rank_window_suite(spark, d):
     df = t(spark, d, "orders").select("o_orderkey", "o_orderstatus", "o_orderpriority")
     rows = relational.window_ranks(df, ["o_orderstatus"], ["o_orderpriority"], **S).select("o_orderkey", "rank", "dense_rank")
     full = relational.window_ranks(df, ["o_orderstatus"], ["o_orderpriority", "o_orderkey"], **S).select("o_orderkey", "row_number")
-    return full.join(rows, "o_orderkey").select("o_orderkey", "row_number", "rank", "dense_rank")
+    return relational.lookup_join(full, rows, "o_orderkey", "o_orderkey", ["rank", "dense_rank"], "left", **S).select("o_orderkey", "row_number", "rank", "dense_rank")
+
+
+@query(
+    """SELECT event_id, lag(event_id) OVER w AS before, lead(event_id, 2) OVER w AS second, first_value(event_id) OVER f AS first_value, last_value(event_id) OVER f AS last_value
+FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id), f AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)"""
+)
+def window_neighbours(spark, d):
+    df, at = t(spark, d, "events").select("user_id", "ts", "event_id"), ["ts", "event_id"]
+    df = relational.neighbour(df, ["user_id"], at, F.col("event_id"), "before", **S)
+    df = relational.neighbour(materialise(df, "lag"), ["user_id"], at, F.col("event_id"), "second", -2, **S)
+    return relational.first_last(materialise(df, "lead"), ["user_id"], at, F.col("event_id"), **S).select("event_id", "before", "second", "first_value", "last_value")
+
+
+@query(
+    """SELECT event_id, CAST(sum(CAST(round("value" * 100) AS BIGINT)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND 1 FOLLOWING) AS BIGINT) AS near,
+CAST(ntile(4) OVER w AS INTEGER) AS ntile, round(percent_rank() OVER w, 9) AS percent_rank, round(cume_dist() OVER w, 9) AS cume_dist FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"""
+)
+def window_frames(spark, d):
+    df, at = t(spark, d, "events").select("user_id", "ts", "event_id", cents("value").alias("c")), ["ts", "event_id"]
+    df = relational.frame_sum(df, ["user_id"], at, F.col("c"), "near", 3, 1, **S)
+    df = relational.window_shares(materialise(df, "frames"), ["user_id"], at, 4, **S)
+    return df.select("event_id", "near", "ntile", F.round("percent_rank", 9).alias("percent_rank"), F.round("cume_dist", 9).alias("cume_dist"))
+
+
+@query("SELECT share, (SELECT o_totalprice FROM (SELECT o_totalprice, row_number() OVER (ORDER BY o_totalprice) - 1 AS r FROM orders) WHERE r = CAST(floor(share * ((SELECT count(*) FROM orders) - 1)) AS BIGINT) LIMIT 1) AS o_totalprice FROM (VALUES (0.0::DOUBLE), (0.25), (0.5), (1.0)) q(share)")
+def quantiles_orders(spark, d):
+    return relational.quantiles(t(spark, d, "orders"), "o_totalprice", [0.0, 0.25, 0.5, 1.0], **S)
+
+
+@query("SELECT n_nationkey, s_suppkey FROM (SELECT n_nationkey::BIGINT AS n_nationkey FROM nation) n FULL JOIN (SELECT s_suppkey % 40 AS k, min(s_suppkey) AS s_suppkey FROM supplier GROUP BY 1) s ON n_nationkey = k WHERE true")
+def outer_join_nations(spark, d):
+    s = t(spark, d, "supplier").groupBy((F.col("s_suppkey") % 40).alias("k")).agg(F.min("s_suppkey").alias("s_suppkey"))
+    n = t(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("k"), F.col("n_nationkey").cast("long").alias("n_nationkey"))
+    return relational.release(relational.lookup_join(n, s, "k", "k", ["s_suppkey"], "outer", **S)).select("n_nationkey", "s_suppkey")
+
+
+@query("SELECT o_orderkey, CAST(floor(o_totalprice / 5000) AS BIGINT) AS band FROM orders WHERE true")
+def range_join_price_bands(spark, d):
+    """Each order in the price band that it lies in, of bands of 5,000 up to the greatest price."""
+    top = t(spark, d, "orders").agg(F.max("o_totalprice")).first()[0]
+    bands = spark.range(int(top // 5000) + 1).select(F.col("id").alias("band"), (F.col("id") * 5000.0).alias("low"), ((F.col("id") + 1) * 5000.0).alias("high"))
+    return relational.range_join(_orders(spark, d), bands, "o_totalprice", "low", "high", ["band"], **S).select("o_orderkey", "band")
+
+
+@query("SELECT s_suppkey, n_name FROM supplier JOIN nation ON s_suppkey % 25 > n_nationkey AND n_regionkey = 1")
+def theta_join_supplier_nation(spark, d):
+    nations = t(spark, d, "nation").select("n_nationkey", "n_name", "n_regionkey")
+    return relational.release(relational.theta_join(t(spark, d, "supplier").select("s_suppkey"), nations, (F.col("s_suppkey") % 25 > F.col("n_nationkey")) & (F.col("n_regionkey") == 1))).select("s_suppkey", "n_name")
+
+
+@query(
+    """SELECT c_nationkey, count(*) FILTER (c_mktsegment = 'BUILDING') AS "BUILDING_n", count(*) FILTER (c_mktsegment = 'MACHINERY') AS "MACHINERY_n" FROM customer GROUP BY 1 HAVING count(*) FILTER (c_mktsegment = 'BUILDING') > 2"""
+)
+def pivot_having_segments(spark, d):
+    got = relational.pivot(t(spark, d, "customer").select("c_nationkey", "c_mktsegment"), ["c_nationkey"], "c_mktsegment", ["BUILDING", "MACHINERY"], {"n": ("count", F.lit(1))}, **S)
+    return relational.release(relational.having(got, F.col("BUILDING_n") > 2))
+
+
+@query(
+    """SELECT user_id, count(DISTINCT event_type) AS kinds, round(var_samp(c), 4) AS spread, arg_max(event_id, ts) AS latest FROM (SELECT *, CAST(round("value" * 100) AS BIGINT) AS c FROM events) GROUP BY 1"""
+)
+def group_agg_more(spark, d):
+    df = t(spark, d, "events").select("user_id", "event_type", "ts", "event_id", cents("value").alias("c"))
+    aggs = {"kinds": ("count_distinct", F.col("event_type")), "spread": ("var", F.col("c")), "latest": ("max_by", F.struct(F.col("ts").alias("by"), F.col("event_id").alias("value")))}
+    return relational.release(relational.group_aggregate(df, ["user_id"], aggs, **S)).select("user_id", "kinds", F.round("spread", 4).alias("spread"), "latest")
 
 
 _REV = "CAST(sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS BIGINT)"
@@ -792,6 +857,20 @@ def q5_like(spark, d):
     return relational.public_join(sums, t(spark, d, "nation"), "s_nationkey", "n_nationkey", ["n_name"]).select("n_name", "cents")
 
 
+@query(
+    f"""SELECT c_custkey, c_name, {_REV} AS cents, n_name FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey
+WHERE l_returnflag = 'R' GROUP BY 1, 2, 4 ORDER BY cents DESC, c_custkey LIMIT 20"""
+)
+def q10_like(spark, d):
+    line = relational.lookup_join(t(spark, d, "lineitem").select("l_orderkey", "l_extendedprice", "l_returnflag"), t(spark, d, "orders").select("o_orderkey", "o_custkey"), "l_orderkey", "o_orderkey", ["o_custkey"], **S)
+    line = relational.where(line, F.col("l_returnflag") == "R")
+    sums = materialise(relational.group_aggregate(line, ["o_custkey"], {"cents": ("sum", cents("l_extendedprice"))}, **S), "q10")
+    top = materialise(relational.release(relational.top_k(sums, 20, [Key("cents", False), Key("o_custkey")], **S)).drop("pos"), "q10")
+    cust = t(spark, d, "customer").select("c_custkey", "c_name", "c_nationkey")
+    got = relational.release(relational.lookup_join(top, cust, "o_custkey", "c_custkey", ["c_name", "c_nationkey"], **S))
+    return relational.public_join(got, t(spark, d, "nation"), "c_nationkey", "n_nationkey", ["n_name"]).select(F.col("o_custkey").alias("c_custkey"), "c_name", "cents", "n_name")
+
+
 @query("SELECT event_type, CAST(sum(CAST(json_extract(props, '$.k') AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY 1")
 def json_prop_totals(spark, d):
     df = t(spark, d, "events").select("event_type", F.get_json_object("props", "$.k").cast("long").alias("k"))
@@ -802,7 +881,8 @@ def json_prop_totals(spark, d):
 def expand_join_same_nation(spark, d):
     left = t(spark, d, "supplier").filter("s_acctbal > 5000").select("s_suppkey", F.col("s_nationkey").alias("k"))
     right = t(spark, d, "customer").filter("c_acctbal > 9000").select("c_custkey", F.col("c_nationkey").alias("k"))
-    return relational.expand_join(left, right, "k", 10_000_000, **S).select("s_suppkey", "c_custkey")
+    bound = left.count() * right.count()  # in the open: the product of the lengths of both sides is a bound that holds
+    return relational.release(relational.expand_join(left, right, "k", params.power_of_two(max(1, bound)), **S)).select("s_suppkey", "c_custkey")
 
 
 # -- streams --------------------------------------------------------------------------------------------------------
