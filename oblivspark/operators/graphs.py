@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.codec import Key
-from ..functions.kernels import mix64
+from ..functions.kernels import coin_key
 from ..plans.shared import dense_positions, materialise, ship_package
 from .permute import permute
 from .pram import pram_read, pram_write
@@ -104,7 +104,7 @@ def list_rank(df: DataFrame, id_col: str, succ_col: str, weight: str | None = No
     if ranker == "jump":
         ranks = _jump(nodes, n)
     else:
-        ranks = _contract(nodes, n, tail, seed or 0)
+        ranks = _contract(nodes, n, tail, int.from_bytes(coin_key(seed)[:7], "little"))
     back = nodes.join(ranks, "x").select(F.col("id").alias(id_col), F.col("ahead").alias(out))
     return send_receive(back, df, [id_col], [out], restore=False, on_duplicate="first", seed=seed, level=level, **options).drop("found")
 
@@ -131,7 +131,7 @@ def euler_tour(edges: DataFrame, seed: int | None = None, level: str = "memory",
 
 
 def tree_functions(edges: DataFrame, root: int, seed: int | None = None, level: str = "memory", **options) -> DataFrame:
-    """(node, parent, depth, pre, post, size) of every node but an isolated root, the tree hung up at ``root``.
+    """(node, parent, depth, pre, post, size, is_leaf) of every node but an isolated root, the tree hung up at ``root``.
 
     The tour is cut where it would come back to its first edge; ranks order its edges, an edge goes down if it comes before its twin, and
     running counts of down and up edges give preorder (root 0), postorder, depth and sizes.
@@ -140,10 +140,10 @@ def tree_functions(edges: DataFrame, root: int, seed: int | None = None, level:
     n = tour.count()
     start = tour.filter(F.col("u") == root).agg(F.min("v")).first()[0]
     if start is None:
-        return edges.sparkSession.createDataFrame([(root, None, 0, 0, 0, 1)], "node long, parent long, depth long, pre long, post long, size long")
+        return edges.sparkSession.createDataFrame([(root, None, 0, 0, 0, 1, True)], "node long, parent long, depth long, pre long, post long, size long, is_leaf boolean")
     named = materialise(dense_positions(tour, [F.col("u"), F.col("v")], "_i").withColumn("id", F.col("_i") + 1), "tour")
     heads = named.select(F.col("u").alias("su"), F.col("v").alias("sv"), F.col("id").alias("succ"))
-    linked = named.join(heads, ["su", "sv"])
+    linked = send_receive(heads, named.select("id", "u", "v", "su", "sv"), ["su", "sv"], ["succ"], on_duplicate="first", restore=False, seed=seed, level=level, **options)
     linked = linked.withColumn("succ", F.when((F.col("su") == root) & (F.col("sv") == start), F.lit(0)).otherwise(F.col("succ"))).select("id", "succ", "u", "v")
     ranked = materialise(list_rank(linked, "id", "succ", seed=seed, level=level, **options), "ranked").withColumn("t", F.lit(n - 1) - F.col("ahead"))
     twin = ranked.select(F.col("v").alias("u"), F.col("u").alias("v"), F.col("t").alias("tt"))
@@ -159,7 +159,9 @@ def tree_functions(edges: DataFrame, root: int, seed: int | None = None, level:
     up = rows.filter("down = 0").select(F.col("u").alias("node"), (F.col("ups") - 1).alias("post"))
     nodes = n // 2 + 1
     top = edges.sparkSession.createDataFrame([(root, None, 0, 0, nodes - 1, nodes)], "node long, parent long, depth long, pre long, post long, size long")
-    return below.join(up, "node").select("node", "parent", "depth", "pre", "post", "size").unionByName(top)
+    whole = send_receive(up, below, ["node"], ["post"], on_duplicate="first", restore=False, seed=seed, level=level, **options)
+    whole = whole.unionByName(top, allowMissingColumns=True)
+    return whole.select("node", "parent", "depth", "pre", "post", "size", (F.col("size") == 1).alias("is_leaf"))
 
 
 #: The modulus of the sum-product ring, a prime below 2 ** 31, so that products fit in 64 bits. A fixed value.
@@ -180,7 +182,9 @@ def contract_tree(nodes: DataFrame, leaves: int, ring: str = "sum_product", seed
     one, zero = (F.lit(1).cast("long"), F.lit(0).cast("long")) if mod else (F.lit(0).cast("long"), low)
     times = (lambda x, y: wrap(x * y)) if mod else (lambda x, y: F.greatest(x + y, low))
     plus = (lambda x, y: wrap(x + y)) if mod else F.greatest
-    secret = lambda c: F.xxhash64(F.lit(seed or 0), c)
+    key = coin_key(seed)
+    a, b = (F.lit(int.from_bytes(key[i : i + 8], "little", signed=True)) for i in (0, 8))
+    secret = lambda c: F.xxhash64(a, F.col(c), b)
     live = materialise(
         nodes.select(secret("id").alias("id"), F.when(F.col("parent").isNotNull(), secret("parent")).alias("parent"), "side", "op", F.col("value").cast("long").alias("value"), F.col("number").cast("long").alias("number"), one.alias("a"), zero.alias("b")),
         "tree",
@@ -282,13 +286,17 @@ def _forest_in_task(vertices: DataFrame, edges: DataFrame, weighted: bool) -> Da
     return both.unionByName(more).coalesce(1).mapInArrow(kernel, "kind int, a long, b long")
 
 
-def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int, **options) -> tuple[DataFrame, DataFrame | None]:
-    """(addr, val), and the edges e that stars took: the star-hooking rounds as memory steps, every read and write a sort: for inputs beyond one task."""
+def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int | str, **options) -> tuple[DataFrame, DataFrame | None]:
+    """(addr, val), and the edges e that stars took: the star-hooking rounds as memory steps, every read and write a sort: for inputs beyond one task.
+
+    ``rounds``: a number, or ``until_stable``, which stops when no edge joins two trees and so shows how many rounds the graph took.
+    """
+    limit = rounds_for(vertices.count()) if rounds == "until_stable" else rounds
     d = materialise(vertices.select(F.col("id").alias("addr"), F.col("id").alias("val")), "parents")
     ask = lambda mem, rows, at, out: pram_read(mem, rows.withColumn("addr", F.col(at)), **options).withColumnRenamed("val", out).drop("found", "addr")
     arcs = edges.select(F.explode(F.array(F.struct("u", "v", "e"), F.struct(F.col("v").alias("u"), F.col("u").alias("v"), "e"))).alias("x")).select("x.*")
     arcs, used = materialise(arcs.withColumn("proc", F.monotonically_increasing_id()), "arcs"), None
-    for _ in range(rounds):
+    for _ in range(limit):
         own = d.select(F.col("addr").alias("proc"), F.col("addr").alias("n"), F.col("val").alias("p"))
         own = materialise(ask(d, own, "p", "g"), "stars")
         deep = own.select("proc", F.when(F.col("p") != F.col("g"), F.col("n")).alias("addr"), F.lit(0).cast("long").alias("val")).unionByName(
@@ -298,6 +306,8 @@ def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int, *
         own = materialise(ask(flag, ask(flag, own, "n", "s1"), "p", "s2"), "stars")
         star = own.select(F.col("n").alias("addr"), F.least("s1", "s2").alias("val"))
         a = materialise(ask(star, ask(d, ask(d, arcs, "u", "du"), "v", "dv"), "u", "st"), "arcs-now")
+        if rounds == "until_stable" and a.filter(F.col("du") != F.col("dv")).isEmpty():
+            break
         tries = a.select("proc", F.when((F.col("st") == 1) & (F.col("du") != F.col("dv")), F.col("du")).alias("addr"), F.col("e").alias("val"))
         none = d.select("addr", F.lit(None).cast("long").alias("val"))
         best = materialise(pram_write(none, tries, "min", **options), "best")
@@ -311,14 +321,14 @@ def _least_neighbour_steps(vertices: DataFrame, edges: DataFrame, rounds: int, *
     return d, used
 
 
-def connected_components(vertices: DataFrame, edges: DataFrame, tail: int = TAIL, rounds: int | None = None, **options) -> DataFrame:
-    """(id, component): the least vertex of each vertex's component. ``vertices``: (id); ``edges``: (u, v).
+def connected_components(vertices: DataFrame, edges: DataFrame, tail: int = TAIL, rounds: int | str | None = None, **options) -> DataFrame:
+    """(id, component): the least vertex of each vertex's component. ``vertices``: (id), each once; ``edges``: (u, v).
 
     Star hooking for a number of rounds that only the number of vertices fixes, each read and write of the parent array a sort
     and a scan. Up to ``tail`` rows in all one task holds the array.
     """
     e = edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v"))
-    v = vertices.select(F.col("id").cast("long").alias("id")).distinct()
+    v = vertices.select(F.col("id").cast("long").alias("id"))
     n, m = v.count(), e.count()
     numbered = e.withColumn("e", F.monotonically_increasing_id())
     if n + m <= tail:
@@ -333,14 +343,14 @@ def connected_components(vertices: DataFrame, edges: DataFrame, tail: int = TAIL
     return got.select(F.col("n").alias("id"), F.col("val").alias("component"))
 
 
-def min_spanning_forest(vertices: DataFrame, edges: DataFrame, tail: int = TAIL, rounds: int | None = None, **options) -> DataFrame:
+def min_spanning_forest(vertices: DataFrame, edges: DataFrame, tail: int = TAIL, rounds: int | str | None = None, **options) -> DataFrame:
     """The rows of ``edges`` (u, v, w, e) in the lightest spanning forest, ties by the edge number e.
 
     Each star takes its lightest edge out by a min-combining write. Up to ``tail`` rows in all one task holds the parent array.
     Beyond that edges are sorted obliviously, so that the place is one key for weight and number, the rounds of
     ``connected_components`` run as memory steps, and the edges that stars took are marked by send-receive.
     """
-    v = vertices.select(F.col("id").cast("long").alias("id")).distinct()
+    v = vertices.select(F.col("id").cast("long").alias("id"))
     e = edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v"), F.col("w").cast("long").alias("w"), F.col("e").cast("long").alias("e"))
     n = v.count()
     if n + e.count() <= tail:

@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.codec import Key
+from ..functions.kernels import coin_key
 from ..plans.shared import materialise
 from .primitives import FUNCTIONS, propagate, segmented_aggregate, send_receive
 from .sorts import oblivious_sort
@@ -34,7 +35,7 @@ def winners(req: DataFrame, rule: str = "priority", seed: int | None = None, **o
     """
     if rule not in RULES:
         raise ValueError(f"a rule is one of {RULES}")
-    rank = F.xxhash64(F.lit(seed if seed is not None else 0), "proc") if rule == "arbitrary" else F.col("proc")
+    rank = F.xxhash64(F.lit(int.from_bytes(coin_key(seed)[:8], "little", signed=True)), "proc") if rule == "arbitrary" else F.col("proc")
     rows = req.select("addr", "val", "proc", rank.alias("_rank"))
     rows = materialise(oblivious_sort(rows, [Key("addr", True, False), Key("_rank"), Key("val")], pos="_p", seed=seed, **options), "writes")
     head = propagate(rows, ["addr"], F.col("_p"), "_first", "_p")

@@ -59,19 +59,45 @@ class SecretExchange(AssertionError):
     """A plan moves rows by something that isn't public."""
 
 
-#: Columns that plans of this package may hash rows by: block, task and partition numbers, permuted ids, and what coins have made public.
-PUBLIC = ("_blk", "_blk0", "_dest", "dest", "_pid", "_p", "_pos", "pos", "x", "s", "_task", "_seg", "_run")
+#: Columns that plans of this package may exchange rows by: numbers of blocks, tasks, partitions, nodes, slots and places, and ids that were drawn at random or permuted.
+PUBLIC = (
+    "_blk", "_blk0", "_dest", "dest", "_pid", "_p", "_pos", "pos", "_task", "_seg", "_run", "_q", "_at", "_a", "_b", "_i", "_j", "_k", "k", "node", "slot", "_n", "_s", "at", "d",
+    "x", "s", "_x", "_o", "y", "p", "_c", "_own_id", "pid", "lid", "_l", "_h", "gp", "parent_id", "node_id", "_row", "_off",
+)
 
 
-def assert_public_plan(df: DataFrame, public: tuple[str, ...] = PUBLIC) -> None:
-    """Refuse a plan with a hash exchange on any column that isn't declared public."""
+def assert_public_plan(df: DataFrame, public: tuple[str, ...] = PUBLIC, secret: tuple[str, ...] = ()) -> None:
+    """Refuse a plan with a hash exchange on any column that isn't declared public, or that the caller names as secret."""
     plan = df._jdf.queryExecution().executedPlan().toString()
     for found in re.findall(r"hashpartitioning\(([^)]*)\)", plan):
         for name in re.findall(r"([A-Za-z_]\w*)#\d+", found):
-            if name not in public:
+            if name not in public or name in secret:
                 raise SecretExchange(f"rows are exchanged by {name}")
 
 
+class guarded:  # noqa: N801  used as a with-statement
+    """Every table that is written meanwhile must come of a public plan; columns of the given tables never count as public, whatever their names."""
+
+    def __init__(self, *tables: DataFrame, public: tuple[str, ...] = PUBLIC):
+        self.secret, self.public, self.seen = tuple(c for t in tables for c in t.columns), public, 0
+
+    def _look(self, df: DataFrame) -> None:
+        self.seen += 1
+        assert_public_plan(df, self.public, self.secret)
+
+    def __enter__(self):
+        from . import shared
+
+        shared._watchers.append(self._look)
+        return self
+
+    def __exit__(self, *_):
+        from . import shared
+
+        shared._watchers.remove(self._look)
+        return False
+
+
 #: Settings under which a plan's shape doesn't follow the data. All can be set on a running session.
 OBLIVIOUS_CONF = {
     "spark.sql.adaptive.enabled": "false", "spark.sql.sort.enableRadixSort": "false", "spark.sql.autoBroadcastJoinThreshold": "-1",

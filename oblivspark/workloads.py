@@ -501,7 +501,13 @@ def _hierarchy(spark, d, depth: str) -> DataFrame:
     edges = edges.unionByName(t(spark, d, "supplier").select((F.col("s_nationkey") + 6).cast("long").alias("a"), (F.col("s_suppkey") + 31 + c).alias("b")))
     if depth == "customer":
         return edges
-    return edges.unionByName(t(spark, d, "orders").select((F.col("o_custkey") + 31).alias("a"), (F.col("o_orderkey") + 31 + c + s).alias("b")))
+    edges = edges.unionByName(t(spark, d, "orders").select((F.col("o_custkey") + 31).alias("a"), (F.col("o_orderkey") + 31 + c + s).alias("b")))
+    if depth == "orders":
+        return edges
+    # lines have no key of their own: their place in the table names them
+    o = t(spark, d, "orders").count()
+    lines = numbered(t(spark, d, "lineitem").select("l_orderkey"), "_i")
+    return edges.unionByName(lines.select((F.col("l_orderkey") + 31 + c + s).alias("a"), (F.col("_i") + 31 + c + s + o).alias("b")))
 
 
 _EDGES = {
@@ -511,6 +517,10 @@ _EDGES["customer"] = _EDGES["nation"] + " UNION ALL SELECT CAST(c_nationkey + 6
 _EDGES["orders"] = _EDGES["customer"] + " UNION ALL SELECT o_custkey + 31, o_orderkey + 31 + (SELECT count(*) FROM customer) + (SELECT count(*) FROM supplier) FROM orders"
 
 
+_UP = "(SELECT count(*) FROM customer) + (SELECT count(*) FROM supplier)"
+_EDGES["lines"] = _EDGES["orders"] + f" UNION ALL SELECT l_orderkey + 31 + {_UP}, row_number() OVER () + 30 + {_UP} + (SELECT count(*) FROM orders) FROM lineitem"
+
+
 def _tour_sql(depth: str) -> str:
     return f"""WITH e AS ({_EDGES[depth]}), b AS (SELECT a AS u, b AS v FROM e UNION ALL SELECT b, a FROM e),
 c AS (SELECT u, v, coalesce(lead(v) OVER w, first_value(v) OVER w) AS n FROM b WINDOW w AS (PARTITION BY u ORDER BY v))
@@ -544,7 +554,7 @@ SELECT node, parent, depth, pre, pre + size - 1 - depth AS post, size FROM p"""
 
 @query(_tree_sql("customer"))
 def tree_functions_hierarchy(spark, d):
-    return graphs.tree_functions(_hierarchy(spark, d, "customer"), 0, **S)
+    return graphs.tree_functions(_hierarchy(spark, d, "customer"), 0, **S).drop("is_leaf")
 
 
 @query(f"SELECT depth, count(*) AS nodes, CAST(sum(size) AS BIGINT) AS sizes, CAST(sum(pre) AS BIGINT) AS pres, CAST(sum(post) AS BIGINT) AS posts FROM ({_tree_sql('orders')}) GROUP BY 1")
@@ -553,6 +563,22 @@ def tree_depth_orders(spark, d):
     return got.groupBy("depth").agg(F.count(F.lit(1)).alias("nodes"), F.sum("size").alias("sizes"), F.sum("pre").alias("pres"), F.sum("post").alias("posts"))
 
 
+@query(
+    f"""WITH e AS ({_EDGES['lines']}), n AS (SELECT b AS node, a AS parent, 1 AS lines FROM e WHERE b >= 31 + {_UP} + (SELECT count(*) FROM orders)),
+o AS (SELECT e.b AS node, e.a AS parent, count(n.node) AS lines FROM e LEFT JOIN n ON n.parent = e.b WHERE e.b >= 31 + {_UP} AND e.b < 31 + {_UP} + (SELECT count(*) FROM orders) GROUP BY 1, 2),
+c AS (SELECT e.b AS node, e.a AS parent, coalesce(sum(1 + o.lines), 0) AS below FROM e LEFT JOIN o ON o.parent = e.b WHERE e.b >= 31 AND e.b < 31 + {_UP} GROUP BY 1, 2),
+k AS (SELECT e.b AS node, e.a AS parent, sum(1 + c.below) AS below FROM e LEFT JOIN c ON c.parent = e.b WHERE e.b BETWEEN 6 AND 30 GROUP BY 1, 2)
+SELECT CAST(depth AS BIGINT) AS depth, count(*) AS nodes, CAST(sum(size) AS BIGINT) AS sizes, CAST(sum(CASE WHEN size = 1 THEN 1 ELSE 0 END) AS BIGINT) AS leaves FROM (
+SELECT 5 AS depth, 1 AS size FROM n UNION ALL SELECT 4, 1 + lines FROM o UNION ALL SELECT 3, 1 + below FROM c UNION ALL SELECT 2, 1 + coalesce(below, 0) FROM k
+UNION ALL SELECT 1, 1 + coalesce(sum(1 + coalesce(k.below, 0)), 0) FROM e LEFT JOIN k ON k.parent = e.b WHERE e.b BETWEEN 1 AND 5 GROUP BY e.b
+UNION ALL SELECT 0, 1 + (SELECT count(*) FROM e)) GROUP BY 1"""
+)
+def tree_depth_lineitem(spark, d):
+    """Regions, nations, customers and suppliers, orders and lines: 76,631 nodes at sf0.01."""
+    got = graphs.tree_functions(_hierarchy(spark, d, "lines"), 0, **S)
+    return got.groupBy("depth").agg(F.count(F.lit(1)).alias("nodes"), F.sum("size").alias("sizes"), F.sum(F.col("is_leaf").cast("long")).alias("leaves"))
+
+
 #: 25 leaves make a heap of 49 nodes: the leaves from left to right are 32 to 49, then 25 to 31.
 _LEAVES = [*range(32, 50), *range(25, 32)]
 
@@ -563,7 +589,7 @@ def _heap(spark, values: DataFrame, product: bool) -> DataFrame:
         [(i, i // 2 if i > 1 else None, (i & 1) if i > 1 else None, "*" if product and i.bit_length() % 2 == 0 else "+") for i in range(1, 25)], "id long, parent long, side int, op string"
     ).select("*", F.lit(None).cast("long").alias("value"), F.lit(None).cast("long").alias("number"))
     at = spark.createDataFrame([(k, i, k + 1) for k, i in enumerate(_LEAVES)], "leaf long, id long, number long")
-    leaves = at.join(values, "leaf").select("id", F.floor(F.col("id") / 2).alias("parent"), (F.col("id") % 2).cast("int").alias("side"), F.lit(None).cast("string").alias("op"), "value", "number")
+    leaves = values.join(F.broadcast(at), "leaf").select("id", F.floor(F.col("id") / 2).alias("parent"), (F.col("id") % 2).cast("int").alias("side"), F.lit(None).cast("string").alias("op"), "value", "number")
     return inner.unionByName(leaves)
 
 
@@ -629,19 +655,37 @@ def _supplies(spark, d):
     return ids, edges
 
 
-@query()
+_CC = """WITH RECURSIVE p AS (SELECT count(*) AS n FROM part), e AS (SELECT DISTINCT l_partkey AS u, l_suppkey + n AS v FROM lineitem, p WHERE l_quantity >= 49),
+x AS (SELECT u, v FROM e UNION ALL SELECT v, u FROM e), ids AS (SELECT p_partkey AS id FROM part UNION ALL SELECT s_suppkey + n FROM supplier, p),
+c(id, component) USING KEY (id) AS (SELECT id, id FROM ids UNION
+SELECT x.v, min(a.component) FROM c a JOIN x ON x.u = a.id JOIN recurring.c b ON b.id = x.v WHERE a.component < b.component GROUP BY x.v)
+SELECT id, component FROM c"""
+
+
+@query(_CC)
 def cc_supplier_part(spark, d):
     ids, edges = _supplies(spark, d)
     return graphs.connected_components(ids, edges)
 
 
-@query()
+@query(_CC)
 def baseline_cc_stars(spark, d):
     ids, edges = _supplies(spark, d)
     got = star_components(edges, "u", "v")
     return ids.join(got, F.col("id") == F.col("node"), "left").select("id", F.coalesce("component", "id").alias("component"))
 
 
+_COPIES = "SELECT n_nationkey::BIGINT AS id, min(n_nationkey::BIGINT) OVER (PARTITION BY n_regionkey) AS component FROM nation"
+
+
+@query(_COPIES)
+def cc_memory_steps(spark, d):
+    """Nations linked to the next of their region: star hooking across tasks, none of it in one, until nothing moves."""
+    n = t(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("id"), "n_regionkey")
+    edges = relational.neighbour(n, ["n_regionkey"], ["id"], F.col("id"), "v", **S).filter("v IS NOT NULL").select(F.col("id").alias("u"), "v")
+    return graphs.connected_components(n.select("id"), edges, tail=0, rounds="until_stable", **S)
+
+
 _TRADE = """SELECT row_number() OVER (ORDER BY u, v) - 1 AS e, u, v, w FROM (
 SELECT least(c_nationkey, s_nationkey)::BIGINT AS u, greatest(c_nationkey, s_nationkey)::BIGINT AS v, min(CAST(round(l_extendedprice * 100) AS BIGINT)) AS w
 FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_nationkey <> s_nationkey GROUP BY 1, 2)"""
@@ -663,6 +707,39 @@ def msf_nation_trade(spark, d):
     return graphs.min_spanning_forest(t(spark, d, "nation").select(F.col("n_nationkey").alias("id")), edges).select("e", "u", "v", "w")
 
 
+@query()
+def msf_embeddings_knn(spark, d):
+    """The lightest forest of the graph that joins each embedding to its five nearest others; squared distances in whole millionths. Its edges: every block of rows against all."""
+    emb = t(spark, d, "embeddings").select("vec_id", "embedding")
+    size = 512
+    n = emb.count()
+    table = materialise(numbered(emb, "_at").withColumn("_block", F.floor(F.col("_at") / size)), "vectors")
+    blocks = max(1, -(-n // size))
+    pairs = table.withColumn("_against", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("vec_id", "embedding", F.lit(0).alias("side"), (F.col("_block") * blocks + F.col("_against")).alias("cell"))
+    others = table.withColumn("_against", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("vec_id", "embedding", F.lit(1).alias("side"), (F.col("_against") * blocks + F.col("_block")).alias("cell"))
+
+    def nearest(cell):
+        import pandas as pd
+
+        mine, all_ = (cell[cell["side"] == i] for i in (0, 1))
+        a, b = (np.stack(x["embedding"].to_numpy()).astype(np.float64) for x in (mine, all_))
+        dist = np.rint(np.maximum((a**2).sum(1)[:, None] + (b**2).sum(1)[None, :] - 2 * a @ b.T, 0) * 1e6).astype(np.int64)
+        ids, to = mine["vec_id"].to_numpy(), all_["vec_id"].to_numpy()
+        dist[ids[:, None] == to[None, :]] = np.iinfo(np.int64).max
+        best = np.lexsort((np.broadcast_to(to, dist.shape), dist))[:, :5]
+        u = np.repeat(ids, best.shape[1])
+        out = pd.DataFrame({"u": u, "v": to[best.ravel()], "w": np.take_along_axis(dist, best, 1).ravel()})
+        return out[out["w"] < np.iinfo(np.int64).max]
+
+    from pyspark.sql import Window
+
+    near = pairs.unionByName(others).groupBy("cell").applyInPandas(nearest, "u long, v long, w long")
+    near = near.withColumn("_r", F.row_number().over(Window.partitionBy("u").orderBy("w", "v"))).filter("_r <= 5")
+    edges = near.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"), "w").groupBy("u", "v").agg(F.min("w").alias("w"))
+    edges = materialise(dense_positions(edges, [F.col("u"), F.col("v")], "e"), "knn")
+    return graphs.min_spanning_forest(emb.select(F.col("vec_id").alias("id")), edges).select("e", "u", "v", "w")
+
+
 # -- relational -----------------------------------------------------------------------------------------------------
 
 
