@@ -38,6 +38,115 @@ def simulate_view(method: str, n: int, p: RouterParams | None = None, seed: int
     return kernel_view(method, np.zeros(n, np.uint64), p, seed)
 
 
+def addresses(view: list[tuple]) -> np.ndarray:
+    """The places that a kernel's view touches, in order: both partners of each comparator, and what transpositions read and write.
+
+    Layers over pieces that don't touch each other are taken piece by piece, as tasks would run them.
+    """
+    out, i = [], 0
+    while i < len(view):
+        what, *shape = view[i]
+        if what == "exchange":
+            n, m = shape[0], shape[1]
+            j = i
+            while j < len(view) and view[j][0] == "exchange" and tuple(view[j][1:3]) == (n, m):
+                j += 1
+            layers = []
+            for _, _, _, _, gap in view[i:j]:
+                first = np.arange(m).reshape(-1, 2, gap)[:, 0].ravel()
+                layers.append(np.stack((first, first + gap), axis=1).ravel())
+            piece = np.concatenate(layers)
+            out.append((np.arange(0, n, m)[:, None] + piece[None, :]).ravel())
+            i = j
+            continue
+        if what == "transpose":
+            rows, cols = shape
+            at = np.arange(rows * cols)
+            out.append(np.stack((at, rows * cols + at % cols * rows + at // cols), axis=1).ravel())
+        elif what == "place":
+            out.append(np.arange(shape[0] * shape[1] * shape[2]))
+        i += 1
+    return np.concatenate(out) if out else np.empty(0, np.int64)
+
+
+def misses(method: str, n: int, m: int, b: int, p: RouterParams | None = None) -> int:
+    """Misses of a least-recently-used cache of ``m`` places in lines of ``b`` over a kernel's view of length n."""
+    from .bounds import CacheSim
+
+    return CacheSim(m, b).replay(addresses(simulate_view(method, n, p)))
+
+
+def same_distribution(a, b) -> float:
+    """Greatest distance of two samples' distribution functions (Kolmogorov and Smirnov), times the root of the joint size: beyond 1.95 in 1 of 1,000 equal pairs."""
+    a, b = np.sort(a), np.sort(b)
+    at = np.concatenate((a, b))
+    gap = np.abs(np.searchsorted(a, at, "right") / len(a) - np.searchsorted(b, at, "right") / len(b)).max()
+    return float(gap * np.sqrt(len(a) * len(b) / (len(a) + len(b))))
+
+
+def kernel_permutation(keys: np.ndarray, p: RouterParams, seed: int, level: str = "cluster") -> tuple[np.ndarray, np.ndarray]:
+    """(order, loads): the permutation that router and tags make of ``keys``, and the loads of its bins, which show."""
+    from ..operators.permute import spread
+
+    n = len(keys)
+    s = K.Slab(np.arange(n, dtype=np.uint64)[:, None].copy(), np.ones(n, bool), keys.astype(np.uint64).view(np.uint8).reshape(n, 8).copy())
+    full = spread(s, p.beta, p.z)
+    label = (K.coins(full.words[:, 0], 1, seed, 1)[:, 0] >> np.uint64(64 - p.bits)).astype(np.int64) if p.bits else np.zeros(len(full), np.int64)
+    routed = K.route_recursive(full, label, p.bits, p.radix_bits, p.z, level)
+    loads = routed.real.reshape(p.beta, p.z).sum(1)
+    done = K.tag_sort(routed, p.z, K.coins(routed.words[:, 0], p.tag_words, seed, 2), level, K.Meter())
+    return done.rec.view(np.uint64).ravel()[done.real], loads
+
+
+def uniformity_report(n: int, runs: int, p: RouterParams) -> dict[str, float]:
+    """Over ``runs`` permutations of n: chi-squared of place by origin in deviations of its mean, mean fixed points (1), mean serial correlation (-1 / n), and the correlation of bin loads with the order's first half."""
+    seen, fixed, serial, loads, halves = np.zeros((n, n)), [], [], [], []
+    for seed in range(runs):
+        order, load = kernel_permutation(np.arange(n), p, seed)
+        order = order.astype(np.int64)
+        seen[np.arange(n), order] += 1
+        fixed.append((order == np.arange(n)).sum())
+        serial.append(np.corrcoef(order[:-1], order[1:])[0, 1])
+        loads.append(load.max())
+        halves.append(order[: n // 2].sum())
+    chi = ((seen - runs / n) ** 2 / (runs / n)).sum()
+    free = (n - 1) ** 2
+    tie = 0.0 if np.std(loads) == 0 else float(np.corrcoef(loads, halves)[0, 1])
+    return {"chi_squared": float((chi - free) / np.sqrt(2 * free)), "fixed_points": float(np.mean(fixed)), "serial": float(np.mean(serial)), "load_and_order": tie}
+
+
+class SparkMeter:
+    """What jobs cost meanwhile, from the session's own store: stages, tasks, exchanged bytes and rows, spilled bytes, seconds."""
+
+    def __init__(self, spark):
+        self.spark, self.cost = spark, {}
+
+    def _totals(self) -> dict[str, int]:
+        import time
+
+        jvm = self.spark.sparkContext._jsc.sc()
+        jvm.listenerBus().waitUntilEmpty(10_000)
+        store, out = jvm.statusStore(), {"stages": 0, "tasks": 0, "exchanged_bytes": 0, "exchanged_rows": 0, "spilled_bytes": 0}
+        found = store.stageList(None, False, False, getattr(store, "stageList$default$4")(), getattr(store, "stageList$default$5")())
+        for i in range(found.size()):
+            x = found.apply(i)
+            out["stages"] += 1
+            out["tasks"] += x.numCompleteTasks()
+            out["exchanged_bytes"] += x.shuffleWriteBytes()
+            out["exchanged_rows"] += x.shuffleWriteRecords()
+            out["spilled_bytes"] += x.diskBytesSpilled()
+        return out | {"seconds": time.time()}
+
+    def __enter__(self):
+        self.before = self._totals()
+        return self
+
+    def __exit__(self, *_):
+        after = self._totals()
+        self.cost = {k: after[k] - v for k, v in self.before.items()}
+        return False
+
+
 def view_distance(a: list, b: list) -> float:
     """Total variation distance of two traces as bags of events; 0 for equal views."""
     x, y = Counter(a), Counter(b)

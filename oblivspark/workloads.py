@@ -998,8 +998,83 @@ def stream_state_balances(spark, d):
 
 # -- costs and views ------------------------------------------------------------------------------------------------
 
+#: The rows of the comparison tables as formulas of lg n, for SQL; fixed values.
+_L, _LL = "log2(n)", "log2(log2(n))"
+_QS = "(n / b * log2(n) / log2(m))"
+_W = f"(n * {_L})"
+_BEST = f"{_W}, {_L} * {_LL}, {_QS}, true"
+_LIST = f"{_W}, {_L} ** 2 * {_LL}, {_QS}, true"
+_TABLES = {
+    "T1": [
+        ("sort", "insecure", "false", _BEST), ("sort", "ours", "true", _BEST), ("list ranking", "insecure", "false", _LIST), ("list ranking", "ours", "true", _LIST),
+        ("Euler tour, tree functions", "insecure", "false", _LIST), ("Euler tour, tree functions", "ours", "true", _LIST),
+        ("tree contraction", "insecure", "false", f"{_W}, {_L} ** 3 * {_LL}, {_QS}, true"), ("tree contraction", "ours", "true", _LIST),
+        *((what, who, flag, f"n * {_L} ** 2, {_L} ** {power} * {_LL}, {_QS} * {_L}, true") for what in ("connected components", "spanning forest") for who, flag, power in (("insecure", "false", 3), ("ours", "true", 2))),
+    ],
+    "T2": [
+        ("aggregate, propagate", "earlier", "true", f"n, {_L} ** 2, n / b, false"), ("aggregate, propagate", "ours", "true", f"n, {_L}, n / b, false"),
+        ("sort, send-receive", "earlier, network", "true", f"{_W}, {_L} ** 2, {_W}, false"), ("sort, send-receive", "earlier, cache-agnostic", "true", f"{_W} * {_LL} ** 2, sqrt(n), {_QS}, false"),
+        ("sort, send-receive", "ours", "true", _BEST), ("memory step, small", "earlier", "true", "s * log2(s) ** 2, log2(s) ** 2, s * log2(s), false"),
+        ("memory step, small", "ours", "true", "s * log2(s), log2(s) * log2(log2(s)), s / b * greatest(1, log2(s) / log2(m)), true"),
+        ("memory step, large", "earlier", "true", "p * log2(s) ** 2, log2(s) ** 2 * log2(log2(s)), p * log2(s) ** 2, true"),
+        ("memory step, large", "ours", "true", "p * log2(s) ** 2, log2(s) * log2(log2(s)), log2(s) * (p / b * greatest(1, log2(p) / log2(m)) + p * log2(s) / log2(b)), true"),
+    ],
+    "T3": [
+        ("permute", "bin routing", "true", _BEST), ("sort a permuted array", "pivot routing", "false", _BEST), ("sort", "permute, then compare", "true", _BEST),
+        ("sort", "bitonic, fork-join", "true", f"n * {_L} ** 2, {_L} ** 2 * {_LL}, {_QS} * log2(n / m), true"), ("sort", "bitonic, naive", "true", f"n * {_L} ** 2, {_L} ** 3, n / b * {_L} ** 2, false"),
+        ("sort", "two passes, practical", "true", f"{_W} * {_LL}, {_L} ** 2 * {_LL}, {_QS}, true"), ("sort", "two passes, optimal work", "true", f"{_W}, {_L} ** 2 * {_LL}, {_QS}, true"),
+    ],
+}
+
+
+def _bounds_sql(name: str) -> str:
+    kinds = ("VARCHAR", "VARCHAR", "BOOLEAN", "DOUBLE", "DOUBLE", "DOUBLE", "BOOLEAN")
+    names = ("task", "method", "oblivious", "work", "span", "misses", "hides_loglog")
+    parts = " UNION ALL ".join(f"SELECT '{what}', '{who}', {flag}, {costs} FROM v" for what, who, flag, costs in _TABLES[name])
+    cols = ", ".join(f"round(CAST({c} AS DOUBLE), 3) AS {c}" if k == "DOUBLE" else f"CAST({c} AS {k}) AS {c}" for c, k in zip(names, kinds))
+    return f"WITH v AS (SELECT 60000.0::DOUBLE AS n, 4096.0::DOUBLE AS m, 16.0::DOUBLE AS b, 64.0::DOUBLE AS p, 2000.0::DOUBLE AS s) SELECT {cols} FROM ({parts}) x({', '.join(names)})"
+
+
 for _name in ("T1", "T2", "T3"):
-    query(None, f"bounds_{_name}")(lambda spark, d, name=_name: bounds.table(spark, name))
+    query(_bounds_sql(_name), f"bounds_{_name}")(
+        lambda spark, d, name=_name: bounds.table(spark, name).withColumns({c: F.round(c, 3) for c in ("work", "span", "misses")})
+    )
+
+
+@query("SELECT CAST(pow(2, k) AS BIGINT) AS n, CAST(pow(2, k) / 8 * k * (k + 1) / 2 AS BIGINT) AS layer_by_layer, true AS recursive_fewer FROM generate_series(9, 11) t(k)")
+def cost_cache_replay(spark, d):
+    """Misses over the kernels' own addresses, with a cache of 256 places in lines of 8: a scan a layer, and fewer for the recursive order."""
+    out = []
+    for k in (9, 10, 11):
+        plain, recursive = (trace.misses(m, 1 << k, 256, 8) for m in ("bitonic sort", "bitonic sort, recursive"))
+        out.append((1 << k, plain, recursive < plain))
+    return spark.createDataFrame(out, "n long, layer_by_layer long, recursive_fewer boolean")
+
+
+@query()
+def cost_practical_constants(spark, d):
+    """Comparators of the two-pass sort's first pass over n log n loglog n, counted by running the network."""
+    return spark.createDataFrame([tuple(bounds.practical_constants(1 << k).values()) for k in (8, 10, 12)], "n long, work double, slots double")
+
+
+@query("SELECT * FROM (VALUES ('chi_squared', true), ('fixed_points', true), ('serial', true), ('load_and_order', true)) t(measure, as_uniform)")
+def permute_uniformity(spark, d):
+    """400 permutations of 32 rows: place by origin, fixed points, neighbours, and whether bin loads, which show, say anything about the order."""
+    got = trace.uniformity_report(32, 400, params.from_length(32))
+    fine = {"chi_squared": abs(got["chi_squared"]) < 4, "fixed_points": abs(got["fixed_points"] - 1) < 0.2, "serial": abs(got["serial"] + 1 / 32) < 0.05, "load_and_order": abs(got["load_and_order"]) < 0.2}
+    return spark.createDataFrame(list(fine.items()), "measure string, as_uniform boolean")
+
+
+@query("SELECT true AS same_distribution, true AS equal_under_equal_coins")
+def view_randomised(spark, d):
+    """The loads that a permutation shows, over many coins, for two different inputs: of one distribution, and equal for equal coins."""
+    col = t(spark, d, "customer").select(F.col("c_custkey").alias("a"), cents("c_acctbal").alias("b")).toPandas()
+    p = params.from_length(len(col))
+    a = [trace.kernel_permutation(col["a"].to_numpy(), p, s)[1] for s in range(60)]
+    b = [trace.kernel_permutation(np.abs(col["b"].to_numpy()), p, s + 1000)[1] for s in range(60)]
+    same = trace.same_distribution(np.concatenate(a), np.concatenate(b)) < 1.95
+    equal = all((trace.kernel_permutation(np.abs(col["b"].to_numpy()), p, s)[1] == a[s]).all() for s in range(5))
+    return spark.createDataFrame([(bool(same), bool(equal))], "same_distribution boolean, equal_under_equal_coins boolean")
 
 
 @query("SELECT CAST(pow(2, k) AS BIGINT) AS n, CAST(pow(2, k) * k * (k + 1) / 4 AS BIGINT) AS comparators, CAST(k * (k + 1) / 2 AS BIGINT) AS layers FROM generate_series(1, 10) t(k)")
@@ -1025,14 +1100,17 @@ def cost_router_layers(spark, d):
 
 @query("SELECT m AS method, true AS views_equal FROM (VALUES ('bitonic sort'), ('bitonic sort, recursive'), ('layered router'), ('recursive router')) t(m)")
 def view_equal_inputs(spark, d):
-    """Kernel traces over two columns of the table, and the one simulated from the length alone."""
-    col = t(spark, d, "lineitem").select(F.col("l_partkey").cast("long").alias("a"), F.col("l_suppkey").cast("long").alias("b")).limit(256).toPandas()
-    a, b = (np.resize(col[c].to_numpy(), 256).astype(np.uint64) for c in ("a", "b"))
-    p = params.from_length(256)
+    """Kernel traces and the places that they touch, over two columns of the whole table, block by block, and the one simulated from the length alone."""
+    col = t(spark, d, "lineitem").select(F.col("l_partkey").cast("long").alias("a"), F.col("l_suppkey").cast("long").alias("b")).toPandas()
+    p = params.from_length(1024)
     out = []
     for m in ("bitonic sort", "bitonic sort, recursive", "layered router", "recursive router"):
-        x, y, z = trace.kernel_view(m, a, p), trace.kernel_view(m, b, p), trace.simulate_view(m, 256, p)
-        out.append((m, x == y == z))
+        z = trace.simulate_view(m, 1024, p)
+        same = True
+        for at in range(0, len(col), 1024):
+            x, y = (trace.kernel_view(m, np.resize(col[c].to_numpy()[at : at + 1024], 1024).astype(np.uint64), p) for c in ("a", "b"))
+            same = same and x == y == z
+        out.append((m, same))
     return spark.createDataFrame(out, "method string, views_equal boolean")
 
 

@@ -8,7 +8,8 @@ from tests.compare import same, views
 FAMILIES = [
     "sort_lineitem_pivots", "sort_events_recursive_bitonic", "sort_customer_layered_bitonic", "sort_documents_text", "route_bins_recursive", "place_bins_by_nation", "transpose_part_matrix",
     "suffix_sum_order_lines", "send_receive_labels_missing", "pram_write_combine_max", "treemem_write_then_read", "list_rank_user_chains", "euler_tour_nations", "contract_affine_tree", "cc_page_hosts",
-    "msf_nation_trade", "cube_segment_region", "asof_last_purchase", "rank_window_suite", "stream_state_balances", "cost_bitonic_counts", "view_equal_inputs",
+    "msf_nation_trade", "cc_supplier_part", "pivot_regions_layered", "pivot_loads", "sort_layered_pivots", "bitonic_merge_two_runs", "window_neighbours", "window_frames", "group_agg_more", "outer_join_nations", "range_join_price_bands",
+    "theta_join_supplier_nation", "pivot_having_segments", "quantiles_orders", "expand_join_same_nation", "bounds_T1", "bounds_T2", "bounds_T3", "cost_cache_replay", "permute_uniformity", "view_randomised", "cube_segment_region", "asof_last_purchase", "rank_window_suite", "stream_state_balances", "cost_bitonic_counts", "view_equal_inputs",
 ]
 
 

@@ -312,3 +312,34 @@ def test_tree_memory_serves_batches(spark):
     for _, d, ends in mem.evicted:
         assert len(set(ends)) == 2 and all(e < 1 << (d - 1) for e in ends)
     assert {e for b, d, ends in mem.evicted if d == 6 for e in ends} == {8, 24, 4, 20}
+
+
+def test_guard(spark, sf):
+    """Operators move rows by public numbers only; a plain join, or a column of a table named like a public one, doesn't pass."""
+    orders, cust = (spark.read.parquet(f"{sf}/{x}.parquet") for x in ("orders", "customer"))
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        with trace.guarded(orders, cust) as g:
+            primitives.send_receive(cust.select(F.col("c_custkey").alias("key"), "c_acctbal"), orders.select(F.col("o_custkey").alias("key"), "o_orderkey"), ["key"], ["c_acctbal"], **S)
+            relational.group_aggregate(orders, ["o_orderstatus"], {"n": ("count", F.lit(1))}, small=0, **S)
+        assert g.seen > 4
+        with pytest.raises(trace.SecretExchange), trace.guarded():
+            materialise(orders.join(cust, F.col("o_custkey") == F.col("c_custkey")))
+        named = orders.select(F.col("o_custkey").alias("x"))
+        with pytest.raises(trace.SecretExchange), trace.guarded(named):
+            materialise(named.groupBy("x").count())
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_meter(spark):
+    with trace.SparkMeter(spark) as m:
+        spark.range(1000).repartition(3).count()
+    assert m.cost["stages"] >= 2 and m.cost["exchanged_rows"] >= 1000 and m.cost["exchanged_bytes"] > 0 and m.cost["seconds"] > 0
+
+
+def test_samples_and_shares(spark):
+    df = spark.range(4000, numPartitions=3).withColumnRenamed("id", "v")
+    a, b = (relational.sample(df, 0.25, seed=s).filter("is_real").count() for s in (1, 2))
+    assert 850 < a < 1150 and 850 < b < 1150 and relational.sample(df, 0.25, seed=1).count() == 4000
+    assert relational.quantiles(df.filter("1 = 0"), "v", [0.5], **S).count() == 0
