@@ -24,6 +24,14 @@ def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     )
 
 
+def unused(docs: DataFrame, name: str) -> str:
+    """``name``, with as many underscores before it as make it no column of ``docs``."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def map_batches(df: DataFrame, kernel: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: StructType | str) -> DataFrame:
     """``mapInArrow``; batches are bounded by ``spark.sql.execution.arrow.maxBytesPerBatch``."""
     ship_package(df.sparkSession)

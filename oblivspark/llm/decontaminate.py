@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.shared import materialise
-from .base import column, id_and_text, map_batches, texts_of
+from .base import column, id_and_text, map_batches, texts_of, unused
 
 #: Fixed value: bytes that words are made of (after lower-casing); all others part words.
 _WORD_BYTES = b"0123456789abcdefghijklmnopqrstuvwxyz" + bytes(range(128, 256))
@@ -152,7 +152,7 @@ def decontaminate(
     docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text",
     item_col: str = "item_id", item_text_col: str = "text", carry: bool = False, round_windows: int = ROUND_WINDOWS,
 ) -> DataFrame:
-    """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated, spans (with ``carry``: all input columns instead of doc_id, and contaminated as _contaminated).
+    """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated, spans (with ``carry``: all input columns instead of doc_id, and last contaminated under a name that is free).
 
     A window is ``width`` consecutive words of a benchmark item, or the whole of a shorter item. The different windows are
     found in tasks and written down; about ``round_windows`` of them at a time go into one automaton over words, which reads each document's words
@@ -199,4 +199,4 @@ def decontaminate(
 
     facts = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<struct<start:long,end:long>>"
     out = map_batches(base, kernel, f"{own} {base.schema[own].dataType.simpleString()}, {facts}")
-    return out.select(*[F.col("_row")[c].alias(c) for c in docs.columns], F.col("contaminated").alias("_contaminated")) if carry else out
+    return out.select(*[F.col("_row")[c].alias(c) for c in docs.columns], F.col("contaminated").alias(unused(docs, "_contaminated"))) if carry else out

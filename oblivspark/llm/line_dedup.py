@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.shared import materialise
-from .base import column, id_and_text, map_batches, texts_of
+from .base import column, id_and_text, map_batches, texts_of, unused
 
 #: Fixed value: the bytes that are stripped at both ends of a line.
 BLANK = b" \t\n\x0b\x0c\r"
@@ -121,7 +121,7 @@ def line_dedup(
     docs: DataFrame, least: int = 10, id_col: str = "doc_id", text_col: str = "text", carry: bool = False,
     shard_keys: int = SHARD_KEYS, round_shards: int = ROUND_SHARDS,
 ) -> DataFrame:
-    """One row per document: doc_id, n_lines, n_dropped, kept_sha256 (with ``carry``: all input columns instead of doc_id, the kept text among them).
+    """One row per document: doc_id, n_lines, n_dropped, kept_sha256 (with ``carry``: all input columns instead of doc_id, the kept text among them, and last the number of dropped lines under a name that is free).
 
     A line's key is the line without blanks at its ends, A to Z lower-cased. A key of one code point or
     more found in ``least`` or more documents loses all its lines everywhere; the other lines stay
@@ -175,7 +175,7 @@ def line_dedup(
     if not carry:
         return map_batches(base, kernel, f"doc_id {base.schema['doc_id'].dataType.simpleString()}, {facts}")
     out = map_batches(base, kernel, f"_row {base.schema['_row'].dataType.simpleString()}, _text string, {facts}")
-    return out.select(*[(F.col("_text") if c == text_col else F.col("_row")[c]).alias(c) for c in docs.columns], F.col("n_dropped").alias("_n_dropped"))
+    return out.select(*[(F.col("_text") if c == text_col else F.col("_row")[c]).alias(c) for c in docs.columns], F.col("n_dropped").alias(unused(docs, "_n_dropped")))
 
 
 def _with_earlier_hits(base: DataFrame, probes: list) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..plans.components import connected_components
 from ..plans.shared import materialise, skew_safe_lookup
-from .base import column, id_and_text, map_batches, texts_of
+from .base import column, id_and_text, map_batches, texts_of, unused
 
 #: Fixed value: the seed of the shingles' XXH64.
 SEED = 42
@@ -203,5 +203,5 @@ def near_dedup(docs: DataFrame, width: int = 3, reach: int = 2, id_col: str = "d
         out = skew_safe_lookup(each, named, "fp", "n", facts[1], ["component_id"])
         return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
     out = skew_safe_lookup(each, named, "fp", "n", facts[1], ["component_id"])
-    stay = out.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_stay")).distinct()
-    return docs.join(stay, F.col(f"`{id_col}`").eqNullSafe(F.col("_stay")), "left_semi")
+    stay = out.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias(name := unused(docs, "_stay"))).distinct()
+    return docs.join(stay, F.col(f"`{id_col}`").eqNullSafe(F.col(name)), "left_semi")

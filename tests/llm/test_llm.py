@@ -316,6 +316,34 @@ def test_quality(spark, edge, empty):
     assert quality(empty, odd).collect() == []
 
 
+def test_quality_by_definition(spark, sf):
+    """Moments, covariances, densities and scores once more, from the statistics of single texts, with no Cholesky factor."""
+    from oblivspark.llm import quality as Q
+
+    docs, labels = documents(spark, sf), spark.read.parquet(f"{sf}/labels.parquet")
+    got = {r["doc_id"]: r for r in quality(docs, labels).collect()}
+    x = {i: np.array(Q.statistics(t)) for i, t in texts(docs)}
+    y = {r["doc_id"]: r["quality"] for r in labels.collect()}
+    held = lambda i: zlib.crc32(str(i).encode()) % 3 == 1
+    train = [i for i in x if i in y and not held(i)]
+    own = np.array([x[i] for i in train])
+    centre, scale = own.mean(0), own.std(0)
+    scale = np.where(scale > 1e-9, scale, 1)
+    z = {i: (v - centre) / scale for i, v in x.items()}
+    parts = {c: np.array([z[i] for i in train if y[i] == c]) for c in (0, 1)}
+    cov = {c: np.cov(p.T, bias=True) for c, p in parts.items()}
+    both = sum(len(parts[c]) * cov[c] for c in (0, 1)) / len(train)
+    for i, v in z.items():
+        v, log = np.clip(v, -Q.CLIP, Q.CLIP), {}
+        for c in (0, 1):
+            m = (1 - Q.SHRINK_POOLED) * cov[c] + Q.SHRINK_POOLED * both
+            m = (1 - Q.SHRINK_DIAGONAL) * m + Q.SHRINK_DIAGONAL * np.diag(np.diag(m)) + 1e-3 * np.eye(len(m))
+            d = v - parts[c].mean(0)
+            log[c] = np.log(len(parts[c]) / len(train)) - 0.5 * np.linalg.slogdet(m)[1] - 0.5 * d @ np.linalg.solve(m, d)
+        want = 1 / (1 + np.exp(-(log[1] - log[0]) / Q.TEMPER))
+        assert got[i]["score"] == pytest.approx(want, abs=1e-6) and got[i]["held_out"] == held(i)
+
+
 # -- passages
 
 
