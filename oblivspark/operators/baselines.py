@@ -49,3 +49,30 @@ def rollup_tree(nodes: DataFrame, value: str, depth: int) -> DataFrame:
 
 def plain_join(facts: DataFrame, dim: DataFrame, key: str, dim_key: str, how: str = "inner") -> DataFrame:
     return facts.join(dim, F.col(key) == F.col(dim_key), how)
+
+
+def spanning_forest(edges: DataFrame) -> DataFrame:
+    """The lightest forest of (u, v, w, e) as a user would write it: the edges in order of weight through union-find, in one task."""
+
+    def kruskal(t):
+        parent: dict[int, int] = {}
+
+        def top(x):
+            while parent.setdefault(x, x) != x:
+                parent[x] = parent[parent[x]]
+                x = parent[x]
+            return x
+
+        keep = []
+        for i, (u, v) in enumerate(zip(t.sort_values(["w", "e"])["u"], t.sort_values(["w", "e"])["v"])):
+            a, b = top(u), top(v)
+            if a != b:
+                parent[a] = b
+                keep.append(i)
+        return t.sort_values(["w", "e"]).iloc[keep]
+
+    return edges.select("e", "u", "v", "w").groupBy(F.lit(0).alias("all")).applyInPandas(kruskal, edges.select("e", "u", "v", "w").schema)
+
+
+def plain_group(df: DataFrame, keys: list[str], aggs: dict) -> DataFrame:
+    return df.groupBy(*keys).agg(*(c.alias(k) for k, c in aggs.items()))

@@ -66,11 +66,18 @@ class Step:
     value: Callable[[int], Column] | None = None
     keep: dict[str, Callable[[int], Column]] = field(default_factory=dict)
     rule: str = "priority"
+    #: Processors and cells, from 0 on, that are left from this step on: public numbers that fall from phase to phase.
+    procs: int | None = None
+    cells: int | None = None
 
 
 def run_pram(steps: list[Step], mem: DataFrame, procs: DataFrame, **options) -> tuple[DataFrame, DataFrame]:
-    """(memory, processors) after a fixed list of steps; each step's plan depends on the numbers of cells and processors alone."""
+    """(memory, processors) after a fixed list of steps; each step's plan depends on the numbers of cells and processors alone, which steps may let shrink."""
     for t, step in enumerate(steps):
+        if step.procs is not None:
+            procs = procs.filter(F.col("proc") < step.procs)
+        if step.cells is not None:
+            mem = mem.filter(F.col("addr") < step.cells)
         if step.read is not None:
             asked = procs.withColumn("addr", step.read(t))
             procs = pram_read(mem, asked, **options).drop("found")
@@ -103,18 +110,28 @@ def prefix_sum_program(cells: int) -> list[Step]:
 
 
 def max_program(cells: int) -> list[Step]:
-    """A tournament: cell 0 becomes the largest; half as many processors matter each step."""
+    """A tournament: cell 0 becomes the largest; each step folds the upper half of the cells onto the lower, and only that many processors and cells go on."""
     steps = [Step(read=lambda t: F.col("proc"), keep={"own": lambda t: F.col("val")})]
-    gap = 1
-    while gap < cells:
-        g = gap
+    left = cells
+    while left > 1:
+        half = -(-left // 2)
         steps.append(
             Step(
-                read=lambda t, g=g: F.col("proc") + g, keep={"own": lambda t: F.greatest("own", "val")},
-                write=lambda t: F.col("proc"), value=lambda t: F.col("own"),
+                read=lambda t, h=half, m=left: F.when(F.col("proc") + h < m, F.col("proc") + h), keep={"own": lambda t: F.greatest("own", "val")},
+                write=lambda t: F.col("proc"), value=lambda t: F.col("own"), procs=half, cells=left,
             )
         )
-        gap *= 2
+        left = half
+    return steps
+
+
+def pointer_jump_program(cells: int) -> list[Step]:
+    """Cell i holds a pointer, an end points to itself: after log2 of the number of cells rounds every cell points to its end."""
+    steps = [Step(read=lambda t: F.col("proc"), keep={"own": lambda t: F.col("val")})]
+    reach = 1
+    while reach < cells:
+        steps.append(Step(read=lambda t: F.col("own"), keep={"own": lambda t: F.coalesce("val", "own")}, write=lambda t: F.col("proc"), value=lambda t: F.col("own")))
+        reach *= 2
     return steps
 
 

@@ -129,14 +129,14 @@ def renumber(df: DataFrame, keep: Column, out: str = "index", pos: str = "pos")
 
 
 def send_receive(
-    senders: DataFrame, receivers: DataFrame, key: list[str], values: list[str], found: str = "found", on_duplicate: str = "error", restore: bool = True,
+    senders: DataFrame, receivers: DataFrame, key: list[str], values: list[str], found: str = "found", on_duplicate: str = "error", restore: bool = True, sorter=None,
     seed: int | None = None, level: str = "memory", widths: dict | None = None, **options,
 ) -> DataFrame:
     """Receivers with the values of the sender of their key; nulls and ``found`` = false where there is none.
 
     Both sides in one array, sorted obliviously by key with senders first, values propagated over each key, and sorted back
     to receivers first, of which there is a public number. A null key matches nothing. ``restore=False`` leaves out the way back,
-    for callers that sort again anyway. Receivers carry all their columns; values named like one of them aren't allowed.
+    for callers that sort again anyway. ``sorter``: another sort than the default, called with the rows, keys and ``pos``; the earlier methods' are networks. Receivers carry all their columns; values named like one of them aren't allowed.
     """
     clash = set(values) & set(receivers.columns)
     if clash:
@@ -146,7 +146,9 @@ def send_receive(
     none = lambda c: F.lit(None).cast(kinds[c]).alias(c)
     a = senders.select(*key, *values, *(none(c) for c in extra), F.lit(0).alias("_role"))
     b = receivers.select(*key, *(none(c) for c in values), *extra, F.lit(1).alias("_role"))
-    both = oblivious_sort(a.unionByName(b), [*as_keys(key), Key("_role")], pos="_pos", seed=seed, level=level, widths=widths, **options)
+    if sorter is None:
+        sorter = lambda df, keys, pos: oblivious_sort(df, keys, pos=pos, seed=seed, level=level, widths=widths, **options)
+    both = sorter(a.unionByName(b), [*as_keys(key), Key("_role")], pos="_pos")
     both = materialise(both, "send-receive")
     head = propagate(both, key, F.struct("_role", "_pos", *values), "_head", "_pos")
     if on_duplicate == "error":
@@ -161,7 +163,7 @@ def send_receive(
     out = head.select("_role", *key, *extra, *(F.when(hit, F.col("_head")[c]).alias(c) for c in values), hit.alias(found))
     if restore:
         marked = out.withColumn("_order", F.xxhash64(*key, *extra))
-        out = oblivious_sort(marked, [Key("_role", False)], pos="_pos", seed=seed, level=level, widths=widths, **options).drop("_order")
+        out = sorter(marked, [Key("_role", False)], pos="_pos").drop("_order")
         return out.filter(F.col("_pos") < receivers.count()).drop("_role", "_pos")
     return out.filter("_role = 1").drop("_role")
 

@@ -46,3 +46,17 @@ def chunks(df: DataFrame, text: str, width: int, most: int) -> DataFrame:
     return df.select(*rest, F.explode(F.sequence(F.lit(0), F.lit(most - 1))).alias("chunk_no"), F.col(text).alias("_t")).select(
         *rest, "chunk_no", F.rpad(F.substring(F.col("_t"), F.col("chunk_no") * width + 1, F.lit(width)), width, " ").alias("chunk")
     )
+
+
+def catalog(spark, folder: str, names: list[str]) -> None:
+    """The tables of a folder as temporary views, for SQL."""
+    for name in names:
+        read(spark, f"{folder}/{name}.parquet").createOrReplaceTempView(name)
+
+
+def register_functions(spark) -> None:
+    """The routers' public numbers as SQL functions of a length: slots of a bin, and bins."""
+    from ..plans.params import from_length
+
+    spark.udf.register("router_slots", lambda n: None if n is None else from_length(n).z, "long")
+    spark.udf.register("router_bins", lambda n: None if n is None else from_length(n).beta, "long")

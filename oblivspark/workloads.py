@@ -300,6 +300,20 @@ def send_receive_order_customer(spark, d):
     return primitives.send_receive(senders, t(spark, d, "orders").select(F.col("o_custkey").alias("k"), "o_orderkey"), ["k"], ["c_acctbal", "c_mktsegment"], **S).select("o_orderkey", "c_acctbal", "c_mktsegment")
 
 
+@query("SELECT o_orderkey, c_acctbal FROM orders LEFT JOIN customer ON o_custkey = c_custkey")
+def baseline_send_receive_network(spark, d):
+    """The earlier method: the same send-receive on the bitonic network."""
+    senders = t(spark, d, "customer").select(F.col("c_custkey").alias("k"), "c_acctbal")
+    asked = t(spark, d, "orders").select(F.col("o_custkey").alias("k"), "o_orderkey")
+    return primitives.send_receive(senders, asked, ["k"], ["c_acctbal"], sorter=sorts.bitonic_sort, restore=False).select("o_orderkey", "c_acctbal")
+
+
+@query("SELECT o_orderkey, c_acctbal, c_mktsegment FROM orders LEFT JOIN customer ON o_custkey = c_custkey")
+def baseline_join(spark, d):
+    cust = t(spark, d, "customer").select("c_custkey", "c_acctbal", "c_mktsegment")
+    return baselines.plain_join(t(spark, d, "orders").select("o_orderkey", "o_custkey"), cust, "o_custkey", "c_custkey", "left").select("o_orderkey", "c_acctbal", "c_mktsegment")
+
+
 @query("SELECT d.doc_id, quality, toxic, l.doc_id IS NOT NULL AS found FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id")
 def send_receive_labels_missing(spark, d):
     return primitives.send_receive(t(spark, d, "labels"), t(spark, d, "documents").select("doc_id"), ["doc_id"], ["quality", "toxic"], **S)
@@ -390,13 +404,26 @@ def pram_program_max(spark, d):
     return mem.filter("addr = 0").select(F.col("addr").alias("cell"), F.col("val").alias("value"))
 
 
+_USERS = "SELECT CAST(c.c AS BIGINT) AS cell, count(user_id) AS value FROM generate_series(0, greatest(149, (SELECT max(user_id) FROM events))) c(c) LEFT JOIN events ON user_id = c.c GROUP BY 1"
+
+
 def _user_cells(spark, d) -> DataFrame:
     """A cell of 0 for each user from 0 to the greatest id, 150 at least as the SQL lists them."""
     most = t(spark, d, "events").agg(F.max("user_id")).first()[0]
     return spark.range(max(150, 1 + (-1 if most is None else most))).select(F.col("id").alias("addr"), F.lit(0).cast("long").alias("val"))
 
 
-@query("SELECT CAST(c.c AS BIGINT) AS cell, count(user_id) AS value FROM generate_series(0, 149) c(c) LEFT JOIN events ON user_id = c.c GROUP BY 1")
+@query("SELECT n_nationkey::BIGINT AS cell, max(n_nationkey::BIGINT) OVER (PARTITION BY n_regionkey) AS value FROM nation")
+def pram_program_pointer_jump(spark, d):
+    """Every nation points to the next of its region; after the jumps, to the last."""
+    n = t(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("id"), "n_regionkey")
+    chain = relational.neighbour(n, ["n_regionkey"], ["id"], F.col("id"), "next", -1, **S)
+    mem = materialise(chain.select(F.col("id").alias("addr"), F.coalesce("next", "id").alias("val")), "chain")
+    mem, _ = pram.run_pram(pram.pointer_jump_program(25), mem, n.select(F.col("id").alias("proc")), **S)
+    return mem.select(F.col("addr").alias("cell"), F.col("val").alias("value"))
+
+
+@query(_USERS)
 def pram_program_histogram(spark, d):
     procs = t(spark, d, "events").select(F.col("event_id").alias("proc"), F.col("user_id").alias("key"))
     mem, _ = pram.run_pram(pram.histogram_program(), _user_cells(spark, d), procs, **S)
@@ -428,7 +455,7 @@ def treemem_write_then_read(spark, d):
     return mem.access(_requests(cells.select(F.col("addr").alias("proc"), "addr", "val"), "r")).select(F.col("i").alias("c_custkey"), "val")
 
 
-@query("SELECT CAST(c.c AS BIGINT) AS cell, count(user_id) AS value FROM generate_series(0, 149) c(c) LEFT JOIN events ON user_id = c.c GROUP BY 1")
+@query(_USERS)
 def simulate_histogram_in_tree(spark, d):
     """The histogram's one combining write in tree memory; the chooser, which counts work, would sort all cells instead."""
     procs = t(spark, d, "events").select(F.col("event_id").alias("proc"), F.col("user_id").alias("key"))
@@ -557,6 +584,13 @@ def tree_functions_hierarchy(spark, d):
     return graphs.tree_functions(_hierarchy(spark, d, "customer"), 0, **S).drop("is_leaf")
 
 
+@query(f"SELECT node AS id, size AS total FROM ({_tree_sql('customer')})")
+def baseline_rollup_hierarchy(spark, d):
+    nodes = _hierarchy(spark, d, "customer").select(F.col("b").alias("id"), F.col("a").alias("parent"), F.lit(1).cast("long").alias("one"))
+    top = spark.createDataFrame([(0, None, 1)], "id long, parent long, one long")
+    return baselines.rollup_tree(nodes.unionByName(top), "one", 4)
+
+
 @query(f"SELECT depth, count(*) AS nodes, CAST(sum(size) AS BIGINT) AS sizes, CAST(sum(pre) AS BIGINT) AS pres, CAST(sum(post) AS BIGINT) AS posts FROM ({_tree_sql('orders')}) GROUP BY 1")
 def tree_depth_orders(spark, d):
     got = graphs.tree_functions(_hierarchy(spark, d, "orders"), 0, **S)
@@ -700,11 +734,20 @@ WHERE o.k IS NULL OR greatest(a.k, b.k) < o.k GROUP BY a.u, b.v)
 SELECT r.e, r.u, r.v, r.w FROM r JOIN c ON c.u = r.u AND c.v = r.v AND c.k = r.k"""
 )
 def msf_nation_trade(spark, d):
+    return graphs.min_spanning_forest(t(spark, d, "nation").select(F.col("n_nationkey").alias("id")), _trade(spark, d)).select("e", "u", "v", "w")
+
+
+@query(_ORACLES["msf_nation_trade"])
+def baseline_msf_kruskal(spark, d):
+    return baselines.spanning_forest(_trade(spark, d))
+
+
+def _trade(spark, d) -> DataFrame:
+    """The least line price between each two nations, prepared in the open."""
     line = t(spark, d, "lineitem").select("l_orderkey", "l_suppkey", "l_extendedprice").join(t(spark, d, "orders").select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
     line = line.join(t(spark, d, "customer").select("c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey")).join(t(spark, d, "supplier").select("s_suppkey", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey"))
     line = line.filter("c_nationkey <> s_nationkey").groupBy(F.least("c_nationkey", "s_nationkey").cast("long").alias("u"), F.greatest("c_nationkey", "s_nationkey").cast("long").alias("v"))
-    edges = materialise(dense_positions(line.agg(F.min(cents("l_extendedprice")).alias("w")), [F.col("u"), F.col("v")], "e"), "trade")
-    return graphs.min_spanning_forest(t(spark, d, "nation").select(F.col("n_nationkey").alias("id")), edges).select("e", "u", "v", "w")
+    return materialise(dense_positions(line.agg(F.min(cents("l_extendedprice")).alias("w")), [F.col("u"), F.col("v")], "e"), "trade")
 
 
 @query()
@@ -753,6 +796,12 @@ def group_agg_pricing(spark, d):
     return relational.release(relational.group_aggregate(df, ["l_returnflag", "l_linestatus"], aggs, widths=NARROW, **S))
 
 
+@query(_ORACLES["group_agg_pricing"])
+def baseline_group_agg(spark, d):
+    aggs = {"sum_qty": F.sum("l_quantity"), "sum_cents": F.sum(cents("l_extendedprice")), "n": F.count(F.lit(1)), "most_discount": F.max("l_discount")}
+    return baselines.plain_group(t(spark, d, "lineitem"), ["l_returnflag", "l_linestatus"], aggs)
+
+
 _CUST = "SELECT c_mktsegment AS seg, n_regionkey AS reg, CAST(round(c_acctbal * 100) AS BIGINT) AS c FROM customer JOIN nation ON c_nationkey = n_nationkey"
 
 
@@ -985,7 +1034,7 @@ def stream_tumbling_counts(spark, d):
     return counts.table
 
 
-@query('SELECT u.u AS user_id, CAST(coalesce(sum(CAST(round("value" * 100) AS BIGINT)), 0) AS BIGINT) AS val FROM generate_series(0, 149) u(u) LEFT JOIN events ON user_id = u.u GROUP BY 1')
+@query('SELECT u.u AS user_id, CAST(coalesce(sum(CAST(round("value" * 100) AS BIGINT)), 0) AS BIGINT) AS val FROM generate_series(0, greatest(149, (SELECT max(user_id) FROM events))) u(u) LEFT JOIN events ON user_id = u.u GROUP BY 1')
 def stream_state_balances(spark, d):
     state = streaming.BalanceState(_user_cells(spark, d), "user_id", "cents", **S)
 

@@ -343,3 +343,15 @@ def test_samples_and_shares(spark):
     a, b = (relational.sample(df, 0.25, seed=s).filter("is_real").count() for s in (1, 2))
     assert 850 < a < 1150 and 850 < b < 1150 and relational.sample(df, 0.25, seed=1).count() == 4000
     assert relational.quantiles(df.filter("1 = 0"), "v", [0.5], **S).count() == 0
+
+
+def test_catalog_and_functions(spark, sf):
+    from oblivspark import sources
+    from oblivspark.plans import bounds, params
+
+    sources.catalog(spark, sf, ["orders", "nation"])
+    sources.register_functions(spark)
+    n, z, b = spark.sql("SELECT count(*), router_slots(count(*)), router_bins(count(*)) FROM orders").first()
+    assert (z, b) == (params.from_length(n).z, params.from_length(n).beta)
+    with pytest.raises(ValueError):
+        bounds.q_sort(1000, 8, 16)
