@@ -26,9 +26,9 @@ BITS, EDGE = 9, 256
 #: Length of the longest context in bytes.
 ORDER = 5
 #: Symbols coded at a time, and distinct grams that a block gathers before it merges them.
-CHUNK, HELD = 1 << 19, 1 << 21
+CHUNK, HELD = 1 << 19, 1 << 20
 #: Bytes of text in a block, and bytes from which a text is a block of its own.
-BLOCK_BYTES = 64 << 20
+BLOCK_BYTES = 16 << 20
 #: Least number of slices of the grams (and of the words), and bytes of text per slice where there is more of it.
 SLICES, SLICE_BYTES = 64, 1 << 28
 #: Distinct grams that a shard of the trie aims at, the most shards, and grams that splitters are picked from.
