@@ -48,13 +48,36 @@ class TumblingCounts:
         newest = batch.agg(F.max(self.at)).first()[0]
         if newest is not None:
             self.latest = newest if self.latest is None else max(self.latest, newest)
-        rows = rows.select(F.date_trunc(self.width, F.col(self.at)).cast("timestamp_ntz").alias("window_start"), self.key, "is_real")
+        rows = self._windows(rows)
         rows = rows.withColumn("n", F.lit(1).cast("long"))
         if self.table is not None:
             rows = rows.unionByName(self.table.withColumn("is_real", F.lit(True)))
         self.table = materialise(release(group_aggregate(rows, ["window_start", self.key], {"n": ("sum", F.col("n"))}, **self.options)), "windows")
 
 
+    def _windows(self, rows: DataFrame) -> DataFrame:
+        """(window_start, key, is_real): a row for each window that a row counts in."""
+        return rows.select(F.date_trunc(self.width, F.col(self.at)).cast("timestamp_ntz").alias("window_start"), self.key, "is_real")
+
+
+class SlidingCounts(TumblingCounts):
+    """Counts per overlapping window and key: windows of ``width`` seconds begin every ``slide`` seconds, so every row counts in the same public number of them."""
+
+    def __init__(self, at: str, key: str, width: int, slide: int, delay_seconds: int | None = None, **options):
+        if width % slide:
+            raise ValueError("a window is a whole number of slides long")
+        super().__init__(at, key, "", delay_seconds, **options)
+        self.seconds, self.slide = width, slide
+
+    def _windows(self, rows: DataFrame) -> DataFrame:
+        epoch = "TIMESTAMP_NTZ'1970-01-01 00:00:00'"  # by the wall clock, whatever the session's zone
+        second = F.expr(f"timestampdiff(SECOND, {epoch}, `{self.at}`)")
+        first = F.floor(second / self.slide) * self.slide
+        starts = F.array(*[first - i * self.slide for i in range(self.seconds // self.slide)])
+        wide = rows.select(F.explode(starts).alias("_start"), self.key, "is_real")
+        return wide.select(F.expr(f"{epoch} + make_dt_interval(0, 0, 0, _start)").alias("window_start"), self.key, "is_real")
+
+
 class BalanceState:
     """A table (addr, val) of fixed size; each batch adds its values by combining writes."""
 

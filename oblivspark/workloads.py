@@ -1034,6 +1034,17 @@ def stream_tumbling_counts(spark, d):
     return counts.table
 
 
+@query(
+    """SELECT to_timestamp(floor(epoch(ts) / 21600) * 21600 - i * 21600)::TIMESTAMPTZ AT TIME ZONE 'UTC' AS window_start, event_type, count(*) AS n
+FROM events, generate_series(0, 3) s(i) GROUP BY 1, 2"""
+)
+def stream_sliding_counts(spark, d):
+    """Windows of a day that begin every six hours."""
+    counts = streaming.SlidingCounts("ts", "event_type", 86400, 21600, **S)
+    _stream(spark, d, ["ts", "event_type", "event_id"], counts, t(spark, d, "events").count())
+    return counts.table
+
+
 @query('SELECT u.u AS user_id, CAST(coalesce(sum(CAST(round("value" * 100) AS BIGINT)), 0) AS BIGINT) AS val FROM generate_series(0, greatest(149, (SELECT max(user_id) FROM events))) u(u) LEFT JOIN events ON user_id = u.u GROUP BY 1')
 def stream_state_balances(spark, d):
     state = streaming.BalanceState(_user_cells(spark, d), "user_id", "cents", **S)
