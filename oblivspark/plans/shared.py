@@ -10,6 +10,7 @@ import re
 import tempfile
 import uuid
 import zipfile
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -44,6 +45,25 @@ def ship_package(spark: SparkSession) -> None:
     context._oblivspark_shipped = True
 
 
+#: Paths of the tables written within each open ``scratch``.
+_scratch: list[list[str]] = []
+
+
+@contextmanager
+def scratch(spark: SparkSession):
+    """Delete, at the end, the tables that steps wrote meanwhile; results must have been read or written elsewhere by then."""
+    held: list[str] = []
+    _scratch.append(held)
+    try:
+        yield held
+    finally:
+        _scratch.remove(held)
+        conf = spark.sparkContext._jsc.hadoopConfiguration()
+        for path in held:
+            at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(conf).delete(at, True)
+
+
 #: Called with every table before it is written, while a guard is on.
 _watchers: list = []
 
@@ -53,6 +73,8 @@ def materialise(df: DataFrame, name: str = "table") -> DataFrame:
     for look in _watchers:
         look(df)
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    for held in _scratch:
+        held.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

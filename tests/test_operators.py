@@ -355,3 +355,14 @@ def test_catalog_and_functions(spark, sf):
     assert (z, b) == (params.from_length(n).z, params.from_length(n).beta)
     with pytest.raises(ValueError):
         bounds.q_sort(1000, 8, 16)
+
+
+def test_scratch(spark, sf):
+    import os
+
+    from oblivspark.plans.shared import scratch
+
+    with scratch(spark) as held:
+        n = sorts.oblivious_sort(spark.read.parquet(f"{sf}/orders.parquet").select("o_orderkey"), ["o_orderkey"], small=0, **S).count()
+        assert n == 1500 and len(held) >= 2 and all(os.path.exists(p.removeprefix("file:")) for p in held)
+    assert not any(os.path.exists(p.removeprefix("file:")) for p in held)
