@@ -30,3 +30,20 @@ def test_rows_are_routed_in_chunks(spark, monkeypatch):
     for second in ("engine", "pivots"):
         got = sorts.oblivious_sort(df, ["k", "id"], second=second, seed=3, level="cluster").orderBy("pos").collect()
         assert [r.id for r in got] == want and [r.pos for r in got] == list(range(20_000))
+
+
+def test_forests_of_a_task(spark, monkeypatch):
+    """150,000 nodes and as many edges are one task's; chains of ten in a scattered order."""
+    from oblivspark.operators import graphs
+
+    def refuse(*_, **__):
+        raise AssertionError("memory steps")
+
+    monkeypatch.setattr(graphs, "_least_neighbour_steps", refuse)
+    nodes = spark.range(150_000).select("id")
+    edges = nodes.filter("id % 10 > 0").select(F.col("id").alias("u"), (F.col("id") - 1).alias("v")).repartition(7)
+    got = graphs.connected_components(nodes, edges)
+    assert got.count() == 150_000 and got.filter("component <> id - id % 10").count() == 0
+    heavy = edges.withColumns({"w": F.col("u") % 3, "e": F.col("u")}).unionByName(edges.select("u", F.col("v").alias("v"), F.lit(9).cast("long").alias("w"), (F.col("u") + 1_000_000).alias("e")))
+    kept = graphs.min_spanning_forest(nodes, heavy)
+    assert kept.count() == 135_000 and kept.filter("w = 9").count() == 0
