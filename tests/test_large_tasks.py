@@ -47,3 +47,13 @@ def test_forests_of_a_task(spark, monkeypatch):
     heavy = edges.withColumns({"w": F.col("u") % 3, "e": F.col("u")}).unionByName(edges.select("u", F.col("v").alias("v"), F.lit(9).cast("long").alias("w"), (F.col("u") + 1_000_000).alias("e")))
     kept = graphs.min_spanning_forest(nodes, heavy)
     assert kept.count() == 135_000 and kept.filter("w = 9").count() == 0
+
+
+def test_expanding_join_has_no_more_places_than_matches(spark, sf, monkeypatch):
+    from oblivspark import workloads
+    from oblivspark.operators import relational
+
+    bounds, real = [], relational.expand_join
+    monkeypatch.setattr(relational, "expand_join", lambda a, b, key, bound, **o: bounds.append(bound) or real(a, b, key, bound, **o))
+    got = workloads.expand_join_same_nation(spark, sf).count()
+    assert bounds[0] < 2 * max(1, got)
