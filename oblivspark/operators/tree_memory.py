@@ -7,14 +7,16 @@ keeps the data. Every depth has a tree with 2^i leaves, whose first ``top`` leve
 from __future__ import annotations
 
 import math
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..functions.codec import Key
-from ..functions.kernels import coin_key
+from ..functions.kernels import coin_key, coins
 from ..plans.shared import materialise, ship_package
 from .pram import RULES, Step, run_pram, winners
 from .primitives import propagate, segmented_aggregates, send_receive, transpose
@@ -22,6 +24,8 @@ from .sorts import oblivious_sort
 
 #: Slots of a node; rows that a pool has room for, as a multiple of the asked cells of a batch.
 BUCKET, POOL = 4, 4
+#: Up to so many cells (a public number) all depths are one task's at the cluster level, which hides only what leaves a task.
+LEAN = 1 << 18
 
 
 class PoolOverflow(RuntimeError):
@@ -63,6 +67,148 @@ def reversed_bits(x: int, bits: int) -> int:
     return int(format(x % (1 << bits), f"0{bits}b")[::-1], 2) if bits else 0
 
 
+def _ranks(group: np.ndarray) -> np.ndarray:
+    """The place of each among its equals, in the order given."""
+    by = np.argsort(group, kind="stable")
+    i = np.arange(len(group))
+    new = np.concatenate(([True], np.diff(group[by]) != 0))[: len(group)]
+    out = np.empty(len(group), np.int64)
+    out[by] = i - np.maximum.accumulate(np.where(new, i, 0))
+    return out
+
+
+@dataclass(frozen=True)
+class _OneTask:
+    """All depths of a memory within a task: what ``_build``, ``_step`` and ``_evict`` do with tables, on arrays of the entries alone.
+
+    An entry is (at, prefix, leaf, c0, c1, val): its slot (node times ``bucket`` and place) or -1 for the pool, labels, and where its value stands.
+    """
+
+    height: int
+    top: int
+    bucket: int
+    room: int
+    key: bytes
+
+    def coin(self, depth: int, prefix: np.ndarray, batch: int, dummy: bool = False) -> np.ndarray:
+        drawn = coins(prefix.astype(np.uint64), 1, self.key, (batch << 8) + (depth << 1) + dummy)[:, 0]
+        return (drawn & np.uint64((1 << depth) - 1)).astype(np.int64)
+
+    def build(self, depth: int) -> dict[str, np.ndarray]:
+        """Entries sink to any node of their path that has room, the others go to the pool; values stand at their addresses."""
+        prefix = np.arange(1 << depth)
+        last, none = depth == self.height, np.full(1 << depth, -1)
+        e = {"at": none.copy(), "prefix": prefix, "leaf": self.coin(depth, prefix, 0), "val": prefix if last else none}
+        e |= {f"c{side}": none if last else self.coin(depth + 1, 2 * prefix + side, 0) for side in (0, 1)}
+        left = prefix
+        for up in range(max(0, depth - self.top)):
+            node = (e["leaf"][left] + (1 << depth)) >> up
+            slot = _ranks(node)
+            fits = slot < self.bucket
+            e["at"][left[fits]] = node[fits] * self.bucket + slot[fits]
+            left = left[~fits]
+        return e
+
+    def fetch(self, depth: int, e: dict[str, np.ndarray], want: np.ndarray, leaf: np.ndarray) -> np.ndarray:
+        """Where the entries of the asked prefixes are, in the pool or on the path to a leaf; -1 where they are in neither."""
+        pool = np.flatnonzero(e["at"] < 0)
+        pool = pool[np.argsort(e["prefix"][pool])]
+        i = np.minimum(np.searchsorted(e["prefix"][pool], want), max(len(pool) - 1, 0))
+        found = np.where(e["prefix"][pool][i] == want, pool[i], -1) if len(pool) else np.full(len(want), -1)
+        if depth > self.top:
+            slots = np.full((2 << depth, self.bucket), -1, np.int32)
+            held = np.flatnonzero(e["at"] >= 0)
+            slots.ravel()[e["at"][held]] = held
+            for up in range(depth - self.top):
+                for there in slots[(leaf + (1 << depth)) >> up].T:
+                    found = np.where((there >= 0) & (e["prefix"][there] == want), there, found)
+        return found
+
+    def evict(self, depth: int, e: dict[str, np.ndarray], moving: np.ndarray, ends: list[int], bound: int) -> np.ndarray:
+        """New slots: what is in the pool, was asked for (``moving``) or lies on two paths a subtree sinks to the deepest node that its own path shares with one of them, while there is room.
+
+        Of the pool only ``bound`` entries are kept; -2 marks the others.
+        """
+        bits, at = depth - self.top, e["at"].copy()
+        node = at // self.bucket
+        level = np.frexp(np.maximum(node, 1).astype(np.float64))[1] - 1
+        inside = node & ((1 << np.maximum(level - self.top, 0)) - 1)
+        out = moving | (at < 0)
+        for end in ends:
+            out |= (at >= 0) & (inside == end >> (depth - level))
+        own, deep = e["leaf"] & ((1 << bits) - 1), np.zeros(len(at), np.int64)
+        for end in ends:
+            deep = np.maximum(deep, bits - np.frexp((own ^ end).astype(np.float64))[1])
+        at[out] = -1
+        go = np.flatnonzero(out & (deep > 0))
+        go = go[np.argsort(e["prefix"][go])]
+        to = (e["leaf"][go] + (1 << depth)) >> (bits - deep[go])
+        slot = _ranks(to)
+        fits = slot < self.bucket
+        at[go[fits]] = to[fits] * self.bucket + slot[fits]
+        pool = np.flatnonzero(at == -1)
+        at[pool[np.argsort(e["prefix"][pool])[bound:]]] = -2
+        return at
+
+    def serve(self, state: pa.Table, asks: pa.Table, batch: int, ends: dict[int, list[int]]) -> pa.Table:
+        """A batch's requests (k, addr, new, written), one an address and fillers behind them, through all depths: the new entries, what is served, the leaves shown."""
+        asks = asks.take(pa.array(np.argsort(asks["k"].to_numpy())))
+        k, p = asks["k"].to_numpy(), len(asks)
+        addr = asks["addr"].drop_null().to_numpy()
+        written = asks["written"].fill_null(False).to_numpy()[: len(addr)]
+        vals = pa.chunked_array([*state["val"].chunks, *asks["new"].chunks], state["val"].type)
+        depth_of, cols = state["depth"].to_numpy(), {c: state[c].to_numpy() for c in ENTRY}
+        leaf, there, source = np.zeros(len(addr), np.int64), np.ones(len(addr), bool), np.full(p, -1)
+        made: list[dict] = []
+        shown = []
+        for d in range(self.height + 1):
+            mine = np.flatnonzero(depth_of == d)
+            e = {c: x[mine] for c, x in cols.items()} | {"val": mine}
+            prefix = addr >> (self.height - d)
+            first = np.concatenate(([True], np.diff(prefix) != 0))[: len(addr)]
+            group = np.cumsum(first) - 1
+            want, path = prefix[first], leaf[first]
+            look = self.coin(d, k, batch, True)
+            look[: len(addr)][first] = path
+            shown.append(look)
+            got = self.fetch(d, e, want, path)
+            there &= (got >= 0)[group]
+            old = {c: e[c][got][group] for c in ("c0", "c1", "val")}
+            moving = np.zeros(len(mine), bool)
+            moving[got] = True
+            e["leaf"][got] = self.coin(d, want, batch)
+            if d < self.height:
+                bit = addr >> (self.height - d - 1) & 1
+                last = np.concatenate((first[1:], [True]))[: len(addr)]
+                for side, end in ((0, first), (1, last)):  # the least address of a prefix is below its left child if any is, the greatest below its right one
+                    at = bit[end] == side
+                    e[f"c{side}"][got[at]] = self.coin(d + 1, 2 * want[at] + side, batch)
+                leaf = np.where(bit == 0, old["c0"], old["c1"])
+            else:
+                source[: len(addr)] = np.where(there, old["val"], -1)
+                e["val"][got] = np.where(written, len(state) + np.arange(len(addr)), old["val"])
+            if d > self.top:
+                e["at"] = self.evict(d, e, moving, ends[d], min(1 << d, max(self.room, POOL * p)))
+            made.append({c: x[e["at"] > -2] for c, x in (e | {"depth": np.full(len(mine), d)}).items()})
+        now = {c: np.concatenate([m[c] for m in made]) for c in ("depth", *ENTRY, "val")}
+        n, shows = len(now["depth"]), self.height + 1
+        value = np.concatenate((now["val"], source))
+        some = value >= 0
+        filled = lambda x, before, after: pa.concat_arrays([pa.nulls(before, pa.int64()), pa.array(x, pa.int64()), pa.nulls(after, pa.int64())])
+        out = {"kind": pa.array(np.repeat([0, 1, 2], (n, p, shows)), pa.int64()), "depth": pa.array(np.concatenate((now["depth"], np.full(p, -1), np.arange(shows))), pa.int64())}
+        out |= {c: filled(now[c], 0, p + shows) for c in ENTRY}
+        out["val"] = vals.take(pa.concat_arrays([pa.array(value, pa.int64(), mask=~some), pa.nulls(shows, pa.int64())]))
+        out["addr"] = pa.chunked_array([pa.nulls(n, pa.int64()), *asks["addr"].chunks, pa.nulls(shows, pa.int64())])
+        flags = np.concatenate((there, np.ones(p - len(addr), bool)))
+        out["there"] = pa.concat_arrays([pa.nulls(n, pa.bool_()), pa.array(flags), pa.nulls(shows, pa.bool_())])
+        out["shown"] = pa.concat_arrays([pa.nulls(n + p, pa.list_(pa.int64())), pa.array(shown, pa.list_(pa.int64()))])
+        return pa.table(out)
+
+
+#: Columns of an entry but its depth and value.
+ENTRY = ("at", "prefix", "leaf", "c0", "c1")
+
+
 class TreeMemory:
     """``cells`` (addr 0 .. n - 1, val) served in batches of requests; reads see the memory before the batch's writes.
 
@@ -70,7 +216,7 @@ class TreeMemory:
     were shown to whoever watches, as (batch, depth, k, leaf), and ``evicted`` the leaves of the evicted paths. Node numbers in ``layout`` order cluster the files.
     """
 
-    def __init__(self, mem: DataFrame, procs: int = 64, top: int | None = None, bucket: int = BUCKET, layout: str = "veb", seed: int | None = None, level: str = "memory", **options):
+    def __init__(self, mem: DataFrame, procs: int = 64, top: int | None = None, bucket: int = BUCKET, layout: str = "veb", seed: int | None = None, level: str = "memory", lean: int = LEAN, **options):
         self.spark, self.bucket, self.layout = mem.sparkSession, bucket, layout
         self.cells = mem.count()
         self.height = max(1, math.ceil(math.log2(max(self.cells, 2))))
@@ -83,6 +229,10 @@ class TreeMemory:
         self.pools: list[DataFrame] = []
         self.sizes: list[int] = []
         self.trees: list[DataFrame | None] = []
+        self.lean = _OneTask(self.height, self.top, bucket, self.room, key) if level == "cluster" and self.cells <= lean else None
+        if self.lean:
+            self.state = self._built(mem)
+            return
         for d in range(self.height + 1):
             prefix = F.col("id")
             child = lambda side, d=d: self._coin(d + 1, F.col("id") * 2 + side, 0) if d < self.height else F.lit(None).cast("long")
@@ -124,6 +274,49 @@ class TreeMemory:
         placed = rows.mapInArrow(kernel, f"{fields}, at long")
         return placed.repartitionById(parts, F.floor(F.col("at") / size).cast("int")).sortWithinPartitions("at", "slot").drop("at")
 
+    # -- all depths in one task -----------------------------------------------------------------------------------------
+
+    def _entries(self, val: str) -> str:
+        return f"depth long, {', '.join(f'{c} long' for c in ENTRY)}, val {val}"
+
+    def _built(self, mem: DataFrame) -> DataFrame:
+        lean, kind = self.lean, mem.schema["val"].dataType.simpleString()
+
+        def kernel(batches):
+            t = pa.Table.from_batches(list(batches), empty)
+            addr = t["addr"].to_numpy()
+            place = np.full(1 << lean.height, -1)
+            place[addr] = np.arange(len(addr))
+            for d in range(lean.height + 1):
+                e = lean.build(d)
+                at = place[e["val"]] if d == lean.height else e["val"]
+                yield from pa.table({"depth": np.full(1 << d, d), **{c: e[c] for c in ENTRY}, "val": t["val"].take(pa.array(at, pa.int64(), mask=at < 0))}).to_batches(1 << 16)
+
+        cells = mem.select(F.col("addr").cast("long").alias("addr"), "val")
+        empty = to_arrow_schema(cells.schema)
+        ship_package(self.spark)
+        return materialise(cells.coalesce(1).mapInArrow(kernel, self._entries(kind)), "memory")
+
+    def _served(self, asks: DataFrame) -> DataFrame:
+        """(addr, val): a batch's requests, one an address, in one task."""
+        lean, batch, kind = self.lean, self.batch, self.state.schema["val"].dataType.simpleString()
+        ends = {d: self._eviction_leaves(d) for d in range(self.top + 1, self.height + 1)}
+        one = lambda df: df.withColumn("_g", F.lit(0)).groupBy("_g")
+        out = one(self.state).cogroup(one(asks.select("k", "addr", "new", "written"))).applyInArrow(lambda state, asked: lean.serve(state, asked, batch, ends), f"kind long, {self._entries(kind)}, addr long, there boolean, shown array<long>")
+        out = materialise(out, "memory")
+        self.state = out.filter("kind = 0").select("depth", *ENTRY, "val")
+        for r in self.state.groupBy("depth").count().collect():
+            if r["count"] != 1 << r["depth"]:
+                raise PoolOverflow(f"{(1 << r['depth']) - r['count']} entries had no room in the pool of depth {r['depth']}")
+        served = out.filter("kind = 1")
+        if served.filter(~F.col("there")).limit(1).count():
+            raise KeyError("a cell is lost")
+        for d in range(self.height + 1):
+            leaves = out.filter((F.col("kind") == 2) & (F.col("depth") == d)).select(F.posexplode("shown").alias("k", "leaf"))
+            self.seen.append(leaves.select(F.lit(batch).alias("batch"), F.lit(d).alias("depth"), F.col("k").cast("long").alias("k"), "leaf"))
+        self.evicted += [(batch, d, tuple(x)) for d, x in ends.items()]
+        return served.select("addr", "val")
+
     # -- eviction -----------------------------------------------------------------------------------------------------
 
     def _build(self, depth: int, entries: DataFrame) -> None:
@@ -233,13 +426,16 @@ class TreeMemory:
             asks = send_receive(won.select("addr", F.col("val").alias("new")), asks, ["addr"], ["new"], found="written", on_duplicate="first", restore=False, **self.options)
         else:
             asks = asks.withColumn("new", F.lit(None).cast(requests.schema["val"].dataType)).withColumn("written", F.lit(False))
-        asks = materialise(asks.withColumn("leaf", F.lit(0).cast("long")), "asks")
-        for d in range(self.height + 1):
-            asks = self._step(d, asks, p)
-        self._check()
-        if asks.filter(F.col("addr").isNotNull() & ~F.col("there")).limit(1).count():
-            raise KeyError("a cell is lost")
-        found = asks.select("addr", F.col("value").alias("val"))
+        if self.lean:
+            found = self._served(asks)
+        else:
+            asks = materialise(asks.withColumn("leaf", F.lit(0).cast("long")), "asks")
+            for d in range(self.height + 1):
+                asks = self._step(d, asks, p)
+            self._check()
+            if asks.filter(F.col("addr").isNotNull() & ~F.col("there")).limit(1).count():
+                raise KeyError("a cell is lost")
+            found = asks.select("addr", F.col("value").alias("val"))
         got = send_receive(found, req.select("i", "addr"), ["addr"], ["val"], on_duplicate="first", restore=False, **self.options)
         return materialise(got.select("i", "val"), "served")
 
@@ -302,6 +498,8 @@ class TreeMemory:
 
     def dump(self) -> DataFrame:
         """(addr, val) of all cells, in the open."""
+        if self.lean:
+            return self.state.filter((F.col("depth") == self.height) & (F.col("prefix") < self.cells)).select(F.col("prefix").alias("addr"), "val")
         last = self.pools[-1].select("prefix", "val")
         if self.trees[-1] is not None:
             last = last.unionByName(self.trees[-1].select("prefix", "val"))

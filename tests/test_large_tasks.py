@@ -57,3 +57,36 @@ def test_expanding_join_has_no_more_places_than_matches(spark, sf, monkeypatch):
     monkeypatch.setattr(relational, "expand_join", lambda a, b, key, bound, **o: bounds.append(bound) or real(a, b, key, bound, **o))
     got = workloads.expand_join_same_nation(spark, sf).count()
     assert bounds[0] < 2 * max(1, got)
+
+
+def test_tree_memory_in_one_task(spark):
+    """All depths in one task: answers as stated, entries on their own paths and in slots of their own, and few jobs a batch."""
+    import random
+
+    import numpy as np
+
+    from oblivspark.operators.tree_memory import BUCKET, TreeMemory
+
+    r, n = random.Random(5), 700
+    ref = [100 + i for i in range(n)]
+    mem = TreeMemory(spark.createDataFrame(list(enumerate(ref)), "addr long, val long"), procs=2, seed=3, level="cluster")
+    tracker = spark.sparkContext.statusTracker()
+    for batch, size in enumerate((8, 300, 60)):
+        req = [(i, r.choice("rw"), r.choice([r.randrange(n), 3, n + 3]), r.randrange(1000)) for i in range(size)]
+        spark.sparkContext.setJobGroup(f"tree-{batch}", "tree")
+        got = {x["i"]: x["val"] for x in mem.access(spark.createDataFrame(req, "i long, op string, addr long, val long")).collect()}
+        assert len(tracker.getJobIdsForGroup(f"tree-{batch}")) < 70
+        assert got == {i: ref[a] if a < n else None for i, _, a, _ in req}
+        done = set()
+        for _, op, a, v in req:
+            if op == "w" and a < n and a not in done:
+                ref[a] = v
+                done.add(a)
+        s = mem.state.toPandas()
+        s = s[s["at"] >= 0]
+        node, depth = (s["at"] // BUCKET).to_numpy(), s["depth"].to_numpy()
+        level = np.log2(node).astype(int)
+        assert not s.duplicated(["depth", "at"]).any() and (level > mem.top).all()
+        assert (((s["leaf"].to_numpy() + (1 << depth)) >> (depth - level)) == node).all()
+        assert [x.count() for x in mem.seen[-11:]] == [size] * 11
+    assert sorted(map(tuple, mem.dump().collect())) == list(enumerate(ref))
