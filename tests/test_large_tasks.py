@@ -90,3 +90,21 @@ def test_tree_memory_in_one_task(spark):
         assert (((s["leaf"].to_numpy() + (1 << depth)) >> (depth - level)) == node).all()
         assert [x.count() for x in mem.seen[-11:]] == [size] * 11
     assert sorted(map(tuple, mem.dump().collect())) == list(enumerate(ref))
+
+
+def test_phases_share_rows_alike(spark, monkeypatch):
+    """One long input reaches all tasks of the second phase, not those of one turn alone."""
+    monkeypatch.setattr(P, "CHUNK", 700)
+    df, p = spark.range(0, 20_000, 1, 1).select("id", F.hash("id").alias("k")), params.from_length(20_000)
+    spark.sparkContext.setJobGroup("phases", "phases")
+    out = P.routed(df, p, P.Codec(df.schema, {}), (4, 4), P.K.coin_key(3), "cluster", "recursive").select("dest")
+    assert out.distinct().count() == 16
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(10_000)
+    tracker, store = spark.sparkContext.statusTracker(), spark.sparkContext._jsc.sc().statusStore()
+    stages = sorted({i for j in tracker.getJobIdsForGroup("phases") for i in tracker.getJobInfo(j).stageIds})
+    loads = []
+    for i in stages:
+        tasks = store.taskList(i, 0, 1000)
+        if tasks.size() == 16:
+            loads.append([tasks.apply(x).taskMetrics().get().shuffleReadMetrics().recordsRead() for x in range(16)])
+    assert len(loads) == 2 and all(min(x) > 0 and max(x) <= 4 * sum(x) / 16 for x in loads)
