@@ -108,3 +108,14 @@ def test_phases_share_rows_alike(spark, monkeypatch):
         if tasks.size() == 16:
             loads.append([tasks.apply(x).taskMetrics().get().shuffleReadMetrics().recordsRead() for x in range(16)])
     assert len(loads) == 2 and all(min(x) > 0 and max(x) <= 4 * sum(x) / 16 for x in loads)
+
+
+def test_sliding_counts_group_rows_once(spark, sf, monkeypatch):
+    from oblivspark import streaming, workloads
+
+    sizes, real = [], streaming.group_aggregate
+    monkeypatch.setattr(streaming, "group_aggregate", lambda rows, *a, **o: sizes.append(rows.count()) or real(rows, *a, **o))
+    got = workloads.stream_sliding_counts(spark, sf)
+    n = workloads.t(spark, sf, "events").count()
+    panes = got.count()
+    assert len(sizes) == 6 and max(sizes) <= -(-n // 3) + 4 * panes
