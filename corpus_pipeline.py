@@ -31,7 +31,7 @@ def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document of the least id stays."""
+    """Of each group of near copies, found by SimHash and beyond its reach by bands and compared exactly, the document of the least id stays."""
     return near_copies(docs)
 
 
@@ -49,7 +49,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("quality classifier", keep_quality),
     ("line dedup", drop_lines),
-    ("near copies by five-word similarity", drop_near_copies),
+    ("SimHash near copies, exactly compared", drop_near_copies),
     ("benchmark decontamination", drop_contaminated),
     ("mixing sources to target weights", mix_sources),
 ]

@@ -1,4 +1,4 @@
-"""Near copies by similarity of five-word shingles: candidates by MinHash bands, links by exact comparison."""
+"""Near copies by similarity of five-word shingles: candidates by SimHash and, for what lies beyond its reach, by MinHash bands; links by exact comparison."""
 
 from __future__ import annotations
 
@@ -11,9 +11,12 @@ from pyspark.sql import functions as F
 from ..plans.components import connected_components
 from ..plans.shared import materialise, skew_safe_lookup
 from .base import column, id_and_text, map_batches, texts_of, unused
+from .simhash import groups, majority
 
 #: Words of a shingle, and the least share of common shingles of two linked texts, in hundredths.
 WIDTH, LEAST = 5, 80
+#: Bits in which the SimHash fingerprints of candidates differ at most.
+REACH = 2
 #: Least hashes that a band joins, and bands: a pair at 0.8 has none in common with a chance of (1 - 0.8^6)^40, under 6 in a million.
 ROWS, BANDS = 6, 40
 #: Fixed value: the seed of all hashes.
@@ -26,13 +29,18 @@ _TIMES, _PLUS = _rng.integers(0, 1 << 64, (2, ROWS * BANDS, 1), dtype=np.uint64)
 _TIMES |= np.uint64(1)
 
 
-def shingles(text: bytes, width: int = WIDTH) -> np.ndarray:
-    """The distinct shingles' XXH64, in order; a text of fewer words is one shingle, one without words the empty one."""
+def sequence(text: bytes, width: int = WIDTH) -> np.ndarray:
+    """The shingles' XXH64 as they come; a text of fewer words is one shingle, one without words the empty one."""
     words = text.lower().split()  # bytes: A to Z and the six ASCII blanks only
     h = xxhash.xxh64_intdigest
     if len(words) <= width:
         return np.array([h(b" ".join(words), SEED)], np.uint64)
-    return np.unique(np.array([h(b" ".join(s), SEED) for s in zip(*(words[i:] for i in range(width)))], np.uint64))
+    return np.array([h(b" ".join(s), SEED) for s in zip(*(words[i:] for i in range(width)))], np.uint64)
+
+
+def shingles(text: bytes, width: int = WIDTH) -> np.ndarray:
+    """The distinct shingles' XXH64, in order."""
+    return np.unique(sequence(text, width))
 
 
 def node_of(found: np.ndarray) -> int:
@@ -84,9 +92,19 @@ def roots_of(sets: list[np.ndarray]) -> np.ndarray:
     return root
 
 
-def _candidates(distinct: DataFrame) -> DataFrame:
-    """(node, component): nodes that bands join, directly or over others."""
-    rows = distinct.select("node", F.explode("bands").alias("band"))
+def _by_fingerprint(each: DataFrame, reach: int = REACH) -> DataFrame:
+    """(node, band): one band for each group that links of SimHash fingerprints, found in the shards of a vantage-point tree, reach. ``each``: (node, fp)."""
+    pairs = materialise(each.select("node", "fp").distinct(), "fingerprints")
+    distinct = materialise(pairs.groupBy("fp").agg(F.count(F.lit(1)).alias("n")), "fingerprints")
+    pieces = groups(distinct, distinct.count(), reach).select(F.col("node").alias("_fp"), "component")
+    roots = distinct.join(pieces, F.col("fp") == F.col("_fp"), "left").select("fp", "n", F.coalesce("component", "fp").alias("root"))
+    named = skew_safe_lookup(pairs, materialise(roots, "roots"), "fp", "n", pairs.count(), ["root"])
+    return named.select("node", F.xxhash64(F.lit("fingerprints"), "root").alias("band")).distinct()
+
+
+def _candidates(each: DataFrame, distinct: DataFrame) -> DataFrame:
+    """(node, component): nodes that groups of fingerprints and bands join, directly or over others."""
+    rows = distinct.select("node", F.explode("bands").alias("band")).unionByName(materialise(_by_fingerprint(each), "bands"))
     buckets = rows.groupBy("band").agg(F.min("node").alias("least"), F.count(F.lit(1)).alias("n")).filter("n > 1")
     buckets = materialise(buckets, "bands")
     met = buckets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
@@ -108,9 +126,10 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     """The documents that stay, with all columns: of each group of near copies the one of the least id.
 
     Two texts link if at least 0.8 of their distinct five-word shingles (A to Z lower-cased) are common; a group is what links
-    reach. Texts of one set of shingles are one node. Nodes with a MinHash band in common are candidates, and so
-    are all that chains of those join; each such set is dealt to one task once, which compares its shingles' 64-bit hashes exactly.
-    A pair that no chain of bands joins is missed: under 6 in a million at a similarity of 0.8, fewer above.
+    reach. Texts of one set of shingles are one node. Nodes whose SimHash fingerprints over the five-word shingles link at ``REACH`` or fewer
+    bits, by the vantage-point tree of ``simhash``, are candidates; those that are similar but further apart, as most pairs at 0.8 are, meet by a MinHash band in common. So
+    are all that chains of either join; each such set is dealt to one task once, which compares its shingles' 64-bit hashes exactly.
+    A pair that no chain joins is missed: under 6 in a million at a similarity of 0.8, fewer above.
 
     Null text: the empty text; texts without words are copies of each other. Rows of null ids stay if their group has no
     other id. Repeated ids: all rows of an id stay if one does. Empty table: no rows.
@@ -121,19 +140,21 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     def sign(batches):
         for batch in batches:
             texts = texts_of(batch)
-            found = [shingles(t) for t in texts]
+            whole = [sequence(t) for t in texts]
+            fps = np.array([majority(h) for h in whole], np.uint64).view(np.int64)
+            found = [np.unique(h) for h in whole]
             nodes = np.array([node_of(s) for s in found], np.uint64).view(np.int64)
             marks = np.array([mark_of(t) for t in texts], np.uint64).view(np.int64)
             bands = np.concatenate([bands_of(s) for s in found]).view(np.int64) if found else np.empty(0, np.int64)
             lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(bands) + 1, BANDS, dtype=np.int32)), pa.array(bands))
-            yield pa.record_batch([column(batch, "doc_id"), pa.array(nodes), pa.array(marks), lists], names=["doc_id", "node", "mark", "bands"])
+            yield pa.record_batch([column(batch, "doc_id"), pa.array(nodes), pa.array(fps), pa.array(marks), lists], names=["doc_id", "node", "fp", "mark", "bands"])
 
     kind = base.schema["doc_id"].dataType.simpleString()
-    each = materialise(map_batches(base, sign, f"doc_id {kind}, node long, mark long, bands array<long>"), "signed")
+    each = materialise(map_batches(base, sign, f"doc_id {kind}, node long, fp long, mark long, bands array<long>"), "signed")
     distinct = each.groupBy("node").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n"), F.min("mark").alias("mark"), F.first("bands").alias("bands"))
     distinct = materialise(distinct, "distinct")
     total = distinct.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    candidates = materialise(_candidates(distinct), "candidates")
+    candidates = materialise(_candidates(each, distinct), "candidates")
     candidates = materialise(candidates.unionByName(candidates.select(F.col("component").alias("node"), "component")).distinct(), "candidates")
     shared = spark.sparkContext.broadcast(_map_of(distinct.join(candidates, "node").select("mark")))
 

@@ -38,6 +38,14 @@ def fingerprint(text: bytes, width: int = 3) -> int:
     return int(np.packbits(total * 2 > n, bitorder="little").view("<u8")[0])
 
 
+def majority(hashes: np.ndarray) -> int:
+    """The fingerprint of shingle hashes, repeats included."""
+    total = np.zeros(64, np.int64)
+    for at in range(0, len(hashes), BLOCK):
+        total += np.unpackbits(hashes[at : at + BLOCK].astype("<u8").view(np.uint8), bitorder="little").reshape(-1, 64).sum(0, dtype=np.int64)
+    return int(np.packbits(total * 2 > len(hashes), bitorder="little").view("<u8")[0])
+
+
 def fingerprints(base: DataFrame, width: int) -> DataFrame:
     """(doc_id, fp): the fingerprint as a signed long."""
 
@@ -173,6 +181,17 @@ def linked(distinct: DataFrame, tree, shards: int, reach: int) -> DataFrame:
     return dealt.groupBy("shard").applyInArrow(search, "u long, v long")
 
 
+def groups(distinct: DataFrame, count: int, reach: int) -> DataFrame:
+    """(node, component): fingerprints that links of at most ``reach`` bits join to others. ``distinct``: (fp), ``count`` of them, each once.
+
+    A vantage-point tree, fitted on ``SAMPLE`` of them or ``PER_SHARD`` for each shard, deals all of them to shards.
+    """
+    shards = max(LEAST_SHARDS, -(-count // SHARD))
+    picked = [r[0] for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(max(SAMPLE, PER_SHARD * shards)).collect()]
+    tree = grow(np.array(picked, np.int64).view(np.uint64), shards)
+    return connected_components(linked(distinct, tree, shards, reach), "u", "v")
+
+
 def near_dedup(docs: DataFrame, width: int = 3, reach: int = 2, id_col: str = "doc_id", text_col: str = "text", carry: bool = False) -> DataFrame:
     """One row per document: doc_id, fingerprint (16 hex digits), component_id (``carry``: all input columns, of the documents that stay).
 
@@ -190,10 +209,7 @@ def near_dedup(docs: DataFrame, width: int = 3, reach: int = 2, id_col: str = "d
     each = materialise(fingerprints(base, width), "fingerprints")
     distinct = materialise(each.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n")), "distinct")
     facts = distinct.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
-    shards = max(LEAST_SHARDS, -(-facts[0] // SHARD))
-    picked = [r[0] for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(max(SAMPLE, PER_SHARD * shards)).collect()]
-    tree = grow(np.array(picked, np.int64).view(np.uint64), shards)
-    pieces = connected_components(linked(distinct, tree, shards, reach), "u", "v")
+    pieces = groups(distinct, facts[0], reach)
     nodes = distinct.join(pieces, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("component", "fp"))
     nodes = materialise(nodes.select("fp", "rep", "n", "root"), "nodes")
     roots = materialise(nodes.groupBy("root").agg(F.min("rep").alias("component_id"), F.count(F.lit(1)).alias("size")), "roots")
