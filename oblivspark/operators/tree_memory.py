@@ -6,6 +6,7 @@ keeps the data. Every depth has a tree with 2^i leaves, whose first ``top`` leve
 
 from __future__ import annotations
 
+import itertools
 import math
 from dataclasses import dataclass
 
@@ -25,7 +26,9 @@ from .sorts import oblivious_sort
 #: Slots of a node; rows that a pool has room for, as a multiple of the asked cells of a batch.
 BUCKET, POOL = 4, 4
 #: Up to so many cells (a public number) all depths are one task's at the cluster level, which hides only what leaves a task.
-LEAN = 1 << 18
+LEAN = 1 << 21
+#: Rows of a memory that a task hands on at a time.
+PIECE = 1 << 16
 
 
 class PoolOverflow(RuntimeError):
@@ -150,31 +153,38 @@ class _OneTask:
         at[pool[np.argsort(e["prefix"][pool])[bound:]]] = -2
         return at
 
-    def serve(self, state: pa.Table, asks: pa.Table, batch: int, ends: dict[int, list[int]]) -> pa.Table:
-        """A batch's requests (k, addr, new, written), one an address and fillers behind them, through all depths: the new entries, what is served, the leaves shown."""
-        asks = asks.take(pa.array(np.argsort(asks["k"].to_numpy())))
-        k, p = asks["k"].to_numpy(), len(asks)
-        addr = asks["addr"].drop_null().to_numpy()
+    def serve(self, batches, batch: int, ends: dict[int, list[int]], empty: pa.Schema):
+        """A batch's requests (k, addr, new, written), in order, one an address and fillers behind them, then the entries depth by depth: yields the new entries, what is served, the leaves shown.
+
+        One depth is held at a time.
+        """
+        depths = _by_depth(batches)
+        d, asks = next(depths, (0, None))
+        if d >= 0:  # no requests
+            depths, asks = ([] if asks is None else itertools.chain([(d, asks)], depths)), pa.Table.from_batches([], empty)
+        k, p, new = asks["k"].to_numpy(), len(asks), asks["new"]
+        column = asks["addr"].combine_chunks()
+        addr = column.drop_null().to_numpy()
         written = asks["written"].fill_null(False).to_numpy()[: len(addr)]
-        vals = pa.chunked_array([*state["val"].chunks, *asks["new"].chunks], state["val"].type)
-        depth_of, cols = state["depth"].to_numpy(), {c: state[c].to_numpy() for c in ENTRY}
-        leaf, there, source = np.zeros(len(addr), np.int64), np.ones(len(addr), bool), np.full(p, -1)
-        made: list[dict] = []
-        shown = []
-        for d in range(self.height + 1):
-            mine = np.flatnonzero(depth_of == d)
-            e = {c: x[mine] for c, x in cols.items()} | {"val": mine}
+        del asks
+        leaf, there, values = np.zeros(len(addr), np.int64), np.ones(len(addr), bool), pa.nulls(p, new.type)
+        for d, t in depths:
+            e = {c: t[c].fill_null(-1).to_numpy() for c in ENTRY}
+            e = {c: x if x.flags.writeable else x.copy() for c, x in e.items()}
+            held, n = t["val"], len(t)
+            del t
             prefix = addr >> (self.height - d)
             first = np.concatenate(([True], np.diff(prefix) != 0))[: len(addr)]
             group = np.cumsum(first) - 1
             want, path = prefix[first], leaf[first]
             look = self.coin(d, k, batch, True)
             look[: len(addr)][first] = path
-            shown.append(look)
+            for i in range(0, p, PIECE):
+                yield self.rows(2, pa.nulls(1, new.type), depth=[d], prefix=[i], shown=pa.array([look[i : i + PIECE]], pa.list_(pa.int64())))
             got = self.fetch(d, e, want, path)
             there &= (got >= 0)[group]
-            old = {c: e[c][got][group] for c in ("c0", "c1", "val")}
-            moving = np.zeros(len(mine), bool)
+            old = {c: e[c][got][group] for c in ("c0", "c1")}
+            moving = np.zeros(n, bool)
             moving[got] = True
             e["leaf"][got] = self.coin(d, want, batch)
             if d < self.height:
@@ -185,24 +195,49 @@ class _OneTask:
                     e[f"c{side}"][got[at]] = self.coin(d + 1, 2 * want[at] + side, batch)
                 leaf = np.where(bit == 0, old["c0"], old["c1"])
             else:
-                source[: len(addr)] = np.where(there, old["val"], -1)
-                e["val"][got] = np.where(written, len(state) + np.arange(len(addr)), old["val"])
+                vals = pa.chunked_array([*held.chunks, *new.chunks], new.type)
+                source = np.full(p, -1)
+                source[: len(addr)] = np.where(there, got[group], -1)
+                values = vals.take(pa.array(source, pa.int64(), mask=source < 0)).combine_chunks()
+                val = np.arange(n)
+                val[got] = np.where(written, n + np.arange(len(addr)), got)
+                held = vals.take(pa.array(val, pa.int64()))
             if d > self.top:
                 e["at"] = self.evict(d, e, moving, ends[d], min(1 << d, max(self.room, POOL * p)))
-            made.append({c: x[e["at"] > -2] for c, x in (e | {"depth": np.full(len(mine), d)}).items()})
-        now = {c: np.concatenate([m[c] for m in made]) for c in ("depth", *ENTRY, "val")}
-        n, shows = len(now["depth"]), self.height + 1
-        value = np.concatenate((now["val"], source))
-        some = value >= 0
-        filled = lambda x, before, after: pa.concat_arrays([pa.nulls(before, pa.int64()), pa.array(x, pa.int64()), pa.nulls(after, pa.int64())])
-        out = {"kind": pa.array(np.repeat([0, 1, 2], (n, p, shows)), pa.int64()), "depth": pa.array(np.concatenate((now["depth"], np.full(p, -1), np.arange(shows))), pa.int64())}
-        out |= {c: filled(now[c], 0, p + shows) for c in ENTRY}
-        out["val"] = vals.take(pa.concat_arrays([pa.array(value, pa.int64(), mask=~some), pa.nulls(shows, pa.int64())]))
-        out["addr"] = pa.chunked_array([pa.nulls(n, pa.int64()), *asks["addr"].chunks, pa.nulls(shows, pa.int64())])
+            kept = np.flatnonzero(e["at"] > -2)
+            for i in range(0, len(kept), PIECE):
+                now = kept[i : i + PIECE]
+                yield self.rows(0, held.take(pa.array(now)), depth=np.full(len(now), d), **{c: x[now] for c, x in e.items()})
         flags = np.concatenate((there, np.ones(p - len(addr), bool)))
-        out["there"] = pa.concat_arrays([pa.nulls(n, pa.bool_()), pa.array(flags), pa.nulls(shows, pa.bool_())])
-        out["shown"] = pa.concat_arrays([pa.nulls(n + p, pa.list_(pa.int64())), pa.array(shown, pa.list_(pa.int64()))])
-        return pa.table(out)
+        for i in range(0, p, PIECE):
+            here = slice(i, min(i + PIECE, p))
+            yield self.rows(1, values[here], depth=np.full(here.stop - i, -1), addr=column[here], there=flags[here])
+
+    @staticmethod
+    def rows(kind: int, val: pa.Array, **given) -> pa.RecordBatch:
+        """Rows of one kind: entries (0), what is served (1), leaves shown from the place ``prefix`` on (2)."""
+        val = val.combine_chunks() if isinstance(val, pa.ChunkedArray) else val
+        kinds = {"depth": pa.int64(), **dict.fromkeys(ENTRY, pa.int64()), "val": val.type, "addr": pa.int64(), "there": pa.bool_(), "shown": pa.list_(pa.int64())}
+        cols = {c: val if c == "val" else pa.array(given[c], x) if c in given else pa.nulls(len(val), x) for c, x in kinds.items()}
+        return pa.record_batch({"kind": pa.array(np.full(len(val), kind)), **cols})
+
+
+def _by_depth(batches):
+    """(depth, table) of batches in the order of their first column."""
+    now, held = None, []
+    for b in batches:
+        depth = b.column(0).to_numpy()
+        cuts = [0, *(np.flatnonzero(np.diff(depth)) + 1), len(depth)]
+        for i, j in zip(cuts, cuts[1:]):
+            if i == j:
+                continue
+            if held and depth[i] != now:
+                yield now, pa.Table.from_batches(held)
+                held = []
+            now = int(depth[i])
+            held.append(b.slice(i, j - i))
+    if held:
+        yield now, pa.Table.from_batches(held)
 
 
 #: Columns of an entry but its depth and value.
@@ -301,8 +336,10 @@ class TreeMemory:
         """(addr, val): a batch's requests, one an address, in one task."""
         lean, batch, kind = self.lean, self.batch, self.state.schema["val"].dataType.simpleString()
         ends = {d: self._eviction_leaves(d) for d in range(self.top + 1, self.height + 1)}
-        one = lambda df: df.withColumn("_g", F.lit(0)).groupBy("_g")
-        out = one(self.state).cogroup(one(asks.select("k", "addr", "new", "written"))).applyInArrow(lambda state, asked: lean.serve(state, asked, batch, ends), f"kind long, {self._entries(kind)}, addr long, there boolean, shown array<long>")
+        asked = materialise(asks.select(F.lit(-1).cast("long").alias("depth"), "k", "addr", "new", "written"), "asks")
+        both = asked.unionByName(self.state, allowMissingColumns=True)
+        empty = to_arrow_schema(both.schema)
+        out = both.coalesce(1).sortWithinPartitions("depth", "k").mapInArrow(lambda batches: lean.serve(batches, batch, ends, empty), f"kind long, {self._entries(kind)}, addr long, there boolean, shown array<long>")
         out = materialise(out, "memory")
         self.state = out.filter("kind = 0").select("depth", *ENTRY, "val")
         for r in self.state.groupBy("depth").count().collect():
@@ -312,8 +349,8 @@ class TreeMemory:
         if served.filter(~F.col("there")).limit(1).count():
             raise KeyError("a cell is lost")
         for d in range(self.height + 1):
-            leaves = out.filter((F.col("kind") == 2) & (F.col("depth") == d)).select(F.posexplode("shown").alias("k", "leaf"))
-            self.seen.append(leaves.select(F.lit(batch).alias("batch"), F.lit(d).alias("depth"), F.col("k").cast("long").alias("k"), "leaf"))
+            leaves = out.filter((F.col("kind") == 2) & (F.col("depth") == d)).select("prefix", F.posexplode("shown").alias("k", "leaf"))
+            self.seen.append(leaves.select(F.lit(batch).alias("batch"), F.lit(d).alias("depth"), (F.col("prefix") + F.col("k")).alias("k"), "leaf"))
         self.evicted += [(batch, d, tuple(x)) for d, x in ends.items()]
         return served.select("addr", "val")
 

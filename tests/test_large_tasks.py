@@ -119,3 +119,20 @@ def test_sliding_counts_group_rows_once(spark, sf, monkeypatch):
     n = workloads.t(spark, sf, "events").count()
     panes = got.count()
     assert len(sizes) == 6 and max(sizes) <= -(-n // 3) + 4 * panes
+
+
+def test_tree_memory_of_many_cells_in_one_task(spark):
+    """300,000 cells are one task's, which holds a depth at a time."""
+    from oblivspark.operators.tree_memory import TreeMemory
+
+    n = 300_000
+    mem = TreeMemory(spark.range(n).select(F.col("id").alias("addr"), (F.col("id") * 3).alias("val")), top=7, seed=3, level="cluster")
+    assert mem.lean is not None
+    req = spark.range(0, 90_000, 1, 3).select(F.col("id").alias("i"), F.lit("w").alias("op"), (F.col("id") * 7 % 310_000).alias("addr"), (F.col("id") + 1).alias("val"))
+    old = mem.access(req)
+    assert old.count() == 90_000
+    assert old.join(req.drop("val"), "i").filter(~F.col("val").eqNullSafe(F.when(F.col("addr") < n, F.col("addr") * 3))).count() == 0
+    want = {r.addr: r.v for r in req.filter(F.col("addr") < n).groupBy("addr").agg(F.min_by("val", "i").alias("v")).collect()}
+    got = {r.addr: r.val for r in mem.dump().collect()}
+    assert got == {a: want.get(a, 3 * a) for a in range(n)}
+    assert mem.seen[-1].select("k").distinct().count() == 90_000
